@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from autotheta.llm import decontaminate as _decontaminate, mixing, tokens
+from autotheta.llm import decontaminate as _decontaminate, mixing, neardup, oracles, tokens
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -25,10 +25,14 @@ def op4_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.read_shards(tokens.write_shards(table(spark, sf_dir, "documents"), tokenizer_path(), end_id=2))
 
 
+def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"), size=3, num=85, den=100)
+
+
 def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     hits = _decontaminate.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), size=10)
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {f.__name__: f for f in (op3_mix_sources, op4_token_records, op10_decontaminate)}
-ORACLE: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op3_mix_sources, op4_token_records, op9_near_duplicates, op10_decontaminate)}
+ORACLE: dict[str, str] = {"op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}
