@@ -47,3 +47,33 @@ SELECT d.doc_id, len(d.w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hi
   sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
 FROM d LEFT JOIN h USING (doc_id) LEFT JOIN t USING (doc_id)
 """
+
+LINE_DEDUP = r"""
+WITH l AS (
+  SELECT doc_id, source, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS pos FROM documents
+), b AS (
+  SELECT line FROM l WHERE trim(line, ' ') <> '' GROUP BY line HAVING count(DISTINCT source) >= 10
+), m AS (
+  SELECT l.doc_id, l.pos, l.line, b.line IS NOT NULL AS cut FROM l LEFT JOIN b ON l.line = b.line
+), t AS (
+  SELECT doc_id, string_agg(line, chr(10) ORDER BY pos) FILTER (NOT cut) AS text, count(*) FILTER (trim(line, ' ') <> '') AS n_lines, count(*) FILTER (cut) AS n_removed
+  FROM m GROUP BY doc_id
+)
+SELECT d.doc_id, md5(coalesce(t.text, '')) AS text_md5, coalesce(n_lines, 0)::BIGINT AS n_lines, coalesce(n_removed, 0)::BIGINT AS n_removed
+FROM documents d LEFT JOIN t USING (doc_id)
+"""
+
+WARC = r"""
+WITH p AS (
+  SELECT page_id, strlen(coalesce(html, '')) AS payload_bytes, upper(sha1(coalesce(html, ''))) AS h FROM pages
+), m AS (
+  SELECT h, max(page_id) AS target, count(*) AS n FROM p GROUP BY h
+), q AS (
+  SELECT p.*, CASE WHEN p.page_id <> m.target THEN m.target END AS refers_to FROM p JOIN m USING (h)
+)
+SELECT page_id, payload_bytes::BIGINT AS payload_bytes,
+  array_to_string(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+    1 + ((('0x' || substr(h || '00', 1 + (5 * i) // 4, 3))::INTEGER >> (7 - (5 * i) % 4)) & 31), 1)), '') AS payload_digest,
+  CASE WHEN refers_to IS NULL THEN 'response' ELSE 'revisit' END AS record_type, refers_to
+FROM q
+"""

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from autotheta.llm import decontaminate as _decontaminate, mixing, neardup, oracles, tokens
+from autotheta.llm import decontaminate as _decontaminate, linededup, mixing, neardup, oracles, tokens, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,6 +17,10 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def op2_warc_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.read_archives(warc.write_archives(table(spark, sf_dir, "pages"))).drop("url")
+
+
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sources(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", "copies")
 
@@ -25,6 +29,11 @@ def op4_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.read_shards(tokens.write_shards(table(spark, sf_dir, "documents"), tokenizer_path(), end_id=2))
 
 
+def op8_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = linededup.drop_boilerplate_lines(table(spark, sf_dir, "documents"), min_sites=10)
+    return out.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("text_md5"), "n_lines", "n_removed")
+
+
 def op9_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), size=3, num=85, den=100)
 
@@ -34,5 +43,5 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {f.__name__: f for f in (op3_mix_sources, op4_token_records, op9_near_duplicates, op10_decontaminate)}
-ORACLE: dict[str, str] = {"op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}
+QUERIES = {f.__name__: f for f in (op2_warc_pages, op3_mix_sources, op4_token_records, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
+ORACLE: dict[str, str] = {"op2_warc_pages": oracles.WARC, "op8_line_spread": oracles.LINE_DEDUP, "op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}
