@@ -12,9 +12,11 @@ records can be read in any order without a scan of the shard.
 from __future__ import annotations
 
 import os
+import re
 import struct
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,8 +30,8 @@ from autotheta.sources.shared import keep, new_path, open_store
 MAGIC = b"TOKREC01"
 _HEAD = struct.Struct("<QI")
 _ROW = struct.Struct("<qBB")
-#: Distinct space-separated pieces whose ids a task remembers.
-CACHE_PIECES = 200_000
+#: Distinct space-separated pieces whose ids a Python worker remembers (about 200 bytes each).
+CACHE_PIECES = 1_000_000
 
 
 def masked(data: bytes) -> int:
@@ -45,60 +47,68 @@ def frame(doc_id: int | None, width: int, ids: bytes) -> bytes:
     return b"".join((length, struct.pack("<I", masked(length)), payload, struct.pack("<I", masked(payload))))
 
 
-class PieceEncoder:
+class PieceEncoder(dict):
     """Ids of texts by a tokenizer that never joins over ASCII space, remembered by space-separated piece.
 
     Correct for tokenizers that drop white space before they split (all pieces between spaces are then
-    encoded on their own); ``whole=True`` encodes whole texts for any other. Pieces seen for the first time
-    are encoded in one call, kept apart by a mark with an id of its own.
+    encoded on their own); ``whole=True`` encodes whole texts for any other. Pieces of plain letters go to
+    the tokenizer's model directly where its lower-casing and splitting leave them as one lower-case word
+    (tried at the start); all others to the tokenizer as they are. Maps a piece to its little-endian ids.
     """
 
     def __init__(self, path: str, whole: bool = False):
+        super().__init__()
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.whole, self.known = Tokenizer.from_file(path), whole, {}
-        self.width = 2 if self.tokenizer.get_vocab_size() <= 1 << 16 else 4
-        self.kind = np.dtype(f"<u{self.width}")
-        self.mark = self._ids("7")
-        self.whole |= len(self.mark) != 1
-
-    def _ids(self, text: str) -> list[int]:
-        return self.tokenizer.encode(text, add_special_tokens=False).ids
-
-    def _learn(self, pieces: list[bytes]) -> None:
-        if len(self.known) + len(pieces) > CACHE_PIECES:
-            self.known.clear()
-        plain = [p for p in pieces if b"7" not in p]
-        for p in pieces:
-            if b"7" in p:
-                self.known[p] = np.array(self._ids(p.decode()), self.kind).tobytes()
-        for at in range(0, len(plain), 2000):
-            part = plain[at : at + 2000]
-            ids = np.array(self._ids(" 7 ".join(p.decode() for p in part)), self.kind)
-            cuts = np.flatnonzero(ids == self.mark[0])
-            if len(cuts) != len(part) - 1:
-                for p in part:
-                    self.known[p] = np.array(self._ids(p.decode()), self.kind).tobytes()
-                continue
-            raw, ends = ids.tobytes(), [*(cuts * self.width).tolist(), len(ids) * self.width]
-            begin = 0
-            for p, end in zip(part, ends, strict=True):
-                self.known[p] = raw[begin:end]
-                begin = end + self.width
+        self.tokenizer, self.whole = Tokenizer.from_file(path), whole
+        self.model, self.code = self.tokenizer.model, "H" if self.tokenizer.get_vocab_size() <= 1 << 16 else "I"
+        self.width = 2 if self.code == "H" else 4
+        tried = ("a", "Mixed", "UPPER", "zqxjkvbw", "internationalisation", "Ärger", "ÉÀÈÿþß", "straßeÑ")
+        self.plain = all(self._any(x) == self._letters(x) for x in tried) and all(self._any(x + y) == self._any(x) + self._any(y) for x in tried for y in (".", ",", "!!", ".)", "###"))
+
+    def _any(self, text: str) -> bytes:
+        return array(self.code, self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _letters(self, word: str) -> bytes:
+        shown = word.lower() if word.isascii() else word.lower().encode().decode("latin-1").translate(BYTE_CHARS)
+        return array(self.code, [t.id for t in self.model.tokenize(shown)]).tobytes()
+
+    def __missing__(self, p: bytes) -> bytes:
+        if not self.plain or not (m := LETTERS(p)):
+            ids = self._any(p.decode())
+        elif m[2]:
+            ids = self[m[1]] + (self[m[2]] if m[2] in self else self.setdefault(m[2], self._any(m[2].decode())))
+        else:
+            ids = self._letters(p.decode())
+        self[p] = ids
+        return ids
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Little-endian ids of each text."""
         if self.whole:
-            return [np.array(self._ids(t.decode()), self.kind).tobytes() for t in texts]
-        split = [t.split() for t in texts]
-        known = self.known
-        if new := list({p for s in split for p in s if p not in known}):
-            self._learn(new)
-            known = self.known
-            if any(p not in known for s in split for p in s):  # forgotten just now
-                self._learn(list({p for s in split for p in s}))
-        return [b"".join(map(known.__getitem__, s)) for s in split]
+            return [self._any(t.decode()) for t in texts]
+        out = []
+        for t in texts:
+            if len(self) > CACHE_PIECES:
+                self.clear()
+            out.append(b"".join(map(self.__getitem__, t.split())))
+        return out
+
+
+#: A word of letters up to U+00FF and the marks behind it; no apostrophe, as those can join with letters.
+LETTERS = re.compile(rb"((?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+)([.,;:!?)*#%&$]*)").fullmatch
+#: Characters that stand for bytes in byte-level models: printable Latin-1 for itself, others from U+0100 on.
+_SHOWN = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+BYTE_CHARS = {b: b if b in _SHOWN else 256 + sum(x not in _SHOWN for x in range(b)) for b in range(256)}
+_ENCODERS: dict[tuple[str, bool], PieceEncoder] = {}
+
+
+def encoder(path: str, whole: bool) -> PieceEncoder:
+    """The encoder of this Python worker, which later tasks find as the earlier ones left it."""
+    if (path, whole) not in _ENCODERS:
+        _ENCODERS[path, whole] = PieceEncoder(path, whole)
+    return _ENCODERS[path, whole]
 
 
 def write_shards(docs: DataFrame, tokenizer: str, end_id: int | None = 2, target: str | None = None, id_col: str = "doc_id", text_col: str = "text", whole: bool = False) -> DataFrame:
@@ -114,8 +124,8 @@ def write_shards(docs: DataFrame, tokenizer: str, end_id: int | None = 2, target
     rows = rows.repartitionByRange(F.col("i").asc_nulls_first()).sortWithinPartitions(F.col("i").asc_nulls_first(), "t")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, out, index = PieceEncoder(tokenizer, whole), None, []
-        end = b"" if end_id is None else np.array([end_id], encoder.kind).tobytes()
+        coder, out, index = encoder(tokenizer, whole), None, []
+        end = b"" if end_id is None else array(coder.code, [end_id]).tobytes()
         store, root = open_store(target)
         n_docs = n_tokens = at = 0
         path, first = "", None
@@ -125,22 +135,22 @@ def write_shards(docs: DataFrame, tokenizer: str, end_id: int | None = 2, target
                 raw = data.tobytes()
                 texts = [raw[s:e] for s, e in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
                 made = []
-                for doc_id, body in zip(ids[lo:hi], encoder.encode(texts), strict=True):
+                for doc_id, body in zip(ids[lo:hi], coder.encode(texts), strict=True):
                     body += end
-                    made.append(frame(doc_id, encoder.width, body))
-                    index.append((at + len(MAGIC), len(made[-1]) - 16, len(body) // encoder.width))
+                    made.append(frame(doc_id, coder.width, body))
+                    index.append((at + len(MAGIC), len(made[-1]) - 16, len(body) // coder.width))
                     at += len(made[-1])
-                    n_tokens += len(body) // encoder.width
+                    n_tokens += len(body) // coder.width
                 if out is None:
                     store.create_dir(root, recursive=True)
                     path, first = f"{root}/shard-{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}.rec", ids[lo]
-                    out = store.open_output_stream(path)
+                    out = store.open_output_stream(path, compression=None)
                     out.write(MAGIC)
                 out.write(b"".join(made))
                 n_docs += hi - lo
         if out is not None:
             out.close()
-            with store.open_output_stream(path + ".idx") as f:
+            with store.open_output_stream(path + ".idx", compression=None) as f:
                 f.write(np.array(index, "<u8").tobytes())
             yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in ((TaskContext.get().partitionId(), pa.int64()), (f"{target}/{path.rpartition('/')[2]}", pa.string()), (n_docs, pa.int64()), (n_tokens, pa.int64()), (first, pa.int64()))], ["shard", "path", "n_docs", "n_tokens", "first_id"])
 
@@ -163,7 +173,7 @@ def records(path: str, numbers: list[int] | None = None) -> Iterator[tuple[int |
     """``(id, token ids)`` of a shard, all in order or those numbered, found by the index. Checks every checksum."""
     store, p = open_store(path)
     if numbers is None:
-        with store.open_input_stream(p) as f:
+        with store.open_input_stream(p, compression=None) as f:
             size, at = store.get_file_info(p).size, len(MAGIC)
             if f.read(len(MAGIC)) != MAGIC:
                 raise ValueError(f"{path}: not a shard")
@@ -172,7 +182,7 @@ def records(path: str, numbers: list[int] | None = None) -> Iterator[tuple[int |
                 at += 16 + _ROW.size + ids.nbytes
                 yield doc_id, ids
         return
-    with store.open_input_stream(p + ".idx") as f:
+    with store.open_input_stream(p + ".idx", compression=None) as f:
         index = np.frombuffer(f.read(), "<u8").reshape(-1, 3)
     with store.open_input_file(p) as f:
         for k in numbers:
