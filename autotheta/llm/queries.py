@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
-from autotheta.llm import decontaminate as _decontaminate, linededup, mixing, neardup, oracles, perplexity, tokens, warc
+from autotheta.llm import decontaminate as _decontaminate, linededup, mixing, neardup, oracles, perplexity, tokens, toxicity, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,6 +17,16 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def held_out() -> Column:
+    """The rows labels are not learnt from."""
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
+
+
+def op1_toxic_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = toxicity.score_toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), train=~held_out())
+    return out.select("doc_id", held_out().alias("held_out"), "score", "predicted", "n_words", F.size("passages").cast("bigint").alias("n_passages"))
+
+
 def op2_warc_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read_archives(warc.write_archives(table(spark, sf_dir, "pages"))).drop("url")
 
@@ -47,5 +57,5 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {f.__name__: f for f in (op2_warc_pages, op3_mix_sources, op4_token_records, op6_perplexity_rules, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
+QUERIES = {f.__name__: f for f in (op1_toxic_segments, op2_warc_pages, op3_mix_sources, op4_token_records, op6_perplexity_rules, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
 ORACLE: dict[str, str] = {"op2_warc_pages": oracles.WARC, "op8_line_spread": oracles.LINE_DEDUP, "op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}
