@@ -10,7 +10,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
 
 class DisjointSets:
@@ -49,7 +49,7 @@ def _local_stars(edges: DataFrame) -> DataFrame:
             part = np.array(pairs[at : at + 100_000], np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(part[:, 0]), pa.array(part[:, 1])], ["a", "b"])
 
-    return edges.select(F.col("a").cast("bigint"), F.col("b").cast("bigint")).mapInArrow(run, "a bigint, b bigint")
+    return map_arrow(edges.select(F.col("a").cast("bigint"), F.col("b").cast("bigint")), run, "a bigint, b bigint")
 
 
 def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
