@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
-from autotheta.llm import decontaminate as _decontaminate, linededup, mixing, neardup, oracles, perplexity, tokens, toxicity, warc
+from autotheta.llm import decontaminate as _decontaminate, linededup, maxent, mixing, neardup, oracles, perplexity, tokens, toxicity, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -39,6 +39,12 @@ def op4_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.read_shards(tokens.write_shards(table(spark, sf_dir, "documents"), tokenizer_path(), end_id=2))
 
 
+def op5_maxent_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 10 == 0
+    scores = maxent.score_language_model(table(spark, sf_dir, "documents"), train_on=~held)
+    return scores.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op6_perplexity_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return perplexity.perplexity_filter(table(spark, sf_dir, "documents"))
 
@@ -57,5 +63,5 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxic_segments, op2_warc_pages, op3_mix_sources, op4_token_records, op6_perplexity_rules, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
+QUERIES = {f.__name__: f for f in (op1_toxic_segments, op2_warc_pages, op3_mix_sources, op4_token_records, op5_maxent_model, op6_perplexity_rules, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
 ORACLE: dict[str, str] = {"op2_warc_pages": oracles.WARC, "op8_line_spread": oracles.LINE_DEDUP, "op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}
