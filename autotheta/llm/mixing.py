@@ -16,24 +16,24 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from autotheta.llm import textkit
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
 #: Expected documents in a group of the first round, and remainders in one of the later rounds.
 GROUP_ROWS, FAN_IN = 2000, 64
 
 
-def sizes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """``doc_id, source, size``: words of each text, 0 for null."""
+def sizes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", row_col: str | None = None) -> DataFrame:
+    """``doc_id, source, size, row``: words of each text, 0 for null; ``row`` is carried along."""
 
     def count(batches):
         for b in batches:
             out = [np.zeros(0, np.int64)]
             for _, _, data, offsets in textkit.blocks(b.column(2)):
                 out.append(np.diff(textkit.bounds(data, offsets, textkit.SPACED).split))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.concatenate(out))], ["doc_id", "source", "size"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.concatenate(out)), b.column(3)], ["doc_id", "source", "size", "row"])
 
-    rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.col(source_col).cast("string").alias("s"), F.col(text_col).cast("string").alias("t"))
-    return rows.mapInArrow(count, "doc_id bigint, source string, size bigint")
+    rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.col(source_col).cast("string").alias("s"), F.col(text_col).cast("string").alias("t"), F.col(row_col).cast("bigint").alias("r") if row_col else F.lit(0).cast("bigint").alias("r"))
+    return map_arrow(rows, count, "doc_id bigint, source string, size bigint, row bigint")
 
 
 def targets(sized: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0) -> DataFrame:
@@ -87,34 +87,34 @@ def _round(rows: DataFrame, seed: int, level: int, last: bool) -> DataFrame:
     def run(t: pa.Table) -> pa.Table:
         ids = t["doc_id"].combine_chunks().fill_null(0).to_numpy()
         size, p = t["size"].to_numpy(), t["part"].to_numpy()
-        order = np.lexsort((size, ids))
+        order = np.lexsort((t["row"].to_numpy(), ids, -size))  # large first: what stays fractional at the end is then small
         draw, out = _draws(ids, seed, level), p.copy()
         out[order] = pivot(p[order], size[order], draw[order])
         if last:
-            rest = (out > 0) & (out < 1)
-            out[rest] = (_draws(ids, seed, level + 100)[rest] < out[rest]).astype(np.float64)
+            rest = (out > 0) & (out < 1)  # one document of a source at most: to the nearer side of the target
+            out[rest] = (out[rest] + 1e-9 * (_draws(ids, seed, level + 100)[rest] - 0.5) > 0.5).astype(np.float64)
         return t.set_column(t.schema.get_field_index("part"), "part", pa.array(out))
 
     return rows.groupBy("place", "bucket").applyInArrow(run, rows.schema)
 
 
-def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 17, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Copies of every document in the mix: ``doc_id, size, source_size, target, copies, taken``.
+def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: float = 3.0, seed: int = 17, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", row_col: str | None = None) -> DataFrame:
+    """Copies of every document in the mix: ``doc_id, size, source_size, target, copies, taken, row``.
 
     One row per input row. ``copies`` is whole and at most ``ceil(cap)``; the words taken of a source miss its
     target by less than its largest document. Draws depend on the seed and the ids alone, so reruns agree.
     Texts that are null or without words have size 0 and ``taken`` 0; a null source is a source, the last;
     a null id counts as 0 for the draws; repeated rows are documents of their own; an empty table gives no
-    rows. Other columns are ignored.
+    rows. ``row_col`` may name a key of rows to carry along. Other columns are ignored.
     """
-    sized = keep(sizes(docs, id_col, text_col, source_col), "sizes")
+    sized = keep(sizes(docs, id_col, text_col, source_col, row_col), "sizes")
     source = keep(targets(sized, weights, cap), "targets")
     most = source.agg(F.max("n_docs")).first()[0] or 0
     s = source.withColumnRenamed("source", "source_")
     rows = sized.join(s, sized["source"].eqNullSafe(s["source_"])).withColumn("rate", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0))
     rows = rows.withColumn("whole", F.floor(F.col("rate") + F.lit(1e-9))).withColumn("part", F.greatest(F.lit(0.0), F.col("rate") - F.col("whole")))
     buckets = F.ceil(F.col("n_docs") / GROUP_ROWS)
-    rows = rows.select("doc_id", "size", "source_size", "target", "place", "whole", "part", F.pmod(F.xxhash64("doc_id", F.lit(seed)), buckets).alias("bucket"))
+    rows = rows.select("doc_id", "row", "size", "source_size", "target", "place", "whole", "part", F.pmod(F.xxhash64("doc_id", F.lit(seed)), buckets).alias("bucket"))
     idle = rows.where("size = 0").withColumn("part", F.lit(0.0))
     left, level, buckets_left, done = rows.where("size > 0"), 0, math.ceil(most / GROUP_ROWS), []
     while True:
@@ -129,4 +129,4 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: fl
     for x in done:
         mixed = mixed.unionByName(x)
     copies = (F.col("whole") + F.col("part")).cast("bigint")
-    return mixed.select("doc_id", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"))
+    return mixed.select("doc_id", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"), "row")
