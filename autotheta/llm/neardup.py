@@ -7,8 +7,8 @@ unshared one falls between. With similarity t and runs of 4 among 80 values the
 none is below 1e-9 at t = 0.85 and 1e-7 at 0.8; sets small enough that unshared elements could cut every
 run get shorter runs as well, so that they always meet.
 
-In a list, all are compared with one leader first; the verified links are contracted, and only members of
-different components are compared after that. Pairs pass an estimate from the union of their sketches
+In a list, all are compared with one leader first; the verified links are contracted. What is then still in
+different components of one list meets by an exact prefix filter on the full sets. Pairs pass an estimate from the union of their sketches
 (within 5 standard errors of the threshold) and are then verified on their full sets.
 """
 
@@ -19,14 +19,14 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from autotheta.llm import textkit
 from autotheta.operators.graph import components
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
-#: Retained values, the run length of a key, and bits of the filter of candidate documents (its size is fixed).
-K, RUN, FILTER_BITS = 80, 4, 1 << 26
+#: Retained values, the run length of a key, bits of the filter of candidate documents (its size is fixed), leaders tried.
+K, RUN, FILTER_BITS, LEADERS = 80, 4, 1 << 26, 2
 
 
 def run_limits(num: int, den: int, run: int = RUN) -> dict[int, int]:
@@ -66,7 +66,7 @@ def sketches(docs: DataFrame, size: int, k: int = K) -> DataFrame:
                     sketch.append(u[:k].tobytes())
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.array(sketch, pa.binary())], ["doc_id", "n", "digest", "sketch"])
 
-    return docs.mapInArrow(run, "doc_id bigint, n bigint, digest binary, sketch binary")
+    return map_arrow(docs, run, "doc_id bigint, n bigint, digest binary, sketch binary")
 
 
 def _keys(classes: DataFrame, num: int, den: int, run: int) -> DataFrame:
@@ -95,7 +95,7 @@ def _keys(classes: DataFrame, num: int, den: int, run: int) -> DataFrame:
                 if key:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(key).view(np.int64)), pa.array(np.concatenate(rep)), pa.array(np.concatenate(n))], ["key", "rep", "n"])
 
-    return classes.select("rep", "n", "sketch").mapInArrow(make, "key bigint, rep bigint, n bigint")
+    return map_arrow(classes.select("rep", "n", "sketch"), make, "key bigint, rep bigint, n bigint")
 
 
 def _candidate_filter(reps: DataFrame) -> np.ndarray:
@@ -122,7 +122,7 @@ def _full_sets(docs: DataFrame, reps: DataFrame, size: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(sets, pa.binary())], ["rep", "elements"])
 
     rows = docs.select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(FILTER_BITS)).alias("bit"))
-    return rows.mapInArrow(run, "rep bigint, elements binary")
+    return map_arrow(rows, run, "rep bigint, elements binary")
 
 
 def shared_count(a: np.ndarray, b: np.ndarray) -> int:
@@ -161,8 +161,39 @@ def _linked(pairs: DataFrame, classes: DataFrame, sets: DataFrame, num: int, den
         one, two = t.select(F.col(key).alias("a_"), F.col(value).alias("x")), t.select(F.col(key).alias("b_"), F.col(value).alias("y"))
         return p.join(one, F.col("a") == F.col("a_")).join(two, F.col("b") == F.col("b_")).select("a", "b", "x", "y")
 
-    likely = keep(beside(pairs, classes, "rep", "sketch").mapInArrow(near, "a bigint, b bigint"), "likely")
-    return beside(likely, sets, "rep", "elements").mapInArrow(exact, "a bigint, b bigint")
+    likely = keep(map_arrow(beside(pairs, classes, "rep", "sketch"), near, "a bigint, b bigint"), "likely")
+    return map_arrow(beside(likely, sets, "rep", "elements"), exact, "a bigint, b bigint")
+
+
+def _prefix_pairs(left: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
+    """Pairs ``(a, b)`` of ``rep, n, c`` rows in different components c that may reach ``num/den``; none is lost.
+
+    Elements are ordered by how many of these sets hold them, rare first. Two sets of that similarity share one
+    of the first ``n - ceil(n * num / den) + 1`` of each, and the first that they share leaves enough behind it.
+    What thousands of sets have in common is frequent, so it joins only sets that consist of little else.
+    """
+
+    def spread(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                part = b.slice(at, 500)
+                values = [np.frombuffer(x, np.int64) for x in part.column(3).to_pylist()]
+                count = np.array([len(v) for v in values])
+                yield pa.RecordBatch.from_arrays([*(pa.array(np.repeat(part.column(k).to_numpy(), count)) for k in range(3)), pa.array(np.concatenate(values))], ["rep", "n", "c", "x"])
+
+    held = sets.join(left.withColumnRenamed("rep", "r_"), F.col("rep") == F.col("r_")).select("rep", "n", "c", "elements")
+    elements = keep(map_arrow(held, spread, "rep bigint, n bigint, c bigint, x bigint"), "elements")
+    often = elements.groupBy("x").agg(F.count(F.lit(1)).alias("f")).where("f > 1").withColumnRenamed("x", "x_")
+    ranked = elements.join(often, F.col("x") == F.col("x_"), "left").select("rep", "n", "c", "x", F.coalesce("f", F.lit(1)).alias("f"))
+    ranked = ranked.withColumn("at", F.row_number().over(Window.partitionBy("rep").orderBy("f", "x")))
+    prefix = F.col("n") - F.floor((F.col("n") * num + den - 1) / den) + 1
+    heads = keep(ranked.where((F.col("at") <= prefix) & (F.col("f") > 1)).select("rep", "n", "c", "x", "at"), "heads")
+    one, two = (heads.select("x", *(F.col(v).alias(f"{v}_{t}") for v in ("rep", "n", "c", "at"))) for t in "ab")
+    needed = (F.col("n_a") + F.col("n_b")) * num
+    most = F.least(F.col("n_a") - F.col("at_a"), F.col("n_b") - F.col("at_b")) + 1
+    close = F.least("n_a", "n_b") * F.lit(den) >= F.greatest("n_a", "n_b") * F.lit(num)
+    pairs = one.join(two, "x").where("rep_a < rep_b AND c_a <> c_b").where(close & (most * (num + den) >= needed))
+    return pairs.select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct()
 
 
 def near_duplicates(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, k: int = K, run: int = RUN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -184,7 +215,13 @@ def near_duplicates(docs: DataFrame, size: int = 5, num: int = 80, den: int = 10
     def comparable(x: str, y: str):
         return (F.least(x, y) * F.lit(den) >= F.greatest(x, y) * F.lit(num))
 
-    first = lists.where(F.col("rep") != F.col("lead")).where(comparable("n", "lead_n")).select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct()
+    def best(met: DataFrame) -> DataFrame:
+        """Of the leaders ``a`` that ``b`` meets, the LEADERS that it shares most lists with; the rest is left to the last stage."""
+        most = Window.partitionBy("b").orderBy(F.desc("shared"), "a")
+        ranked = met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared")).withColumn("rank", F.row_number().over(most))
+        return ranked.where(F.col("rank") <= LEADERS).select("a", "b")
+
+    first = keep(best(lists.where(F.col("rep") != F.col("lead")).where(comparable("n", "lead_n")).select(F.col("lead").alias("a"), F.col("rep").alias("b"))), "pairs")
     sets = keep(_full_sets(rows, lists.select("rep").distinct(), size), "sets")
     links = keep(_linked(first, classes, sets, num, den, k), "links")
 
@@ -195,15 +232,15 @@ def near_duplicates(docs: DataFrame, size: int = 5, num: int = 80, den: int = 10
     # A second leader, drawn by hash among those outside the first one's component.
     at = keep(with_components(links), "lists")
     per = at.groupBy("key").agg(F.min("c").alias("c0"), F.max("c").alias("c1"), F.max(F.struct(F.xxhash64("c"), F.xxhash64("rep"), "rep", "n", "c")).alias("l")).where("c0 <> c1").select(F.col("key").alias("k_"), "l")
-    second = at.join(per, F.col("key") == F.col("k_")).where("c <> l.c").where(comparable("n", "l.n")).select(F.least("rep", "l.rep").alias("a"), F.greatest("rep", "l.rep").alias("b")).distinct().join(first, ["a", "b"], "left_anti")
+    met = at.join(per, F.col("key") == F.col("k_")).where("c <> l.c").where(comparable("n", "l.n")).select(F.col("l.rep").alias("a"), F.col("rep").alias("b"))
+    second = keep(best(met).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct().join(first, ["a", "b"], "left_anti"), "pairs")
     links = keep(links.unionByName(_linked(second, classes, sets, num, den, k)), "links")
 
-    # What still lies in different components under one key: all such pairs.
+    # What still lies in different components under one key: all of these that can be linked at all.
     at = keep(with_components(links), "lists")
     open_keys = at.groupBy("key").agg(F.min("c").alias("c0"), F.max("c").alias("c1")).where("c0 <> c1").select("key")
-    left = keep(at.join(open_keys, "key", "left_semi"), "open")
-    x, y = left.select("key", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("c").alias("c_a")), left.select("key", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("c").alias("c_b"))
-    rest = x.join(y, "key").where("a < b AND c_a <> c_b").where(comparable("n_a", "n_b")).select("a", "b").distinct().join(first.unionByName(second), ["a", "b"], "left_anti")
+    left = keep(at.join(open_keys, "key", "left_semi").select("rep", "n", "c").distinct(), "open")
+    rest = _prefix_pairs(left, sets, num, den).join(first.unionByName(second), ["a", "b"], "left_anti")
     links = keep(links.unionByName(_linked(rest, classes, sets, num, den, k)), "links")
 
     of = components(links)
