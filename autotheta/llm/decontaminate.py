@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from autotheta.llm import textkit
 from autotheta.llm.textkit import _ranges
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
 #: Bytes of item texts that are broadcast at once; a larger benchmark is joined in blocks of about this size.
 BLOCK_BYTES = 8 << 20
@@ -108,7 +108,7 @@ def _probe(docs: DataFrame, windows: Windows) -> DataFrame:
                     ["doc_id", "digest", "n_words", "spans", "items"],
                 )
 
-    return docs.mapInArrow(probe, "doc_id bigint, digest bigint, n_words bigint, spans array<struct<from: bigint, to: bigint>>, items array<string>")
+    return map_arrow(docs, probe, "doc_id bigint, digest bigint, n_words bigint, spans array<struct<from: bigint, to: bigint>>, items array<string>")
 
 
 def _word_counts(docs: DataFrame, wanted: np.ndarray) -> dict[int, int]:
@@ -131,7 +131,7 @@ def _word_counts(docs: DataFrame, wanted: np.ndarray) -> dict[int, int]:
         at = np.flatnonzero(total[:-1])
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["at", "n"])
 
-    rows = docs.mapInArrow(count, "at bigint, n bigint").groupBy("at").agg(F.sum("n").alias("n")).collect()
+    rows = map_arrow(docs, count, "at bigint, n bigint").groupBy("at").agg(F.sum("n").alias("n")).collect()
     return {int(wanted[r["at"]]): r["n"] for r in rows}
 
 

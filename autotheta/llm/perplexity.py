@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
 from autotheta.llm import textkit
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
 WORDS, LANGUAGES, MODEL_ROWS = 120, 32, 4_000_000
 #: Symbols: shapes from SHAPE0 on, then the start and the end of a text.
@@ -115,7 +115,7 @@ def _count_words(rows: DataFrame, languages: dict[str, int]) -> DataFrame:
             for at in range(0, len(h), 200_000):
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h[at : at + 200_000]), g)), pa.array(h[at : at + 200_000].view(np.int64)), pa.array(n[at : at + 200_000])], ["language", "h", "n"])
 
-    return rows.mapInArrow(run, "language bigint, h bigint, n bigint").groupBy("language", "h").agg(F.sum("n").alias("n"))
+    return map_arrow(rows, run, "language bigint, h bigint, n bigint").groupBy("language", "h").agg(F.sum("n").alias("n"))
 
 
 def _add_up(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
@@ -147,7 +147,7 @@ def _count_trigrams(rows: DataFrame, symbols: Symbols) -> DataFrame:
             for at in range(0, len(k), 200_000):
                 yield pa.RecordBatch.from_arrays([pa.array(k[at : at + 200_000]), pa.array(n[at : at + 200_000])], ["k", "n"])
 
-    return rows.mapInArrow(run, "k bigint, n bigint").groupBy("k").agg(F.sum("n").alias("n"))
+    return map_arrow(rows, run, "k bigint, n bigint").groupBy("k").agg(F.sum("n").alias("n"))
 
 
 def discounts(n1: float, n2: float, n3: float, n4: float) -> tuple[float, float, float]:
@@ -306,7 +306,7 @@ def measures(rows: DataFrame, model: Model) -> DataFrame:
                 arrays = [np.diff(w.split), letters, by_row(_SIGNS[data]), np.array(lines, np.int64), repeated_words(hashes, w.split)]
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(number[lo:hi]), *map(pa.array, arrays), pa.array(total / n), pa.array(square / n - (total / n) ** 2)], names)
 
-    return rows.mapInArrow(run, "doc_id bigint, language bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, log_perplexity double, log_square double")
+    return map_arrow(rows, run, "doc_id bigint, language bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, log_perplexity double, log_square double")
 
 
 def perplexity_filter(docs: DataFrame, z: float = 6.0, min_words: int = 20, repeat_percent: int = 30, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
-from autotheta.llm import decontaminate as _decontaminate, linededup, maxent, mixing, neardup, oracles, perplexity, tokens, toxicity, warc
+from autotheta.llm import decontaminate as _decontaminate, linededup, maxent, mixing, neardup, oracles, perplexity, quality, tokens, toxicity, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -49,6 +49,11 @@ def op6_perplexity_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return perplexity.perplexity_filter(table(spark, sf_dir, "documents"))
 
 
+def op7_site_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return quality.quality_by_site(docs, labels, host=F.col("source"), path=F.concat_ws("/", "source", F.coalesce("lang", F.lit(""))), train=~held_out())
+
+
 def op8_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = linededup.drop_boilerplate_lines(table(spark, sf_dir, "documents"), min_sites=10)
     return out.select("doc_id", F.md5(F.coalesce("text", F.lit(""))).alias("text_md5"), "n_lines", "n_removed")
@@ -63,5 +68,5 @@ def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {f.__name__: f for f in (op1_toxic_segments, op2_warc_pages, op3_mix_sources, op4_token_records, op5_maxent_model, op6_perplexity_rules, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
+QUERIES = {f.__name__: f for f in (op1_toxic_segments, op2_warc_pages, op3_mix_sources, op4_token_records, op5_maxent_model, op6_perplexity_rules, op7_site_quality, op8_line_spread, op9_near_duplicates, op10_decontaminate)}
 ORACLE: dict[str, str] = {"op2_warc_pages": oracles.WARC, "op8_line_spread": oracles.LINE_DEDUP, "op9_near_duplicates": oracles.NEAR_DUPLICATES, "op10_decontaminate": oracles.DECONTAMINATE}

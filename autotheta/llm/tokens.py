@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
 from autotheta.llm import textkit
-from autotheta.sources.shared import keep, new_path, open_store
+from autotheta.sources.shared import keep, map_arrow, new_path, open_store
 
 MAGIC = b"TOKREC01"
 _HEAD = struct.Struct("<QI")
@@ -154,7 +154,7 @@ def write_shards(docs: DataFrame, tokenizer: str, end_id: int | None = 2, target
                 f.write(np.array(index, "<u8").tobytes())
             yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in ((TaskContext.get().partitionId(), pa.int64()), (f"{target}/{path.rpartition('/')[2]}", pa.string()), (n_docs, pa.int64()), (n_tokens, pa.int64()), (first, pa.int64()))], ["shard", "path", "n_docs", "n_tokens", "first_id"])
 
-    return keep(rows.mapInArrow(write, "shard bigint, path string, n_docs bigint, n_tokens bigint, first_id bigint"), "manifest")
+    return keep(map_arrow(rows, write, "shard bigint, path string, n_docs bigint, n_tokens bigint, first_id bigint"), "manifest")
 
 
 def _parse(f, where: str) -> tuple[int | None, np.ndarray]:
@@ -214,7 +214,7 @@ def read_shards(manifest: DataFrame) -> DataFrame:
 
     # One file a task, whatever the size of the manifest.
     tasks = max(1, min(100_000, manifest.count()))
-    return files.repartition(tasks, "path").mapInArrow(read, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
+    return map_arrow(files.repartition(tasks, "path"), read, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:

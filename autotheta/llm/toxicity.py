@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 from autotheta.llm import textkit
-from autotheta.sources.shared import keep
+from autotheta.sources.shared import keep, map_arrow
 
 #: Labelled documents the scores are learnt from at most (those of least hash), and scored tokens of a model.
 TRAIN_ROWS, MODEL_TOKENS = 60_000, 200_000
@@ -73,7 +73,7 @@ def _token_counts(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray) -> DataFr
             for a in range(0, len(out[0]), 200_000):
                 yield pa.RecordBatch.from_arrays([pa.array(x[a : a + 200_000].view(np.int64)) for x in out], names)
 
-    counted = rows.mapInArrow(run, "h bigint, g bigint, toxic_docs bigint, other_docs bigint, other_tokens bigint")
+    counted = map_arrow(rows, run, "h bigint, g bigint, toxic_docs bigint, other_docs bigint, other_tokens bigint")
     return counted.groupBy("h", "g").agg(*[F.sum(c).alias(c) for c in names[2:]])
 
 
@@ -202,7 +202,7 @@ def segments(rows: DataFrame, scores: Scores, lam: float) -> DataFrame:
                     spans[r] = [{"from": a, "to": e, "score": z} for a, e, z in found if lam * z >= 1]
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(np.diff(w.split)), pa.array(best), pa.array(x), pa.array(spans, span)], ["doc_id", "n_words", "best", "pooled", "spans"])
 
-    return rows.mapInArrow(run, "doc_id bigint, n_words bigint, best double, pooled double, spans array<struct<from: bigint, to: bigint, score: double>>")
+    return map_arrow(rows, run, "doc_id bigint, n_words bigint, best double, pooled double, spans array<struct<from: bigint, to: bigint, score: double>>")
 
 
 def fit_logistic(x: np.ndarray, positive: np.ndarray, negative: np.ndarray) -> tuple[float, float]:

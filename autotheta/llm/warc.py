@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from autotheta.sources.shared import keep, new_path, open_store
+from autotheta.sources.shared import keep, map_arrow, new_path, open_store
 
 GZIP, VERSION = b"\x1f\x8b\x08", b"WARC/1.1"
 #: Bytes of a reader's range, and of one read.
@@ -87,7 +87,7 @@ def write_archives(pages: DataFrame, target: str | None = None, min_revisit_byte
             out.close()
             yield pa.RecordBatch.from_arrays([pa.array([f"{target}/{name}"]), pa.array([n]), pa.array([size])], ["path", "n_records", "n_bytes"])
 
-    return keep(rows.mapInArrow(write, "path string, n_records bigint, n_bytes bigint"), "manifest")
+    return keep(map_arrow(rows, write, "path string, n_records bigint, n_bytes bigint"), "manifest")
 
 
 class _Bytes:
@@ -199,7 +199,7 @@ def read_archives(manifest: DataFrame, range_bytes: int = RANGE) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
     tasks = manifest.agg(F.sum(F.ceil(F.col("n_bytes") / range_bytes))).first()[0] or 1
-    return ranges.repartition(int(min(tasks, 100_000)), "path", "start").mapInArrow(read, SCHEMA)
+    return map_arrow(ranges.repartition(int(min(tasks, 100_000)), "path", "start"), read, SCHEMA)
 
 
 def list_archives(spark: SparkSession, folder: str) -> DataFrame:
