@@ -73,3 +73,64 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         before = now
     out = stars.select(F.col("a").alias("node"), F.col("b").alias("component"))
     return out.unionByName(out.select(F.col("component").alias("node"), "component").distinct())
+
+
+def _local_forest(edges: DataFrame) -> DataFrame:
+    """What a maximum spanning forest of each partition keeps of ``a, b, key, r, s``."""
+
+    def run(batches):
+        parts = [b for b in batches if b.num_rows]
+        if not parts:
+            return
+        t = pa.Table.from_batches(parts)
+        order = np.lexsort((t["s"].to_numpy(), t["r"].to_numpy(), -t["key"].to_numpy()))
+        sets, kept = DisjointSets(), []
+        a, b = t["a"].to_numpy()[order].tolist(), t["b"].to_numpy()[order].tolist()
+        for i, x, y in zip(order.tolist(), a, b, strict=True):
+            if sets.join(x, y):
+                kept.append(i)
+        yield from t.take(pa.array(kept, pa.int64())).combine_chunks().to_batches()
+
+    return map_arrow(edges, run, "a bigint, b bigint, key double, r bigint, s bigint")
+
+
+#: Edges that one task reduces to a forest at most; beyond, rounds of joins contract the graph first.
+FOREST_ROWS, FAN_IN = 4_000_000, 8
+
+
+def spanning_forest(pairs: DataFrame, forest_rows: int = FOREST_ROWS) -> DataFrame:
+    """``r, s, key`` of a maximum spanning forest of the bipartite graph of ``pairs``.
+
+    Ends are told apart by side: r has even labels, s odd ones. Partitions reduce what they hold to a forest and
+    merge by FAN_IN until one is left. Where a forest may be too large for a task, each component first
+    takes its best edge in every round (ties by ids) and is contracted, all in joins.
+    """
+    edges = pairs.select((F.col("r") * 2).alias("a"), (F.col("s") * 2 + 1).alias("b"), "key", "r", "s")
+    edges = keep(_local_forest(edges), "forest")
+    done: DataFrame | None = None
+    n = edges.count()
+    while n > forest_rows:
+        both = edges.select("a", "b", "key", "r", "s").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"), "key", "r", "s"))
+        order = F.struct("key", -F.col("r"), -F.col("s"))
+        chosen = keep(both.groupBy("a").agg(F.max_by(F.struct("b", "key", "r", "s"), order).alias("e")).select("a", "e.*"), "chosen")
+        taken = chosen.select("r", "s", "key").distinct()
+        done = taken if done is None else done.unionByName(taken)
+        c = components(chosen.select("a", "b"))
+        ca, cb = c.select(F.col("node").alias("a"), F.col("component").alias("na")), c.select(F.col("node").alias("b"), F.col("component").alias("nb"))
+        edges = keep(_local_forest(edges.join(ca, "a").join(cb, "b").where("na <> nb").select(F.col("na").alias("a"), F.col("nb").alias("b"), "key", "r", "s")), "forest")
+        n = edges.count()
+    parts = edges.rdd.getNumPartitions()
+    while parts > 1:
+        parts = -(-parts // FAN_IN)
+        edges = _local_forest(edges.coalesce(parts))
+    out = edges.select("r", "s", "key")
+    return out if done is None else done.unionByName(out)
+
+
+def pair_groups(pairs: DataFrame) -> DataFrame:
+    """``side, id, group_id``: matched groups of joined pairs; a group is named by its least r."""
+    c = components(pairs.select((F.col("r") * 2).alias("a"), (F.col("s") * 2 + 1).alias("b")))
+    least = c.where(F.pmod("node", F.lit(2)) == 0).groupBy("component").agg(F.min(F.expr("node div 2")).alias("group_id"))
+    rows = c.join(least, "component")
+    even = F.pmod("node", F.lit(2)) == 0
+    return rows.select(F.when(even, "R").otherwise("S").alias("side"), F.expr("CASE WHEN pmod(node, 2) = 0 THEN node div 2 ELSE (node - 1) div 2 END").alias("id"), "group_id")
