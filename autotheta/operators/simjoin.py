@@ -28,11 +28,13 @@ def sharing_pairs(p: Prepared, sim: SetSimilarity) -> DataFrame:
     return _keyed(r.join(s, "t").groupBy(*PAIR).agg(F.count(F.lit(1)).alias("o")), sim)
 
 
-def candidates(p: Prepared, sim: SetSimilarity, low: float, high: float | None = None, bounds: str = "tight", index: str = "prefix") -> DataFrame:
+def candidates(p: Prepared, sim: SetSimilarity, low: float, high: float | None = None, bounds: str = "tight", index: str = "prefix", first: bool = False) -> DataFrame:
     """Pairs that meet with both caps at ``low`` or more (key space), in a shared element of both prefixes.
 
     ``high``: only those that did not meet at ``high``; each pair comes in one band over a descending run, if the
     caller drops pairs of earlier bands. ``index="full"`` indexes all elements of s instead of its prefix.
+    Without ``high`` and ``first``, pairs whose sizes alone keep them below ``low`` are left out; in a run of bands they
+    must stay, since they do not come up again.
     """
     pr = postings(p.r, sim, "r", bounds).select("t", F.col("id").alias("r"), F.col("n").alias("nr"), F.col("cap").alias("cr")).where(F.col("cr") >= low)
     ps = postings(p.s, sim, "s", bounds).select("t", F.col("id").alias("s"), F.col("n").alias("ns"), F.col("cap").alias("cs"))
@@ -43,7 +45,9 @@ def candidates(p: Prepared, sim: SetSimilarity, low: float, high: float | None =
     else:  # what is new on either side meets all that is there by now
         met = pr.where(F.col("cr") < high).join(ps, "t")
         met = met.unionByName(pr.where(F.col("cr") >= high).join(ps.where(F.col("cs") < high), "t"))
-    return met.where(sim.key(F.least("nr", "ns"), F.col("nr"), F.col("ns")) >= low).select(*PAIR).distinct()
+    if high is None and not first:
+        met = met.where(sim.key(F.least("nr", "ns"), F.col("nr"), F.col("ns")) >= low)
+    return met.select(*PAIR).distinct()
 
 
 def with_sets(pairs: DataFrame, p: Prepared) -> DataFrame:

@@ -42,7 +42,7 @@ def top_search(p: Prepared, sim: SetSimilarity, bounds: str = "tight", steps: tu
     found: DataFrame | None = None
     active_r, active_s, high = p.r.select(F.col("id").alias("r")), p.s.select(F.col("id").alias("s")), None
     for low in steps:
-        met = candidates(p, sim, low, high, bounds)
+        met = candidates(p, sim, low, high, bounds, first=high is None)
         wanted = met.join(active_r, "r", "left_semi").unionByName(met.join(active_s, "s", "left_semi")).distinct()
         pairs = verify_eager(wanted, p, sim).select("r", "s", "key")
         new = pairs.select(F.lit("R").alias("side"), F.col("r").alias("id"), "key").unionByName(pairs.select(F.lit("S").alias("side"), F.col("s").alias("id"), "key")).where("key > 0")
@@ -105,7 +105,7 @@ def auto_join(p: Prepared, sim: SetSimilarity, objective: Objective, pivots: str
     stopped = False
     for low in lows:
         metrics["bands"] += 1
-        new = candidates(p, sim, low, high, bounds)
+        new = candidates(p, sim, low, high, bounds, first=high is None)
         if seen is not None:
             new = new.join(seen, ["r", "s"], "left_anti")
         new = keep(new, "candidates")
