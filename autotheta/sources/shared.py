@@ -54,16 +54,24 @@ def open_store(uri: str):
 
 
 _SHIPPED: set[str] = set()
+#: Bytes of an Arrow batch, where the session has Spark's own default.
+BATCH_CONF, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", "16m"
 
 
 def ship(spark: SparkSession) -> None:
-    """Give executors this package, once an application: their Python need not find it by itself."""
+    """Give executors this package, once an application: their Python need not find it by itself.
+
+    Sets the bytes of Arrow batches too, a setting of the running session, if it stands at its default.
+    """
     import zipfile
     from pathlib import Path
 
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
+    # Batches of texts this large are enough for arrays, and two a core fit beside a small heap.
+    if spark.conf.get(BATCH_CONF, "64m") in ("64m", "67108864b", "67108864"):
+        spark.conf.set(BATCH_CONF, BATCH_BYTES)
     root = Path(__file__).resolve().parents[1]
     path = os.path.join(tempfile.mkdtemp(prefix="autotheta-"), "autotheta.zip")
     with zipfile.ZipFile(path, "w") as z:
