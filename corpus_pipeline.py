@@ -16,7 +16,8 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
-    """``docs`` with a ``key``: the id, or for null ids a negative number of the row's own."""
+    """COLUMNS of ``docs`` with a ``key``: the id, or for null ids a negative number of the row's own."""
+    docs = docs.select(*COLUMNS)
     if docs.where("doc_id IS NULL").limit(1).count() == 0:
         return docs.withColumn("key", F.col("doc_id"))
     return keep(docs.withColumn("key", F.coalesce("doc_id", -1 - F.monotonically_increasing_id())), "keyed")
@@ -51,7 +52,7 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it: none, one or more rows."""
-    rows = keep(docs.withColumn("row", F.monotonically_increasing_id()), "rows")
+    rows = keep(docs.select(*COLUMNS).withColumn("row", F.monotonically_increasing_id()), "rows")
     copies = mixing.mix_sources(rows, row_col="row").where("copies > 0").select("row", "copies")
     mixed = rows.join(copies, "row").withColumn("copy", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("copies"))))
     return mixed.select(*COLUMNS)
