@@ -1,13 +1,16 @@
-"""Quality rules by n-gram perplexity: a modified Kneser-Ney model of order 3 a language, and bands.
-
-The model's symbols are, in each language, its WORDS most frequent words; every other word is the class of its
-shape (length, capitals, marks, digits). So a trigram is 24 bits, whatever the vocabulary of the corpus.
-Counts are made over all texts: partitions count what they hold, Spark adds up. Second-order and
-first-order tables are dense; trigrams lie in sorted arrays, found by binary search. If more than
-MODEL_ROWS trigrams occur, the rarest are pruned (their mass goes to the backoff), so the broadcast has a bound.
-
-A document's log-perplexity is compared with its language's band around the median. The band's width follows
-from the spread of single words, divided by the document's length, and the spread of documents.
+"""Quality rules by n-gram perplexity: a modified Kneser-Ney model of words of order 3 a language, and bands.
+
+Every word counts as itself: tables of all word trigrams, of their bigrams and words are made by grouping and joined,
+so none has a bound. Texts fall into two halves by their hash and each half is scored by the counts of the other, so
+that a text (or its exact copies) does not vouch for itself. Below single words lies a model of symbols: in each
+language the WORDS most frequent words, and for all others the class of their shape (length, capitals, marks,
+digits), evenly spread over the words of the class. It has all the mass of words that the other half lacks.
+Its second-order and first-order tables are dense, its trigrams (24 bits) lie in sorted arrays. If more than MODEL_ROWS
+of these occur, the rarest are pruned (their mass goes to the backoff), so the broadcast has a bound.
+
+A document's log-perplexities, of words and of symbols, are compared with its language's bands around the
+medians. A band's width follows from the spread of single words, divided by the document's length, and the spread
+of documents.
 """
 
 from __future__ import annotations
@@ -279,15 +282,122 @@ def duplicate_lines(text: bytes) -> int:
     return n
 
 
-def measures(rows: DataFrame, model: Model) -> DataFrame:
-    """Base counts and the perplexity of every row: one scan of the texts."""
+def word_trigrams(hashes: np.ndarray, split: np.ndarray, language: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The three words of each of ``trigrams``, as hashes that differ by language."""
+    n = np.diff(split)
+    padded = np.repeat(word_key(np.full(len(n), START, np.uint64), language), n + 3)
+    begin = split[:-1] + 3 * np.arange(len(n)) + 2
+    padded[textkit._ranges(begin, n)] = word_key(hashes, np.repeat(language, n))
+    padded[begin + n] = word_key(np.full(len(n), END, np.uint64), language)
+    at = textkit._ranges(begin, n + 1)
+    return padded[at - 2], padded[at - 1], padded[at]
+
+
+def _tokens(rows: DataFrame, model: Model) -> DataFrame:
+    """``t, u, v, w, k, s`` for each word and end of ``i, lang, text, t`` rows: its trigram, the number of the
+    language and the word's symbol, and the log10 probability of that symbol."""
     shared = rows.sparkSession.sparkContext.broadcast(model)
-    names = ["doc_id", "language", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "log_perplexity", "log_square"]
 
     def run(batches):
         m = shared.value
         for b in batches:
             number = m.symbols.numbers(b.column(1))
+            for lo, hi, data, offsets in textkit.blocks(b.column(2), 1 << 20):
+                w = textkit.words(data, offsets, textkit.SPACED)
+                hashes = w.hash if w.hash is not None else np.zeros(0, np.uint64)
+                k, split = trigrams(m.symbols.of(data, w, number[lo:hi]), w.split)
+                row = np.repeat(np.arange(lo, hi), np.diff(split))
+                words = [x.view(np.int64) for x in word_trigrams(hashes, w.split, number[lo:hi])]
+                s = m.scores(k, number[row]).astype(np.float32)
+                columns = [b.column(3).to_numpy()[row], *words, ((number[row] << 8) | (k & 0xFF)).astype(np.int32), s]
+                for at in range(0, len(row), 50_000):
+                    yield pa.RecordBatch.from_arrays([pa.array(x[at : at + 50_000]) for x in columns], ["t", "u", "v", "w", "k", "s"])
+
+    return map_arrow(rows, run, "t bigint, u bigint, v bigint, w bigint, k int, s float")
+
+
+def _by_kind(n: str) -> list:
+    """Sum of ``n`` and how many are 1, 2 and more, in each half."""
+    return [x for h in "ab" for x in (F.sum(f"{n}{h}").alias(f"all{h}"), *(F.count_if(F.col(f"{n}{h}") == j if j < 3 else F.col(f"{n}{h}") > 2).alias(f"n{j}{h}") for j in (1, 2, 3)))]
+
+
+def _parts(n: str, d: dict, h: str) -> tuple:
+    """What an n-gram of ``n`` occurrences has by itself, and the share of its context that goes to the lower order.
+
+    ``d`` has the discounts by language; the context's columns are those of ``_by_kind``.
+    """
+    d1, d2, d3 = (F.element_at(F.array(*[F.lit(float(x)) for x in row]), F.shiftright("k", 8) + 1) for row in d[h].T)
+    c, whole = F.col(f"{n}{h}"), F.col(f"all{h}")
+    cut = F.when(c == 1, d1).when(c == 2, d2).otherwise(d3)
+    own = F.when(c > 0, (c - cut) / whole).otherwise(0.0)
+    return own, F.when(whole > 0, (d1 * F.col(f"n1{h}") + d2 * F.col(f"n2{h}") + d3 * F.col(f"n3{h}")) / whole).otherwise(1.0)
+
+
+def _discounts_of(table: DataFrame, n: str, size: int) -> dict:
+    """By half, the discounts of each language."""
+    counts = table.groupBy(F.shiftright("k", 8).alias("language")).agg(*[F.count_if(F.col(f"{n}{h}") == j).alias(f"{h}{j}") for h in "ab" for j in (1, 2, 3, 4)]).collect()
+    out = {h: np.tile([0.5, 1.0, 1.5], (size, 1)) for h in "ab"}
+    for r in counts:
+        for h in "ab":
+            out[h][r["language"]] = discounts(*(float(r[f"{h}{j}"]) for j in (1, 2, 3, 4)))
+    return out
+
+
+def half(t: str = "t"):
+    """Which half of the texts a text hash belongs to, 0 or 1."""
+    return F.pmod(F.col(t), F.lit(2))
+
+
+def word_probabilities(tokens: DataFrame, languages: int) -> DataFrame:
+    """``u, v, w, pa, pb``: probability of each trigram's last word by the counts of either half."""
+    first, second = (F.sum((half() == x).cast("bigint")).alias(f"n{h}") for x, h in ((0, "a"), (1, "b")))
+    three = keep(tokens.groupBy("u", "v", "w").agg(F.min("k").alias("k"), F.min("s").alias("s"), first, second), "words3")
+    context = three.groupBy(F.col("u").alias("u_"), F.col("v").alias("v_")).agg(*_by_kind("n"))
+    two = keep(three.groupBy("v", "w").agg(F.min("k").alias("k"), *[F.count_if(F.col(f"n{h}") > 0).alias(f"m{h}") for h in "ab"]), "words2")
+    before = two.groupBy(F.col("v").alias("v_")).agg(*_by_kind("m"))
+    one = keep(two.groupBy("w").agg(F.min("k").alias("k"), *[F.count_if(F.col(f"m{h}") > 0).alias(f"q{h}") for h in "ab"]), "words1")
+    d3, d2, d1 = _discounts_of(three, "n", languages), _discounts_of(two, "m", languages), _discounts_of(one, "q", languages)
+
+    def named(table: DataFrame, n: str, d: dict, own: str, rest: str) -> DataFrame:
+        out = {}
+        for h in "ab":
+            out[f"{own}{h}"], out[f"{rest}{h}"] = _parts(n, d, h)
+        return table.withColumns(out)
+
+    # Words by language; a shape's mass is shared by its words and one more that was never seen.
+    whole = one.groupBy(F.shiftright("k", 8).alias("l_")).agg(*_by_kind("q"))
+    kinds = one.groupBy(F.col("k").alias("k_")).agg(F.count(F.lit(1)).alias("types"))
+    symbol = F.col("k").bitwiseAND(0xFF)
+    types = F.when(symbol.between(SHAPE0, START - 1), F.col("types") + 1).otherwise(1)
+    one = named(one.join(F.broadcast(whole), F.shiftright("k", 8) == F.col("l_")), "q", d1, "own", "rest").join(F.broadcast(kinds), F.col("k") == F.col("k_"))
+    one = one.select(F.col("w").alias("w_"), types.alias("types"), *(F.col(f"{x}{h}").alias(f"{x}1{h}") for x in ("own", "rest") for h in "ab"))
+    two = named(two.join(before, F.col("v") == F.col("v_")), "m", d2, "own", "rest").join(one, F.col("w") == F.col("w_"))
+    lower = [e for h in "ab" for e in ((F.col(f"own{h}") + F.col(f"rest{h}") * F.col(f"own1{h}")).alias(f"low{h}"), (F.col(f"rest{h}") * F.col(f"rest1{h}") / F.col("types")).alias(f"open{h}"))]
+    two = two.select(F.col("v").alias("v2"), F.col("w").alias("w2"), *lower)
+    three = named(three.join(context, (F.col("u") == F.col("u_")) & (F.col("v") == F.col("v_"))), "n", d3, "own", "rest").join(two, (F.col("v") == F.col("v2")) & (F.col("w") == F.col("w2")))
+    p = {h: F.col(f"own{h}") + F.col(f"rest{h}") * (F.col(f"low{h}") + F.col(f"open{h}") * F.pow(F.lit(10.0), F.col("s"))) for h in "ab"}
+    return three.select("u", "v", "w", p["a"].alias("pa"), p["b"].alias("pb"))
+
+
+def text_perplexity(rows: DataFrame, model: Model) -> DataFrame:
+    """``t, log_perplexity, log_square, shape_log_perplexity, shape_log_square`` of each text: mean and variance
+    of the log10 probabilities of its words, and of their symbols."""
+    gram = F.xxhash64("u", "v", "w")
+    p = word_probabilities(_tokens(rows, model), len(model.symbols.languages) + 1)
+    p = p.select(gram.alias("g_"), F.log10("pa").cast("float").alias("la"), F.log10("pb").cast("float").alias("lb"))
+    said = _tokens(rows, model).select("t", gram.alias("g"), (-F.col("s")).cast("double").alias("y")).join(p, F.col("g") == F.col("g_"))
+    said = said.select("t", "y", F.when(half() == 0, -F.col("lb")).otherwise(-F.col("la")).cast("double").alias("x"))
+    return said.groupBy(F.col("t").alias("t_")).agg(F.avg("x").alias("log_perplexity"), F.var_pop("x").alias("log_square"), F.avg("y").alias("shape_log_perplexity"), F.var_pop("y").alias("shape_log_square"))
+
+
+def measures(rows: DataFrame, symbols: Symbols) -> DataFrame:
+    """Base counts of every row: one scan of the texts."""
+    shared = rows.sparkSession.sparkContext.broadcast(symbols.languages)
+    names = ["doc_id", "language", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "t"]
+
+    def run(batches):
+        for b in batches:
+            number = np.array([shared.value.get(x, 0) for x in b.column(1).to_pylist()], np.int64)
             for lo, hi, data, offsets in textkit.blocks(b.column(2)):
                 w = textkit.words(data, offsets, textkit.SPACED)
                 hashes = w.hash if w.hash is not None else np.zeros(0, np.uint64)
@@ -297,38 +407,41 @@ def measures(rows: DataFrame, model: Model) -> DataFrame:
                     return c[offsets[1:]] - c[offsets[:-1]]
 
                 letters = by_row((data & 0xC0) != 0x80) - by_row(~textkit.SPACED.inside[data])
-                t, split = trigrams(m.symbols.of(data, w, number[lo:hi]), w.split)
-                s = -m.scores(t, np.repeat(number[lo:hi], np.diff(split))).astype(np.float64)
-                total, square = (np.add.reduceat(x, split[:-1]) for x in (s, s * s))
                 raw = data.tobytes()
                 lines = [duplicate_lines(raw[x:y]) for x, y in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-                n = np.diff(split)
                 arrays = [np.diff(w.split), letters, by_row(_SIGNS[data]), np.array(lines, np.int64), repeated_words(hashes, w.split)]
-                yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(number[lo:hi]), *map(pa.array, arrays), pa.array(total / n), pa.array(square / n - (total / n) ** 2)], names)
+                yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(number[lo:hi]), *map(pa.array, arrays), b.column(3)[lo:hi]], names)
 
-    return map_arrow(rows, run, "doc_id bigint, language bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, log_perplexity double, log_square double")
+    return map_arrow(rows, run, "doc_id bigint, language bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, t bigint")
 
 
 def perplexity_filter(docs: DataFrame, z: float = 6.0, min_words: int = 20, repeat_percent: int = 30, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """Counts, perplexity, band and verdict of every document; one row per input row.
 
     Returns ``doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, log_perplexity,
-    lower, upper, kept``. A document is kept if it has ``min_words`` words, at most ``repeat_percent`` % of them in
-    repeated 8-word windows, and a log10 perplexity inside its language's band. Languages beyond the LANGUAGES most
+    lower, upper, shape_log_perplexity, shape_lower, shape_upper, kept``. A document is kept if it has ``min_words``
+    words, at most ``repeat_percent`` % of them in repeated 8-word windows, a log10 perplexity of its words that is not
+    above its language's band, and one of their symbols inside the band of these. Below the words' band lies what
+    other texts nearly repeat, which is no fault of the text. Languages beyond the LANGUAGES most
     frequent, and null, share a model. Null and wordless texts fail the base. Bands leave out documents that fail the
     base; a language without others has no band and rejects none. Repeated rows count as often as they
     stand. Empty tables give no rows. Other columns are ignored.
     """
     rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"))
+    rows = rows.withColumn("t", F.xxhash64("lang", "text"))
     model = train(rows)
-    m = keep(measures(rows, model), "measures").withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
+    scored = measures(rows, model.symbols).join(text_perplexity(rows, model), F.col("t") == F.col("t_")).drop("t", "t_")
+    m = keep(scored, "measures").withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
     good = m.where("NOT base_failed")
-    middle = good.groupBy("language").agg(F.percentile_approx("log_perplexity", 0.5, 10000).alias("mid"), F.percentile_approx("log_square", 0.5, 10000).alias("per_word"))
-    off = good.join(F.broadcast(middle), "language").withColumn("off", F.abs(F.col("log_perplexity") - F.col("mid")))
-    # Spread of documents: the median distance of those long enough that single words hardly add to it.
-    spread = off.groupBy("language").agg(F.percentile_approx(F.when(F.col("n_words") >= 300, F.col("off")), 0.5, 10000).alias("off"))
-    band = middle.join(spread, "language").select(F.col("language").alias("g"), "mid", "per_word", (1.4826 * F.coalesce("off", F.lit(0.05))).alias("tau"))
-    width = F.lit(z) * F.sqrt(F.col("per_word") / (F.col("n_words") + 1) + F.col("tau") * F.col("tau"))
-    out = m.join(F.broadcast(band), F.col("language") == F.col("g"), "left").withColumns({"lower": F.col("mid") - width, "upper": F.col("mid") + width})
-    inside = F.coalesce(F.col("log_perplexity").between(F.col("lower"), F.col("upper")), F.lit(True))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity", "lower", "upper", (~F.col("base_failed") & inside).alias("kept"))
+    # Word and symbol perplexities have a band each.
+    for of in ("", "shape_"):
+        value, square = f"{of}log_perplexity", f"{of}log_square"
+        middle = good.groupBy("language").agg(F.percentile_approx(value, 0.5, 10000).alias("mid"), F.percentile_approx(square, 0.5, 10000).alias("per_word"))
+        off = good.join(F.broadcast(middle), "language").withColumn("off", F.abs(F.col(value) - F.col("mid")))
+        # Spread of documents: the median distance of those long enough that single words hardly add to it.
+        spread = off.groupBy("language").agg(F.percentile_approx(F.when(F.col("n_words") >= 300, F.col("off")), 0.5, 10000).alias("off"))
+        band = middle.join(spread, "language").select(F.col("language").alias("g"), "mid", "per_word", (1.4826 * F.coalesce("off", F.lit(0.05))).alias("tau"))
+        width = F.lit(z) * F.sqrt(F.col("per_word") / (F.col("n_words") + 1) + F.col("tau") * F.col("tau"))
+        m = m.join(F.broadcast(band), F.col("language") == F.col("g"), "left").withColumns({f"{of}lower": F.col("mid") - width, f"{of}upper": F.col("mid") + width}).drop("g", "mid", "per_word", "tau")
+    inside = F.coalesce(F.col("log_perplexity") <= F.col("upper"), F.lit(True)) & F.coalesce(F.col("shape_log_perplexity").between(F.col("shape_lower"), F.col("shape_upper")), F.lit(True))
+    return m.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity", "lower", "upper", "shape_log_perplexity", "shape_lower", "shape_upper", (~F.col("base_failed") & inside).alias("kept"))

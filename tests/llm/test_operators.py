@@ -316,3 +316,49 @@ def test_op10_blocks_agree(spark):
 def test_op10_digest():
     assert decontaminate.items_digest([]) == hashlib.sha256(b"").hexdigest()
     assert decontaminate.items_digest(["2", "10"]) == hashlib.sha256(b"10,2").hexdigest()
+
+
+def test_op6_words_by_hand(spark):
+    """Word probabilities against modified Kneser-Ney written out; random words of the same shapes are no clean text."""
+    rng = random.Random(6)
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    pool = ["".join(rng.choice(letters) for _ in range(rng.randint(3, 7))) for _ in range(600)]
+
+    def text():
+        at, out = rng.randrange(600), []
+        for _ in range(60):
+            out.append(pool[at])
+            at = (at * 7 + rng.randrange(4)) % 600
+        return " ".join(out)
+
+    clean = [text() for _ in range(200)]
+    junk = [" ".join("".join(rng.choice(letters) for _ in w) for w in t.split()) for t in clean[:6]]
+    rows = spark.createDataFrame([(k, "en", t) for k, t in enumerate(clean + junk)], "doc_id bigint, lang string, text string")
+    got = {r.doc_id: r for r in perplexity.perplexity_filter(rows).collect()}
+    assert sum(got[k].kept for k in range(200)) >= 196 and not any(got[200 + k].kept for k in range(6))
+
+    docs = rows.withColumnRenamed("doc_id", "i").withColumn("t", F.xxhash64("lang", "text"))
+    model = perplexity.train(docs)
+    tokens_ = [tuple(r) for r in perplexity._tokens(docs, model).collect()]
+    table = {(r.u, r.v, r.w): r for r in perplexity.word_probabilities(perplexity._tokens(docs, model), 2).collect()}
+    assert set(table) == {x[1:4] for x in tokens_}
+    symbol = {x[3]: x[4] & 0xFF for x in tokens_}
+    types = collections.Counter(symbol.values())
+    prior = {x[1:4]: 10.0 ** x[5] / (types[symbol[x[3]]] + 1 if perplexity.SHAPE0 <= symbol[x[3]] < perplexity.START else 1) for x in tokens_}
+    for side, h in ((0, "pa"), (1, "pb")):
+        three = collections.Counter(x[1:4] for x in tokens_ if x[0] % 2 == side)
+        two = collections.Counter(g[1:] for g in three)
+        one = collections.Counter((g[1],) for g in two)
+
+        def order(counts):
+            of = collections.Counter(counts.values())
+            d = [0.0, *perplexity.discounts(*(of[k] for k in (1, 2, 3, 4)))]
+            whole, rest = collections.Counter(), collections.Counter()
+            for g, n in counts.items():
+                whole[g[:-1]] += n
+                rest[g[:-1]] += d[min(n, 3)]
+            return lambda g, low: ((counts[g] - d[min(counts[g], 3)] if g in counts else 0.0) + rest[g[:-1]] * low) / whole[g[:-1]] if whole[g[:-1]] else low
+
+        p3, p2, p1 = order(three), order(two), order(one)
+        for g, r in list(table.items())[:3000]:
+            assert r[h] == pytest.approx(p3(g, p2(g[1:], p1(g[2:], prior[g]))), rel=1e-4)
