@@ -18,6 +18,8 @@ from autotheta.sources.shared import keep, map_arrow
 
 #: Labelled documents that the classifier is fitted on at most (those of least hash).
 TRAIN_ROWS = 60_000
+#: Words of a window in which distinct ones are counted.
+WINDOW = 200
 _UPPER, _LOWER, _DIGIT, _SIGN, _STOP, _LINE, _WIDE = (np.zeros(256, np.float32) for _ in range(7))
 _UPPER[65:91] = 1
 _LOWER[97:123] = 1
@@ -41,12 +43,19 @@ def measure(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
 
     row = np.repeat(np.arange(len(n)), np.diff(w.split))
     h = w.hash if w.hash is not None else np.zeros(0, np.uint64)
-    # Distinct words among the first 200 at most of each text's places, so that length does not matter.
-    place = np.arange(len(h)) - w.split[:-1][row]
-    first = place < 200
-    key = textkit.mix(h[first] + row[first].astype(np.uint64) * textkit.U(0x9E3779B97F4A7C15))
+    # Mean share of distinct words over the windows of WINDOW words, cut one after the other, so that length does not
+    # matter; a text's last window ends with it and overlaps the one before, so that all are full where the text is.
+    count = np.diff(w.split)
+    windows = -(-count // WINDOW)
+    of = np.repeat(np.arange(len(count)), windows)
+    place = WINDOW * (np.arange(len(of)) - (np.cumsum(windows) - windows)[of])
+    length = np.minimum(WINDOW, count[of])
+    begin = w.split[:-1][of] + np.minimum(place, count[of] - length)
+    inside = np.repeat(np.arange(len(of)), length)
+    key = textkit.mix(h[textkit._ranges(begin, length)] + inside.astype(np.uint64) * textkit.U(0x9E3779B97F4A7C15))
     one = np.unique(key, return_index=True)[1]
-    distinct = np.bincount(row[first][one], minlength=len(n)) / np.maximum(1, np.minimum(n, 200))
+    share_of = np.bincount(inside[one], minlength=len(of)) / np.maximum(1, length)
+    distinct = np.bincount(of, share_of, minlength=len(n)) / np.maximum(1, windows)
     same = np.zeros(len(h))
     if len(h) > 1:
         same[1:] = (h[1:] == h[:-1]) & (row[1:] == row[:-1])

@@ -362,3 +362,12 @@ def test_op6_words_by_hand(spark):
         p3, p2, p1 = order(three), order(two), order(one)
         for g, r in list(table.items())[:3000]:
             assert r[h] == pytest.approx(p3(g, p2(g[1:], p1(g[2:], prior[g]))), rel=1e-4)
+
+
+def test_op7_distinct_of_whole_text():
+    """Repetition beyond the first 200 words counts; the share does not fall with length alone."""
+    varied = [f"w{k}" for k in range(200)]
+    texts = [varied, varied + ["a", "b"] * 1500, varied * 10, varied + ["x"] * 10, [], ["a", "a", "b"]]
+    data, offsets = textkit.text_rows(pa.array([" ".join(x) for x in texts]))
+    got = quality.measure(data, offsets)[:, quality.FEATURES.index("distinct")]
+    assert got.tolist() == pytest.approx([1, (1 + 15 * 0.01) / 16, 1, (1 + 191 / 200) / 2, 0, 2 / 3])
