@@ -1,32 +1,37 @@
-"""Quality rules by n-gram perplexity: a modified Kneser-Ney model of words of order 3 a language, and bands.
+"""Quality rules by n-gram perplexity: a modified Kneser-Ney model of words a language, and its bands.
 
-Every word counts as itself: tables of all word trigrams, of their bigrams and words are made by grouping and joined,
-so none has a bound. Texts fall into two halves by their hash and each half is scored by the counts of the other, so
-that a text (or its exact copies) does not vouch for itself. Below single words lies a model of symbols: in each
-language the WORDS most frequent words, and for all others the class of their shape (length, capitals, marks,
-digits), evenly spread over the words of the class. It has all the mass of words that the other half lacks.
-Its second-order and first-order tables are dense, its trigrams (24 bits) lie in sorted arrays. If more than MODEL_ROWS
-of these occur, the rarest are pruned (their mass goes to the backoff), so the broadcast has a bound.
+The model is of order 2. Every word counts as itself: all bigrams of all texts are counted as 48-bit hashes in sorted
+arrays that are dealt out by range (``exchange``), so no table has a bound and none is in one place; contexts and
+continuations follow from the counts of each distinct bigram and are counted by word in the same way. Texts fall into two halves
+by their hash and each half is scored by the counts of the other, so that a text (or its exact copies) does not vouch
+for itself. Below single words lies a model of symbols, of order 2 too and dense: a language's most frequent words are symbols of
+their own, all others the class of their shape (length, capitals, marks, digits), evenly spread over the words of the class.
+It has the mass of words that the other half lacks.
 
-A document's log-perplexities, of words and of symbols, are compared with its language's bands around the
+A document's log-perplexities, of words and of their symbols, are compared with its language's bands around the
 medians. A band's width follows from the spread of single words, divided by the document's length, and the spread
 of documents.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F
-
-from autotheta.llm import textkit
-from autotheta.sources.shared import keep, map_arrow
-
-WORDS, LANGUAGES, MODEL_ROWS = 120, 32, 4_000_000
-#: Symbols: shapes from SHAPE0 on, then the start and the end of a text.
-SHAPE0, START, END, SYMBOLS = WORDS, 254, 255, 256
+from pyspark.sql import DataFrame, functions as F
+
+from autotheta.llm import exchange, textkit
+from autotheta.llm.exchange import distinct
+from autotheta.llm.textkit import U
+from autotheta.sources.shared import keep, map_arrow, new_path
+
+#: Bytes of text of a chunk: what a task has in memory at once.
+CHUNK = 32 << 20
+#: Symbols: shapes of words are 0 to 125, then the start and the end of a text, and a language's WORDS most frequent words.
+START, END, WORDS, SYMBOLS = 126, 127, 128, 256
+_SHIFT = U(64 - exchange.KEY_BITS)
 _MARKS = np.zeros(256, bool)
 _MARKS[[b for b in range(0x21, 0x7F) if not chr(b).isalnum()]] = True
 _UPPER = np.zeros(256, bool)
@@ -50,107 +55,82 @@ def shapes(data: np.ndarray, w: textkit.Words) -> np.ndarray:
     length = np.searchsorted([2, 3, 5, 8, 12, 18], w.end - w.start, "right")
     capital = np.where(upper == 0, 0, np.where((upper == 1) & _UPPER[data[w.start]], 1, 2))
     mark = np.where(marks == 0, 0, np.where((marks == 1) & ((last == 46) | (last == 44)), 1, 2))
-    return SHAPE0 + ((length * 3 + capital) * 3 + mark) * 2 + (count(_DIGIT) > 0)
+    return ((length * 3 + capital) * 3 + mark) * 2 + (count(_DIGIT) > 0)
 
 
 @dataclass
-class Symbols:
-    """Languages with a model of their own (others share number 0), and the words of each."""
-
-    languages: dict[str, int]
-    keys: np.ndarray
-    ids: np.ndarray
-    maybe: np.ndarray = field(init=False)
-
-    def __post_init__(self):
-        self.maybe = np.zeros(1 << 16, bool)
-        self.maybe[(self.keys & textkit.U(0xFFFF)).astype(np.int64)] = True
-
-    def of(self, data: np.ndarray, w: textkit.Words, language: np.ndarray) -> np.ndarray:
-        """Symbol of each word; ``language`` is by row."""
-        out = shapes(data, w)
-        if len(self.keys) and len(w):
-            h = word_key(w.hash, np.repeat(language, np.diff(w.split)))
-            at = np.flatnonzero(self.maybe[(h & textkit.U(0xFFFF)).astype(np.int64)])
-            k = np.minimum(np.searchsorted(self.keys, h[at]), len(self.keys) - 1)
-            hit = self.keys[k] == h[at]
-            out[at[hit]] = self.ids[k[hit]]
-        return out
-
-    def numbers(self, column: pa.Array) -> np.ndarray:
-        return np.array([self.languages.get(x, 0) for x in column.to_pylist()], np.int64)
-
-
-def word_key(hashes: np.ndarray, language: np.ndarray) -> np.ndarray:
-    return textkit.mix(hashes + language.astype(np.uint64) * textkit.U(0xA0761D6478BD642F))
-
-
-def trigrams(symbols: np.ndarray, split: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """24-bit trigrams of rows with two starts and an end, and the first of each row."""
-    n = np.diff(split)
-    out_split = np.concatenate([[0], np.cumsum(n + 1)])
-    padded = np.full(len(symbols) + 3 * len(n), START, np.int64)
-    begin = split[:-1] + 3 * np.arange(len(n)) + 2
-    padded[textkit._ranges(begin, n)] = symbols
-    padded[begin + n] = END
-    at = textkit._ranges(begin, n + 1)
-    return (padded[at - 2] << 16) | (padded[at - 1] << 8) | padded[at], out_split
+class Chunk:
+    """Words of some texts: each with the word before it and both shapes, ends of texts included.
 
+    ``language`` and ``half`` are by row, ``row`` by word; languages are numbered in the chunk only.
+    """
 
-def _count_words(rows: DataFrame, languages: dict[str, int]) -> DataFrame:
-    """``language, h, n`` of all words."""
-
-    def run(batches):
-        parts: dict[int, list] = {}
-        for b in batches:
-            number = np.array([languages.get(x, 0) for x in b.column(1).to_pylist()], np.int64)
-            for lo, hi, data, offsets in textkit.blocks(b.column(2)):
-                w = textkit.words(data, offsets, textkit.SPACED)
-                if w.hash is None:
-                    continue
-                by_word = np.repeat(number[lo:hi], np.diff(w.split))
-                for g in np.unique(number[lo:hi]).tolist():
-                    parts.setdefault(g, []).append(np.unique(w.hash[by_word == g], return_counts=True))
-                    if len(parts[g]) >= 16:
-                        parts[g] = [_add_up(parts[g])]
-        for g, p in parts.items():
-            h, n = _add_up(p)
-            for at in range(0, len(h), 200_000):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h[at : at + 200_000]), g)), pa.array(h[at : at + 200_000].view(np.int64)), pa.array(n[at : at + 200_000])], ["language", "h", "n"])
-
-    return map_arrow(rows, run, "language bigint, h bigint, n bigint").groupBy("language", "h").agg(F.sum("n").alias("n"))
-
-
-def _add_up(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-    """Sum of (sorted keys, counts)."""
-    if len(parts) == 1:
-        return parts[0]
-    keys, counts = np.concatenate([k for k, _ in parts]), np.concatenate([n for _, n in parts])
-    order = np.argsort(keys, kind="stable")
-    keys, counts = keys[order], counts[order]
-    first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.zeros(0, np.int64)
-    return keys[first], np.add.reduceat(counts, first) if len(first) else counts
-
-
-def _count_trigrams(rows: DataFrame, symbols: Symbols) -> DataFrame:
-    shared = rows.sparkSession.sparkContext.broadcast(symbols)
-
-    def run(batches):
-        parts: list = []
-        for b in batches:
-            number = shared.value.numbers(b.column(1))
-            for lo, hi, data, offsets in textkit.blocks(b.column(2)):
-                w = textkit.words(data, offsets, textkit.SPACED)
-                t, split = trigrams(shared.value.of(data, w, number[lo:hi]), w.split)
-                parts.append(np.unique(t | (np.repeat(number[lo:hi], np.diff(split)) << 24), return_counts=True))
-                if len(parts) >= 16:
-                    parts = [_add_up(parts)]
-        if parts:
-            k, n = _add_up(parts)
-            for at in range(0, len(k), 200_000):
-                yield pa.RecordBatch.from_arrays([pa.array(k[at : at + 200_000]), pa.array(n[at : at + 200_000])], ["k", "n"])
-
-    return map_arrow(rows, run, "k bigint, n bigint").groupBy("k").agg(F.sum("n").alias("n"))
+    number: int
+    languages: list[str]
+    language: np.ndarray
+    half: np.ndarray
+    row: np.ndarray
+    before: np.ndarray
+    word: np.ndarray
+    shape_before: np.ndarray
+    shape: np.ndarray
+    rest: list[tuple]
+
+    def by_language(self) -> Iterator[tuple[str, np.ndarray]]:
+        """Places of the words of each language."""
+        of = self.language[self.row]
+        for g, name in enumerate(self.languages):
+            at = np.flatnonzero(of == g)
+            if len(at):
+                yield name, at
+
+    def bigrams(self, at: np.ndarray) -> np.ndarray:
+        return textkit.mix(self.before[at] * U(0x9E3779B97F4A7C15) + self.word[at]) >> _SHIFT
+
+
+def _chunk(number: int, held: list[tuple]) -> Chunk:
+    """``held``: ids, languages, halves, words, shapes and further values of blocks of rows."""
+    names = sorted({x for part in held for x in part[1]})
+    place = {x: g for g, x in enumerate(names)}
+    language = np.array([place[x] for part in held for x in part[1]], np.int32)
+    half = np.concatenate([part[2] for part in held])
+    n = np.concatenate([np.diff(part[3].split) for part in held])
+    # Words of one spelling in two languages are two words.
+    seeds = np.array([int.from_bytes(x.encode()[-8:], "little") for x in names], np.uint64) if names else np.zeros(0, np.uint64)
+    seeds = textkit.mix(seeds + np.array([len(x.encode()) for x in names], np.uint64) * U(0xA0761D6478BD642F))
+    row = np.repeat(np.arange(len(n), dtype=np.int32), n + 1)
+    end = np.cumsum(n + 1) - 1
+    inner = np.ones(len(row), bool)
+    inner[end] = False
+    word = np.full(len(row), END, np.uint64)
+    word[inner] = np.concatenate([p[3].hash if p[3].hash is not None else np.zeros(0, np.uint64) for p in held])
+    shape = np.full(len(row), END, np.uint8)
+    shape[inner] = np.concatenate([p[4] for p in held])
+    word = textkit.mix(word + seeds[language[row]])
+    before, shape_before = np.empty_like(word), np.empty_like(shape)
+    before[1:], shape_before[1:] = word[:-1], shape[:-1]
+    start = end - n
+    before[start], shape_before[start] = textkit.mix(U(START) + seeds[language]), START
+    return Chunk(number, names, language, half, row, before, word, shape_before, shape, [(p[0], p[3].split, *p[5:]) for p in held])
+
+
+def chunks(batches, more=None) -> Iterator[Chunk]:
+    """The texts of ``i, language, text, t`` batches in chunks of CHUNK bytes; ``more`` adds values by block."""
+    held, size, ordinal = [], 0, 0
+    for b in batches:
+        names, half = b.column(1).to_pylist(), b.column(3).to_numpy() & 1
+        for lo, hi, data, offsets in textkit.blocks(b.column(2)):
+            if held and size + len(data) > CHUNK:
+                yield _chunk(exchange.chunk_id(ordinal), held)
+                held, size, ordinal = [], 0, ordinal + 1
+            w = textkit.words(data, offsets, textkit.SPACED)
+            w_shapes = shapes(data, w).astype(np.uint8)
+            extra = more(data, offsets, w) if more else ()
+            w.start = w.end = None
+            held.append((b.column(0)[lo:hi], names[lo:hi], half[lo:hi], w, w_shapes, *extra))
+            size += len(data)
+    if held:
+        yield _chunk(exchange.chunk_id(ordinal), held)
 
 
 def discounts(n1: float, n2: float, n3: float, n4: float) -> tuple[float, float, float]:
@@ -173,73 +153,226 @@ def _interpolated(count: np.ndarray, lower: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Model:
-    """log10 probabilities: dense second order and backoff weights by language, sorted trigrams."""
-
-    symbols: Symbols
-    two: np.ndarray
-    back: np.ndarray
-    keys: np.ndarray
-    three: np.ndarray
-
-    def scores(self, t: np.ndarray, language: np.ndarray) -> np.ndarray:
-        """log10 probability of the last symbol of each trigram."""
-        if not len(t):
-            return np.zeros(0)
-        query, back = np.unique(t | (language << 24), return_inverse=True)
-        out = self.back[query >> 24, (query >> 8) & 0xFFFF] + self.two[query >> 24, query & 0xFFFF]
-        if len(self.keys):
-            k = np.minimum(np.searchsorted(self.keys, query), len(self.keys) - 1)
-            hit = self.keys[k] == query
-            out[hit] = self.three[k[hit]]
-        return out[back]
-
-
-def train(rows: DataFrame, model_rows: int = MODEL_ROWS) -> Model:
-    """Count words and trigrams of ``i, lang, text`` rows and make the model."""
-    per = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).where("lang IS NOT NULL").orderBy(F.desc("n"), "lang").limit(LANGUAGES).collect()
-    languages = {r["lang"]: k + 1 for k, r in enumerate(per)}
-    words = _count_words(rows, languages)
-    rank = F.row_number().over(Window.partitionBy("language").orderBy(F.desc("n"), "h"))
-    top = words.withColumn("rank", rank).where(F.col("rank") <= WORDS).select("language", "h", "rank").toArrow()
-    keys = word_key(top["h"].to_numpy().astype(np.int64).view(np.uint64), top["language"].to_numpy().astype(np.int64))
-    order = np.argsort(keys)
-    symbols = Symbols(languages, keys[order], (top["rank"].to_numpy().astype(np.int64) - 1)[order])
-
-    counts = keep(_count_trigrams(rows, symbols), "trigrams")
-    language = F.shiftright("k", 24).alias("language")
-    few = counts.groupBy(language).agg(*[F.sum((F.col("n") == k).cast("bigint")).alias(f"n{k}") for k in (1, 2, 3, 4)]).collect()
-    sizes = {r["at"]: r["rows"] for r in counts.groupBy(F.least("n", F.lit(1000)).alias("at")).agg(F.count(F.lit(1)).alias("rows")).collect()}
-    least, kept = 1, sum(sizes.values())
-    while kept > model_rows and least < 1000:
-        kept -= sizes.get(least, 0)
-        least += 1
-    size = len(languages) + 1
-    d3 = np.tile([0.5, 1.0, 1.5], (size, 1))
-    for r in few:
-        d3[r["language"]] = discounts(*(float(r[f"n{k}"]) for k in (1, 2, 3, 4)))
-    two_counts = np.zeros((size, SYMBOLS * SYMBOLS))
-    pairs = counts.groupBy(language, F.col("k").bitwiseAND(0xFFFF).alias("p")).agg(F.count(F.lit(1)).alias("n")).toArrow()
-    two_counts[pairs["language"].to_numpy(), pairs["p"].to_numpy()] = pairs["n"].to_numpy()
-    # By context: all mass, and what the kept trigrams give after their discount.
-    d = [F.element_at(F.array(*[F.lit(float(x)) for x in d3[:, k]]), (F.shiftright("k", 24) + 1).cast("int")) for k in range(3)]
-    given = F.when(F.col("n") >= least, F.col("n") - F.when(F.col("n") == 1, d[0]).when(F.col("n") == 2, d[1]).otherwise(d[2])).otherwise(0.0)
-    contexts = counts.withColumn("given", given).groupBy(language, F.shiftright("k", 8).bitwiseAND(0xFFFF).alias("c")).agg(F.sum("n").alias("n"), F.sum("given").alias("given")).toArrow()
-    total, mass = np.zeros((size, SYMBOLS * SYMBOLS)), np.ones((size, SYMBOLS * SYMBOLS))
-    at = contexts["language"].to_numpy(), contexts["c"].to_numpy()
-    total[at] = contexts["n"].to_numpy()
-    mass[at] = np.maximum(1e-9, 1 - contexts["given"].to_numpy() / contexts["n"].to_numpy())
-    two = np.empty((size, SYMBOLS * SYMBOLS))
-    for g in range(size):
-        table = two_counts[g].reshape(SYMBOLS, SYMBOLS)
-        one = _interpolated((table > 0).sum(0)[None, :].astype(float), np.full((1, SYMBOLS), 1 / SYMBOLS))
-        two[g] = _interpolated(table, one).ravel()
-    big = counts.where(F.col("n") >= least).select("k", F.col("n").cast("double").alias("n")).toArrow()
-    k, n = big["k"].to_numpy(), big["n"].to_numpy()
-    order = np.argsort(k)
-    k, n = k[order], n[order]
-    g, context = k >> 24, (k >> 8) & 0xFFFF
-    p = (n - d3[g, np.minimum(n, 3).astype(np.int64) - 1]) / total[g, context] + mass[g, context] * two[g, k & 0xFFFF]
-    return Model(symbols, np.log10(two).astype(np.float32), np.log10(mass).astype(np.float32), k, np.log10(p).astype(np.float32))
+    """What is known of a language beside its words: discounts and totals by half, and log10 probabilities of symbols.
+
+    ``d2`` and ``d1``: discounts of bigrams and of words, ``rest1`` the share of words' mass that goes to symbols, ``m`` the number
+    of distinct bigrams, ``types`` the distinct words of a symbol, ``top`` the keys of the most frequent words.
+    """
+
+    d2: dict[str, np.ndarray]
+    d1: dict[str, np.ndarray]
+    m: dict[str, np.ndarray]
+    rest1: dict[str, np.ndarray]
+    types: dict[str, np.ndarray]
+    top: dict[str, np.ndarray]
+    logs: dict[str, np.ndarray]
+    bigram_files: str
+    word_files: str
+
+
+def symbol_model(count: np.ndarray) -> np.ndarray:
+    """Probabilities of a symbol after another one, from their counts: modified Kneser-Ney, dense."""
+    one = _interpolated((count > 0).sum(0)[None, :].astype(float), np.full((1, SYMBOLS), 1 / SYMBOLS))
+    return _interpolated(count, one)
+
+
+def _bigram_questions(parts: int):
+    """Distinct bigrams of each chunk with their counts in both halves."""
+
+    def run(batches):
+        for c in chunks(batches):
+            for name, at in c.by_language():
+                keys, half = c.bigrams(at), c.half[c.row[at]]
+                order, first, _ = distinct(keys)
+                b = np.add.reduceat(half[order], first)
+                a = np.diff(np.append(first, len(order))) - b
+                yield from exchange.question(c.number, name, keys[order[first]], [a.astype(np.uint32), b.astype(np.uint32)], parts)
+
+    return run
+
+
+def symbols(top: np.ndarray, words: np.ndarray, shape: np.ndarray) -> np.ndarray:
+    """Symbol of each word; ``top`` are the keys of the most frequent words in order of their keys."""
+    if not len(top):
+        return shape
+    key = words >> _SHIFT
+    k = np.minimum(np.searchsorted(top, key), len(top) - 1)
+    return np.where(top[k] == key, END + 1 + k, shape).astype(np.uint8)
+
+
+def _symbol_counts(top: dict[str, np.ndarray]):
+    """``language, k, n``: pairs of symbols."""
+
+    def run(batches):
+        for c in chunks(batches):
+            for name, at in c.by_language():
+                one, two = (symbols(top[name], w[at], x[at]).astype(np.int64) for w, x in ((c.before, c.shape_before), (c.word, c.shape)))
+                n = np.bincount(one * SYMBOLS + two, minlength=SYMBOLS * SYMBOLS)
+                k = np.flatnonzero(n)
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(k), pa.string()), pa.array(k), pa.array(n[k])], ["language", "k", "n"])
+
+    return run
+
+
+def _own_bigrams(kind, keys, counts, first, at):
+    """Totals of both halves and who is first to hold a bigram; how many bigrams occur 1 to 4 times."""
+    totals = [np.add.reduceat(c.astype(np.int64), first) for c in counts]
+    new = np.zeros(len(at), np.uint8)
+    new[first] = 1
+    few = [[int((t == k).sum()) for k in (1, 2, 3, 4)] for t in totals]
+    return [*(t.astype(np.uint32)[at] for t in totals), new], few
+
+
+#: Counts of a word: as context by half, its followers that occur 1, 2 and more times by half, its distinct forerunners by half.
+_CONTEXT, _KINDS, _FORERUNNERS = slice(0, 2), slice(2, 8), slice(8, 10)
+
+
+def _word_questions(parts: int, folder: str):
+    """Counts of each chunk's words from its bigrams; a bigram's kind counts where it was met first."""
+
+    def run(batches):
+        for c in chunks(batches):
+            got = exchange.answers(folder, c.number)
+            for name, at in c.by_language():
+                order, first, _ = distinct(c.bigrams(at))
+                ta, tb, new = got[name]
+                if len(ta) != len(first):
+                    raise ValueError("the texts were cut into other chunks than before")
+                one = at[order[first]]
+                half = c.half[c.row[at]][order]
+                own_b = np.add.reduceat(half, first)
+                own_a = np.diff(np.append(first, len(order))) - own_b
+                before, word = c.before[one] >> _SHIFT, c.word[one] >> _SHIFT
+                order, begin, where = distinct(np.concatenate([before, word]))
+                v, w, n = where[: len(before)], where[len(before) :], len(begin)
+                new = new.astype(bool)
+                kinds = [(t == k if k < 3 else t > 2) & new for t in (ta, tb) for k in (1, 2, 3)]
+                sums = [np.bincount(v, own_a, n), np.bincount(v, own_b, n), *(np.bincount(v[x], minlength=n) for x in kinds), *(np.bincount(w[(t > 0) & new], minlength=n) for t in (ta, tb))]
+                shape = np.full(n, START, np.uint8)
+                shape[w] = c.shape[one]
+                yield from exchange.question(c.number, name, np.concatenate([before, word])[order[begin]], [*(x.astype(np.uint32) for x in sums), shape], parts)
+
+    return run
+
+
+def _own_words(d2: dict[str, np.ndarray]):
+    """Answers by word: occurrences as context and the share that goes to the lower order, and forerunners, by half."""
+
+    def answer(kind, keys, counts, first, at):
+        totals = [np.add.reduceat(c.astype(np.int64), first) for c in counts[:10]]
+        shape = np.minimum.reduceat(counts[10], first)
+        whole, kinds, m = totals[_CONTEXT], totals[_KINDS], totals[_FORERUNNERS]
+        out, sums = [], []
+        for h in (0, 1):
+            cut = sum(d2[kind][h][k] * kinds[3 * h + k].astype(float) for k in range(3))
+            out.append((cut / np.maximum(1, whole[h])).astype(np.float32)[at])
+            few = [int((m[h] == k).sum()) for k in (1, 2, 3, 4)]
+            sums.append((few, int((m[h] > 2).sum()), int(m[h].sum()), np.bincount(shape[m[h] > 0], minlength=SYMBOLS)))
+        # The most frequent words of the part; those of the language are among them. Starts and ends are no words.
+        n = np.where(shape < START, whole[0] + whole[1], 0)
+        often = np.lexsort((keys, -n))[:WORDS]
+        top = [(int(n[k]), int(keys[k]), int(shape[k]), bool(m[0][k] > 0), bool(m[1][k] > 0)) for k in often if n[k]]
+        return [*(x.astype(np.uint32)[at] for x in whole), *out, *(x.astype(np.uint32)[at] for x in m)], (sums, top)
+
+    return answer
+
+
+def train(rows: DataFrame) -> Model:
+    """The model of ``i, language, text, t`` rows; to be scored from the same rows with the same splits."""
+    parts, spark = exchange.parts_of(rows), rows.sparkSession
+    bigram_files, word_files = new_path(spark, "bigrams"), new_path(spark, "words")
+    few: dict[str, np.ndarray] = {}
+    for name, x in exchange.ask(map_arrow(rows, _bigram_questions(parts), exchange.SENT), parts, _own_bigrams, bigram_files):
+        few[name] = few.get(name, 0) + np.array(x)
+    d2 = {name: np.array([discounts(*x[h].tolist()) for h in (0, 1)]) for name, x in few.items()}
+    found: dict[str, list] = {}
+    often: dict[str, list] = {}
+    for name, (sums, most) in exchange.ask(map_arrow(rows, _word_questions(parts, bigram_files), exchange.SENT), parts, _own_words(d2), word_files):
+        so_far = found.setdefault(name, [[np.zeros(4, np.int64), 0, 0, np.zeros(SYMBOLS, np.int64)] for _ in (0, 1)])
+        for h in (0, 1):
+            so_far[h] = [x + np.array(y) for x, y in zip(so_far[h], sums[h], strict=True)]
+        often[name] = sorted([*often.get(name, []), *most], key=lambda x: (-x[0], x[1]))[:WORDS]
+    d1 = {name: np.array([discounts(*x[h][0].tolist()) for h in (0, 1)]) for name, x in found.items()}
+    m = {name: np.array([int(x[h][2]) for h in (0, 1)]) for name, x in found.items()}
+    rest1 = {name: np.array([(d1[name][h] @ [x[h][0][0], x[h][0][1], x[h][1]]) / m[name][h] if m[name][h] else 1.0 for h in (0, 1)]) for name, x in found.items()}
+    types, top = {}, {}
+    for name, x in found.items():
+        # A shape's mass is shared by its words, but for the most frequent ones, and one more that was never seen.
+        types[name] = np.array([np.where(np.arange(SYMBOLS) < START, x[h][3] + 1, 1) for h in (0, 1)])
+        for _, _, shape, *known in often[name]:
+            types[name][[h for h in (0, 1) if known[h]], shape] -= 1
+        top[name] = np.sort(np.array([k for _, k, *_ in often[name]], np.uint64))
+    counted = map_arrow(rows, _symbol_counts(top), "language string, k bigint, n bigint").groupBy("language", "k").agg(F.sum("n").alias("n"))
+    tables = {name: np.zeros(SYMBOLS * SYMBOLS) for name in few}
+    for r in counted.toLocalIterator():  # languages x SYMBOLS x SYMBOLS at most
+        tables[r["language"]][r["k"]] = r["n"]
+    logs = {name: np.log10(symbol_model(t.reshape(SYMBOLS, SYMBOLS))).astype(np.float32) for name, t in tables.items()}
+    return Model(d2, d1, m, rest1, types, top, logs, bigram_files, word_files)
+
+
+def probabilities(c: Chunk, model: Model) -> tuple[np.ndarray, np.ndarray]:
+    """log10 probability of each word of a chunk by the counts of the other half, and of its symbol."""
+    bigrams, words = exchange.answers(model.bigram_files, c.number), exchange.answers(model.word_files, c.number)
+    p, s = np.zeros(len(c.word), np.float32), np.zeros(len(c.word), np.float32)
+    for name, at in c.by_language():
+        order, first, entry = distinct(c.bigrams(at))
+        one = at[order[first]]
+        before, word = c.before[one] >> _SHIFT, c.word[one] >> _SHIFT
+        _, begin, where = distinct(np.concatenate([before, word]))
+        got = words[name]
+        if len(got[0]) != len(begin) or len(bigrams[name][0]) != len(first):
+            raise ValueError("the texts were cut into other chunks than before")
+        v, w = where[: len(before)], where[len(before) :]
+        symbol_before, symbol = (symbols(model.top[name], x[one], y[one]) for x, y in ((c.before, c.shape_before), (c.word, c.shape)))
+        by_symbol = model.logs[name][symbol_before, symbol]
+        s[at] = by_symbol[entry]
+        base = 10.0**by_symbol
+        by_half = []
+        for h in (0, 1):
+            n, whole, rest2, m = bigrams[name][h], got[h][v], got[2 + h][v], got[4 + h][w]
+            own2 = np.where(n > 0, (n - np.array([0.0, *model.d2[name][h]])[np.minimum(n, 3)]) / np.maximum(1, whole), 0.0)
+            own1 = (m - np.array([0.0, *model.d1[name][h]])[np.minimum(m, 3)]) / max(1, model.m[name][h])
+            low = own1 + model.rest1[name][h] * base / model.types[name][h][symbol]
+            by_half.append(np.log10(own2 + np.where(whole > 0, rest2, 1.0) * low))
+        p[at] = np.where(c.half[c.row[at]] == 0, by_half[1][entry], by_half[0][entry])
+    return p, s
+
+
+def _counts(data, offsets, w):
+    """Base counts of a block's rows: characters in words, signs, repeated lines, words in repeated windows."""
+
+    def by_row(kind: np.ndarray) -> np.ndarray:
+        c = np.concatenate([[0], np.cumsum(kind, dtype=np.int64)])
+        return c[offsets[1:]] - c[offsets[:-1]]
+
+    letters = by_row((data & 0xC0) != 0x80) - by_row(~textkit.SPACED.inside[data])
+    raw = data.tobytes()
+    lines = [duplicate_lines(raw[x:y]) for x, y in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
+    hashes = w.hash if w.hash is not None else np.zeros(0, np.uint64)
+    return letters, by_row(_SIGNS[data]), np.array(lines, np.int64), repeated_words(hashes, w.split)
+
+
+def measures(rows: DataFrame, model: Model) -> DataFrame:
+    """Base counts and mean and variance of the log10 probabilities of words and symbols of every row: one scan."""
+    shared = rows.sparkSession.sparkContext.broadcast(model)
+    names = ["doc_id", "language", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "log_perplexity", "log_square", "shape_log_perplexity", "shape_log_square"]
+
+    def run(batches):
+        for c in chunks(batches, _counts):
+            n = len(c.language)
+            size = np.bincount(c.row, minlength=n)
+            means = []
+            for x in probabilities(c, shared.value):
+                mean = np.bincount(c.row, -x, n) / size
+                means += [mean, np.maximum(0.0, np.bincount(c.row, x.astype(float) ** 2, n) / size - mean**2)]
+            at = 0
+            for ids, split, *counts in c.rest:
+                to = at + len(ids)
+                language = pa.array([c.languages[g] for g in c.language[at:to]], pa.string())
+                yield pa.RecordBatch.from_arrays([ids, language, pa.array(np.diff(split)), *map(pa.array, counts), *(pa.array(x[at:to]) for x in means)], names)
+                at = to
+
+    return map_arrow(rows, run, "doc_id bigint, language string, " + ", ".join(f"{x} bigint" for x in names[2:7]) + ", " + ", ".join(f"{x} double" for x in names[7:]))
 
 
 def repeated_words(hashes: np.ndarray, split: np.ndarray, size: int = 8) -> np.ndarray:
@@ -282,166 +415,34 @@ def duplicate_lines(text: bytes) -> int:
     return n
 
 
-def word_trigrams(hashes: np.ndarray, split: np.ndarray, language: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The three words of each of ``trigrams``, as hashes that differ by language."""
-    n = np.diff(split)
-    padded = np.repeat(word_key(np.full(len(n), START, np.uint64), language), n + 3)
-    begin = split[:-1] + 3 * np.arange(len(n)) + 2
-    padded[textkit._ranges(begin, n)] = word_key(hashes, np.repeat(language, n))
-    padded[begin + n] = word_key(np.full(len(n), END, np.uint64), language)
-    at = textkit._ranges(begin, n + 1)
-    return padded[at - 2], padded[at - 1], padded[at]
-
-
-def _tokens(rows: DataFrame, model: Model) -> DataFrame:
-    """``t, u, v, w, k, s`` for each word and end of ``i, lang, text, t`` rows: its trigram, the number of the
-    language and the word's symbol, and the log10 probability of that symbol."""
-    shared = rows.sparkSession.sparkContext.broadcast(model)
-
-    def run(batches):
-        m = shared.value
-        for b in batches:
-            number = m.symbols.numbers(b.column(1))
-            for lo, hi, data, offsets in textkit.blocks(b.column(2), 1 << 20):
-                w = textkit.words(data, offsets, textkit.SPACED)
-                hashes = w.hash if w.hash is not None else np.zeros(0, np.uint64)
-                k, split = trigrams(m.symbols.of(data, w, number[lo:hi]), w.split)
-                row = np.repeat(np.arange(lo, hi), np.diff(split))
-                words = [x.view(np.int64) for x in word_trigrams(hashes, w.split, number[lo:hi])]
-                s = m.scores(k, number[row]).astype(np.float32)
-                columns = [b.column(3).to_numpy()[row], *words, ((number[row] << 8) | (k & 0xFF)).astype(np.int32), s]
-                for at in range(0, len(row), 50_000):
-                    yield pa.RecordBatch.from_arrays([pa.array(x[at : at + 50_000]) for x in columns], ["t", "u", "v", "w", "k", "s"])
-
-    return map_arrow(rows, run, "t bigint, u bigint, v bigint, w bigint, k int, s float")
-
-
-def _by_kind(n: str) -> list:
-    """Sum of ``n`` and how many are 1, 2 and more, in each half."""
-    return [x for h in "ab" for x in (F.sum(f"{n}{h}").alias(f"all{h}"), *(F.count_if(F.col(f"{n}{h}") == j if j < 3 else F.col(f"{n}{h}") > 2).alias(f"n{j}{h}") for j in (1, 2, 3)))]
-
-
-def _parts(n: str, d: dict, h: str) -> tuple:
-    """What an n-gram of ``n`` occurrences has by itself, and the share of its context that goes to the lower order.
-
-    ``d`` has the discounts by language; the context's columns are those of ``_by_kind``.
-    """
-    d1, d2, d3 = (F.element_at(F.array(*[F.lit(float(x)) for x in row]), F.shiftright("k", 8) + 1) for row in d[h].T)
-    c, whole = F.col(f"{n}{h}"), F.col(f"all{h}")
-    cut = F.when(c == 1, d1).when(c == 2, d2).otherwise(d3)
-    own = F.when(c > 0, (c - cut) / whole).otherwise(0.0)
-    return own, F.when(whole > 0, (d1 * F.col(f"n1{h}") + d2 * F.col(f"n2{h}") + d3 * F.col(f"n3{h}")) / whole).otherwise(1.0)
-
-
-def _discounts_of(table: DataFrame, n: str, size: int) -> dict:
-    """By half, the discounts of each language."""
-    counts = table.groupBy(F.shiftright("k", 8).alias("language")).agg(*[F.count_if(F.col(f"{n}{h}") == j).alias(f"{h}{j}") for h in "ab" for j in (1, 2, 3, 4)]).collect()
-    out = {h: np.tile([0.5, 1.0, 1.5], (size, 1)) for h in "ab"}
-    for r in counts:
-        for h in "ab":
-            out[h][r["language"]] = discounts(*(float(r[f"{h}{j}"]) for j in (1, 2, 3, 4)))
-    return out
-
-
-def half(t: str = "t"):
-    """Which half of the texts a text hash belongs to, 0 or 1."""
-    return F.pmod(F.col(t), F.lit(2))
-
-
-def word_probabilities(tokens: DataFrame, languages: int) -> DataFrame:
-    """``u, v, w, pa, pb``: probability of each trigram's last word by the counts of either half."""
-    first, second = (F.sum((half() == x).cast("bigint")).alias(f"n{h}") for x, h in ((0, "a"), (1, "b")))
-    three = keep(tokens.groupBy("u", "v", "w").agg(F.min("k").alias("k"), F.min("s").alias("s"), first, second), "words3")
-    context = three.groupBy(F.col("u").alias("u_"), F.col("v").alias("v_")).agg(*_by_kind("n"))
-    two = keep(three.groupBy("v", "w").agg(F.min("k").alias("k"), *[F.count_if(F.col(f"n{h}") > 0).alias(f"m{h}") for h in "ab"]), "words2")
-    before = two.groupBy(F.col("v").alias("v_")).agg(*_by_kind("m"))
-    one = keep(two.groupBy("w").agg(F.min("k").alias("k"), *[F.count_if(F.col(f"m{h}") > 0).alias(f"q{h}") for h in "ab"]), "words1")
-    d3, d2, d1 = _discounts_of(three, "n", languages), _discounts_of(two, "m", languages), _discounts_of(one, "q", languages)
-
-    def named(table: DataFrame, n: str, d: dict, own: str, rest: str) -> DataFrame:
-        out = {}
-        for h in "ab":
-            out[f"{own}{h}"], out[f"{rest}{h}"] = _parts(n, d, h)
-        return table.withColumns(out)
-
-    # Words by language; a shape's mass is shared by its words and one more that was never seen.
-    whole = one.groupBy(F.shiftright("k", 8).alias("l_")).agg(*_by_kind("q"))
-    kinds = one.groupBy(F.col("k").alias("k_")).agg(F.count(F.lit(1)).alias("types"))
-    symbol = F.col("k").bitwiseAND(0xFF)
-    types = F.when(symbol.between(SHAPE0, START - 1), F.col("types") + 1).otherwise(1)
-    one = named(one.join(F.broadcast(whole), F.shiftright("k", 8) == F.col("l_")), "q", d1, "own", "rest").join(F.broadcast(kinds), F.col("k") == F.col("k_"))
-    one = one.select(F.col("w").alias("w_"), types.alias("types"), *(F.col(f"{x}{h}").alias(f"{x}1{h}") for x in ("own", "rest") for h in "ab"))
-    two = named(two.join(before, F.col("v") == F.col("v_")), "m", d2, "own", "rest").join(one, F.col("w") == F.col("w_"))
-    lower = [e for h in "ab" for e in ((F.col(f"own{h}") + F.col(f"rest{h}") * F.col(f"own1{h}")).alias(f"low{h}"), (F.col(f"rest{h}") * F.col(f"rest1{h}") / F.col("types")).alias(f"open{h}"))]
-    two = two.select(F.col("v").alias("v2"), F.col("w").alias("w2"), *lower)
-    three = named(three.join(context, (F.col("u") == F.col("u_")) & (F.col("v") == F.col("v_"))), "n", d3, "own", "rest").join(two, (F.col("v") == F.col("v2")) & (F.col("w") == F.col("w2")))
-    p = {h: F.col(f"own{h}") + F.col(f"rest{h}") * (F.col(f"low{h}") + F.col(f"open{h}") * F.pow(F.lit(10.0), F.col("s"))) for h in "ab"}
-    return three.select("u", "v", "w", p["a"].alias("pa"), p["b"].alias("pb"))
-
-
-def text_perplexity(rows: DataFrame, model: Model) -> DataFrame:
-    """``t, log_perplexity, log_square, shape_log_perplexity, shape_log_square`` of each text: mean and variance
-    of the log10 probabilities of its words, and of their symbols."""
-    gram = F.xxhash64("u", "v", "w")
-    p = word_probabilities(_tokens(rows, model), len(model.symbols.languages) + 1)
-    p = p.select(gram.alias("g_"), F.log10("pa").cast("float").alias("la"), F.log10("pb").cast("float").alias("lb"))
-    said = _tokens(rows, model).select("t", gram.alias("g"), (-F.col("s")).cast("double").alias("y")).join(p, F.col("g") == F.col("g_"))
-    said = said.select("t", "y", F.when(half() == 0, -F.col("lb")).otherwise(-F.col("la")).cast("double").alias("x"))
-    return said.groupBy(F.col("t").alias("t_")).agg(F.avg("x").alias("log_perplexity"), F.var_pop("x").alias("log_square"), F.avg("y").alias("shape_log_perplexity"), F.var_pop("y").alias("shape_log_square"))
-
-
-def measures(rows: DataFrame, symbols: Symbols) -> DataFrame:
-    """Base counts of every row: one scan of the texts."""
-    shared = rows.sparkSession.sparkContext.broadcast(symbols.languages)
-    names = ["doc_id", "language", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "t"]
-
-    def run(batches):
-        for b in batches:
-            number = np.array([shared.value.get(x, 0) for x in b.column(1).to_pylist()], np.int64)
-            for lo, hi, data, offsets in textkit.blocks(b.column(2)):
-                w = textkit.words(data, offsets, textkit.SPACED)
-                hashes = w.hash if w.hash is not None else np.zeros(0, np.uint64)
-
-                def by_row(kind: np.ndarray, data=data, offsets=offsets) -> np.ndarray:
-                    c = np.concatenate([[0], np.cumsum(kind, dtype=np.int64)])
-                    return c[offsets[1:]] - c[offsets[:-1]]
-
-                letters = by_row((data & 0xC0) != 0x80) - by_row(~textkit.SPACED.inside[data])
-                raw = data.tobytes()
-                lines = [duplicate_lines(raw[x:y]) for x, y in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-                arrays = [np.diff(w.split), letters, by_row(_SIGNS[data]), np.array(lines, np.int64), repeated_words(hashes, w.split)]
-                yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(number[lo:hi]), *map(pa.array, arrays), b.column(3)[lo:hi]], names)
-
-    return map_arrow(rows, run, "doc_id bigint, language bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, t bigint")
-
-
-def perplexity_filter(docs: DataFrame, z: float = 6.0, min_words: int = 20, repeat_percent: int = 30, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+def perplexity_filter(docs: DataFrame, z: float = 6.0, z_symbols: float = 4.5, min_words: int = 20, repeat_percent: int = 30, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """Counts, perplexity, band and verdict of every document; one row per input row.
 
     Returns ``doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, log_perplexity,
     lower, upper, shape_log_perplexity, shape_lower, shape_upper, kept``. A document is kept if it has ``min_words``
     words, at most ``repeat_percent`` % of them in repeated 8-word windows, a log10 perplexity of its words that is not
     above its language's band, and one of their symbols inside the band of these. Below the words' band lies what
-    other texts nearly repeat, which is no fault of the text. Languages beyond the LANGUAGES most
-    frequent, and null, share a model. Null and wordless texts fail the base. Bands leave out documents that fail the
+    other texts nearly repeat, which is no fault of the text. Every language has a model of its own, null too.
+    Null and wordless texts fail the base. Bands leave out documents that fail the
     base; a language without others has no band and rejects none. Repeated rows count as often as they
     stand. Empty tables give no rows. Other columns are ignored.
     """
-    rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"))
-    rows = rows.withColumn("t", F.xxhash64("lang", "text"))
-    model = train(rows)
-    scored = measures(rows, model.symbols).join(text_perplexity(rows, model), F.col("t") == F.col("t_")).drop("t", "t_")
-    m = keep(scored, "measures").withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
+    text, lang = F.col(text_col).cast("string"), F.col(lang_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.coalesce(F.concat(F.lit("="), lang), F.lit("")).alias("language"), text.alias("text"), F.xxhash64(lang, text).alias("t"))
+    rows = exchange.stable(rows)
+    with exchange.same_splits(docs.sparkSession):
+        m = keep(measures(rows, train(rows)), "measures")
+    m = m.withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
     good = m.where("NOT base_failed")
-    # Word and symbol perplexities have a band each.
-    for of in ("", "shape_"):
+    # Perplexities of words and of symbols have a band each.
+    for of, wide in (("", z), ("shape_", z_symbols)):
         value, square = f"{of}log_perplexity", f"{of}log_square"
         middle = good.groupBy("language").agg(F.percentile_approx(value, 0.5, 10000).alias("mid"), F.percentile_approx(square, 0.5, 10000).alias("per_word"))
         off = good.join(F.broadcast(middle), "language").withColumn("off", F.abs(F.col(value) - F.col("mid")))
         # Spread of documents: the median distance of those long enough that single words hardly add to it.
         spread = off.groupBy("language").agg(F.percentile_approx(F.when(F.col("n_words") >= 300, F.col("off")), 0.5, 10000).alias("off"))
         band = middle.join(spread, "language").select(F.col("language").alias("g"), "mid", "per_word", (1.4826 * F.coalesce("off", F.lit(0.05))).alias("tau"))
-        width = F.lit(z) * F.sqrt(F.col("per_word") / (F.col("n_words") + 1) + F.col("tau") * F.col("tau"))
+        width = F.lit(wide) * F.sqrt(F.col("per_word") / (F.col("n_words") + 1) + F.col("tau") * F.col("tau"))
         m = m.join(F.broadcast(band), F.col("language") == F.col("g"), "left").withColumns({f"{of}lower": F.col("mid") - width, f"{of}upper": F.col("mid") + width}).drop("g", "mid", "per_word", "tau")
     inside = F.coalesce(F.col("log_perplexity") <= F.col("upper"), F.lit(True)) & F.coalesce(F.col("shape_log_perplexity").between(F.col("shape_lower"), F.col("shape_upper")), F.lit(True))
     return m.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity", "lower", "upper", "shape_log_perplexity", "shape_lower", "shape_upper", (~F.col("base_failed") & inside).alias("kept"))
