@@ -5,7 +5,8 @@ its own counts, to the part that owns the key's range. The owner adds the chunks
 order of its keys, so an answer carries no key; each chunk's answers become one file of the shared folder. A
 key that a third of all texts hold is therefore one entry a chunk, not a hot key.
 
-Sorted keys travel as differences of KEY_BITS-bit hashes, in byte planes that are compressed: about four bytes a key.
+Sorted keys travel as differences of hashes, in byte planes that are compressed: about three bytes a key.
+``Plan`` gives the hashes as many bits as keep the chance that a key meets another one the same at every size of input.
 The texts are scanned again for every step instead of being written. The scans must cut them into the same
 chunks: ``stable`` writes inputs that are no plain scan of files, ``same_splits`` keeps the session's splits the
 same while executors come and go, and an answer whose length is not that of its question raises.
@@ -14,9 +15,11 @@ same while executors come and go, and an answer whose length is not that of its
 from __future__ import annotations
 
 import contextlib
+import math
 import pickle
 import uuid
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +28,6 @@ from pyspark.sql import DataFrame, SparkSession
 
 from autotheta.sources.shared import keep, map_arrow, open_store
 
-KEY_BITS = 48
 SPLITS = "spark.sql.files.minPartitionNum"
 SENT = "chunk bigint, part int, kind string, n int, keys binary, counts binary"
 _ANSWER = "chunk bigint, part int, kind string, n int, counts binary, total binary"
@@ -55,6 +57,29 @@ def same_splits(spark: SparkSession):
             spark.conf.unset(SPLITS)
 
 
+@dataclass(frozen=True)
+class Plan:
+    """Owners of keys, and bits of a key. A chunk has some 2**22 keys; of 2**16 absent keys about one meets another one."""
+
+    parts: int
+    bits: int
+
+    @property
+    def shift(self) -> np.uint64:
+        return np.uint64(64 - self.bits)
+
+    @property
+    def width(self) -> int:
+        """Keys in the range of a part."""
+        return -(-(1 << self.bits) // self.parts)
+
+
+def plan(rows: DataFrame) -> Plan:
+    """Half as many owners as there are splits, so a part holds about two chunks' keys."""
+    splits = rows.rdd.getNumPartitions()
+    return Plan(max(4, splits // 2), min(62, 38 + math.ceil(math.log2(max(1, splits)))))
+
+
 def pack(arrays: list[np.ndarray]) -> bytes:
     """Arrays as compressed byte planes."""
     out = []
@@ -87,15 +112,14 @@ def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return order, first, at
 
 
-def question(chunk: int, kind: str, keys: np.ndarray, counts: list[np.ndarray], parts: int) -> Iterator[pa.RecordBatch]:
-    """Rows of a chunk's sorted distinct keys (below 2**KEY_BITS), one a part."""
-    width = -(-(1 << KEY_BITS) // parts)
-    cut = np.searchsorted(keys, np.arange(1, parts, dtype=np.uint64) * np.uint64(width))
+def question(chunk: int, kind: str, keys: np.ndarray, counts: list[np.ndarray], plan: Plan) -> Iterator[pa.RecordBatch]:
+    """Rows of a chunk's sorted distinct keys, one a part."""
+    cut = np.searchsorted(keys, np.arange(1, plan.parts, dtype=np.uint64) * np.uint64(plan.width))
     cut = [0, *cut.tolist(), len(keys)]
-    for p in range(parts):
+    for p in range(plan.parts):
         lo, hi = cut[p], cut[p + 1]
         if lo < hi:
-            steps = np.diff(keys[lo:hi], prepend=np.uint64(p * width))
+            steps = np.diff(keys[lo:hi], prepend=np.uint64(p * plan.width))
             row = [[chunk], [p], [kind], [hi - lo], [pack([steps])], [pack([c[lo:hi] for c in counts])]]
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(row, (pa.int64(), pa.int32(), pa.string(), pa.int32(), pa.binary(), pa.binary()), strict=True)], ["chunk", "part", "kind", "n", "keys", "counts"])
 
@@ -113,7 +137,7 @@ def _groups(batches, size_of: Callable) -> Iterator[list[dict]]:
         yield held
 
 
-def ask(sent: DataFrame, parts: int, answer: Callable, folder: str) -> list[tuple[str, object]]:
+def ask(sent: DataFrame, plan: Plan, answer: Callable, folder: str) -> list[tuple[str, object]]:
     """Exchange questions for answers; returns ``(kind, total)`` of every part and kind.
 
     ``answer(kind, keys, counts, first, at)`` gets the distinct keys of a part and its entries in their order: the counts,
@@ -121,7 +145,7 @@ def ask(sent: DataFrame, parts: int, answer: Callable, folder: str) -> list[tupl
     answers of a chunk lie in ``folder/chunk`` then. Its name and content follow from the chunk alone, so a
     repeated attempt writes the same.
     """
-    width = -(-(1 << KEY_BITS) // parts)
+    width, parts = plan.width, plan.parts
 
     def own(batches):
         for rows in _groups(batches, lambda r: (r["part"], r["kind"])):
@@ -180,9 +204,3 @@ def answers(folder: str, chunk: int) -> dict[str, list[np.ndarray]]:
 def chunk_id(ordinal: int) -> int:
     """Number of the ``ordinal``-th chunk of the running task."""
     return (TaskContext.get().partitionId() << 20) | ordinal
-
-
-def parts_of(rows: DataFrame) -> int:
-    """Owners for the chunks of ``rows``: half as many as there are splits, so a part holds about two chunks' keys."""
-    return max(4, rows.rdd.getNumPartitions() // 2)
-

@@ -1,6 +1,6 @@
 """Quality rules by n-gram perplexity: a modified Kneser-Ney model of words a language, and its bands.
 
-The model is of order 2. Every word counts as itself: all bigrams of all texts are counted as 48-bit hashes in sorted
+The model is of order 2. Every word counts as itself: all bigrams of all texts are counted as hashes in sorted
 arrays that are dealt out by range (``exchange``), so no table has a bound and none is in one place; contexts and
 continuations follow from the counts of each distinct bigram and are counted by word in the same way. Texts fall into two halves
 by their hash and each half is scored by the counts of the other, so that a text (or its exact copies) does not vouch
@@ -28,10 +28,9 @@ from autotheta.llm.textkit import U
 from autotheta.sources.shared import keep, map_arrow, new_path
 
 #: Bytes of text of a chunk: what a task has in memory at once.
-CHUNK = 32 << 20
+CHUNK = 16 << 20
 #: Symbols: shapes of words are 0 to 125, then the start and the end of a text, and a language's WORDS most frequent words.
 START, END, WORDS, SYMBOLS = 126, 127, 128, 256
-_SHIFT = U(64 - exchange.KEY_BITS)
 _MARKS = np.zeros(256, bool)
 _MARKS[[b for b in range(0x21, 0x7F) if not chr(b).isalnum()]] = True
 _UPPER = np.zeros(256, bool)
@@ -84,8 +83,8 @@ class Chunk:
             if len(at):
                 yield name, at
 
-    def bigrams(self, at: np.ndarray) -> np.ndarray:
-        return textkit.mix(self.before[at] * U(0x9E3779B97F4A7C15) + self.word[at]) >> _SHIFT
+    def bigrams(self, at: np.ndarray, shift: np.uint64) -> np.ndarray:
+        return textkit.mix(self.before[at] * U(0x9E3779B97F4A7C15) + self.word[at]) >> shift
 
 
 def _chunk(number: int, held: list[tuple]) -> Chunk:
@@ -121,8 +120,10 @@ def chunks(batches, more=None) -> Iterator[Chunk]:
         names, half = b.column(1).to_pylist(), b.column(3).to_numpy() & 1
         for lo, hi, data, offsets in textkit.blocks(b.column(2)):
             if held and size + len(data) > CHUNK:
-                yield _chunk(exchange.chunk_id(ordinal), held)
+                c = _chunk(exchange.chunk_id(ordinal), held)
                 held, size, ordinal = [], 0, ordinal + 1
+                yield c
+                del c
             w = textkit.words(data, offsets, textkit.SPACED)
             w_shapes = shapes(data, w).astype(np.uint8)
             extra = more(data, offsets, w) if more else ()
@@ -130,7 +131,9 @@ def chunks(batches, more=None) -> Iterator[Chunk]:
             held.append((b.column(0)[lo:hi], names[lo:hi], half[lo:hi], w, w_shapes, *extra))
             size += len(data)
     if held:
-        yield _chunk(exchange.chunk_id(ordinal), held)
+        c = _chunk(exchange.chunk_id(ordinal), held)
+        del held
+        yield c
 
 
 def discounts(n1: float, n2: float, n3: float, n4: float) -> tuple[float, float, float]:
@@ -159,6 +162,7 @@ class Model:
     of distinct bigrams, ``types`` the distinct words of a symbol, ``top`` the keys of the most frequent words.
     """
 
+    plan: exchange.Plan
     d2: dict[str, np.ndarray]
     d1: dict[str, np.ndarray]
     m: dict[str, np.ndarray]
@@ -176,37 +180,42 @@ def symbol_model(count: np.ndarray) -> np.ndarray:
     return _interpolated(count, one)
 
 
-def _bigram_questions(parts: int):
-    """Distinct bigrams of each chunk with their counts in both halves."""
+def _bigram_questions(plan: exchange.Plan):
+    """Distinct bigrams of each chunk with their counts: all, and those of the second half."""
 
     def run(batches):
         for c in chunks(batches):
             for name, at in c.by_language():
-                keys, half = c.bigrams(at), c.half[c.row[at]]
+                keys = c.bigrams(at, plan.shift)
                 order, first, _ = distinct(keys)
-                b = np.add.reduceat(half[order], first)
-                a = np.diff(np.append(first, len(order))) - b
-                yield from exchange.question(c.number, name, keys[order[first]], [a.astype(np.uint32), b.astype(np.uint32)], parts)
+                n, b = _own_counts(c, at[order], first)
+                yield from exchange.question(c.number, name, keys[order[first]], [n, b], plan)
 
     return run
 
 
-def symbols(top: np.ndarray, words: np.ndarray, shape: np.ndarray) -> np.ndarray:
+def _own_counts(c: Chunk, ordered: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Occurrences in the chunk, all and those of the second half."""
+    n = np.diff(np.append(first, len(ordered)))
+    return n.astype(np.uint32), np.add.reduceat(c.half[c.row[ordered]], first).astype(np.uint32)
+
+
+def symbols(top: np.ndarray, words: np.ndarray, shape: np.ndarray, shift: np.uint64) -> np.ndarray:
     """Symbol of each word; ``top`` are the keys of the most frequent words in order of their keys."""
     if not len(top):
         return shape
-    key = words >> _SHIFT
+    key = words >> shift
     k = np.minimum(np.searchsorted(top, key), len(top) - 1)
     return np.where(top[k] == key, END + 1 + k, shape).astype(np.uint8)
 
 
-def _symbol_counts(top: dict[str, np.ndarray]):
+def _symbol_counts(top: dict[str, np.ndarray], shift: np.uint64):
     """``language, k, n``: pairs of symbols."""
 
     def run(batches):
         for c in chunks(batches):
             for name, at in c.by_language():
-                one, two = (symbols(top[name], w[at], x[at]).astype(np.int64) for w, x in ((c.before, c.shape_before), (c.word, c.shape)))
+                one, two = (symbols(top[name], w[at], x[at], shift).astype(np.int64) for w, x in ((c.before, c.shape_before), (c.word, c.shape)))
                 n = np.bincount(one * SYMBOLS + two, minlength=SYMBOLS * SYMBOLS)
                 k = np.flatnonzero(n)
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(k), pa.string()), pa.array(k), pa.array(n[k])], ["language", "k", "n"])
@@ -215,48 +224,77 @@ def _symbol_counts(top: dict[str, np.ndarray]):
 
 
 def _own_bigrams(kind, keys, counts, first, at):
-    """Totals of both halves and who is first to hold a bigram; how many bigrams occur 1 to 4 times."""
-    totals = [np.add.reduceat(c.astype(np.int64), first) for c in counts]
+    """Counts of both halves in the other chunks and who is first to hold a bigram; how many bigrams occur 1 to 4 times."""
+    n, b = (c.astype(np.int64) for c in counts)
+    totals = [np.add.reduceat(x, first) for x in (n - b, b)]
     new = np.zeros(len(at), np.uint8)
     new[first] = 1
     few = [[int((t == k).sum()) for k in (1, 2, 3, 4)] for t in totals]
-    return [*(t.astype(np.uint32)[at] for t in totals), new], few
+    return [*((t[at] - x).astype(np.uint32) for t, x in zip(totals, (n - b, b), strict=True)), new], few
+
+
+@dataclass
+class Known:
+    """Distinct bigrams of one language in a chunk and their words, with all that the owners of bigrams said.
 
+    ``entry`` is the number of each word's bigram, ``one`` a place of each bigram; ``v`` and ``w`` number its words, ``words`` has
+    their keys. ``own`` are counts of words in this chunk: as context by half, followers that occur 1, 2 and more times by half,
+    forerunners by half; a bigram's kind counts where it was met first.
+    """
 
-#: Counts of a word: as context by half, its followers that occur 1, 2 and more times by half, its distinct forerunners by half.
+    entry: np.ndarray
+    one: np.ndarray
+    total: list[np.ndarray]
+    v: np.ndarray
+    w: np.ndarray
+    words: np.ndarray
+    own: list[np.ndarray]
+
+
+def _known(c: Chunk, at: np.ndarray, got: list[np.ndarray], shift: np.uint64) -> Known:
+    order, first, entry = distinct(c.bigrams(at, shift))
+    if len(got[0]) != len(first):
+        raise ValueError("the texts were cut into other chunks than before")
+    n, b = _own_counts(c, at[order], first)
+    one = at[order[first]]
+    del order, first
+    own = [n - b, b]
+    total = [x + y for x, y in zip(got, own)]
+    new = got[2].astype(bool)
+    keys = np.concatenate([c.before[one] >> shift, c.word[one] >> shift])
+    order, begin, where = distinct(keys)
+    v, w, m = where[: len(one)], where[len(one) :], len(begin)
+    kinds = [(t == k if k < 3 else t > 2) & new for t in total for k in (1, 2, 3)]
+    sums = [*(np.bincount(v, x, m) for x in own), *(np.bincount(v[x], minlength=m) for x in kinds), *(np.bincount(w[(t > 0) & new], minlength=m) for t in total)]
+    return Known(entry, one, total, v, w, keys[order[begin]], [x.astype(np.uint32) for x in sums])
+
+
+#: Places in ``Known.own``.
 _CONTEXT, _KINDS, _FORERUNNERS = slice(0, 2), slice(2, 8), slice(8, 10)
 
 
-def _word_questions(parts: int, folder: str):
-    """Counts of each chunk's words from its bigrams; a bigram's kind counts where it was met first."""
+def _word_questions(plan: exchange.Plan, folder: str):
+    """Counts of each chunk's words, and their shapes (START for words that only begin a bigram)."""
 
     def run(batches):
         for c in chunks(batches):
             got = exchange.answers(folder, c.number)
             for name, at in c.by_language():
-                order, first, _ = distinct(c.bigrams(at))
-                ta, tb, new = got[name]
-                if len(ta) != len(first):
-                    raise ValueError("the texts were cut into other chunks than before")
-                one = at[order[first]]
-                half = c.half[c.row[at]][order]
-                own_b = np.add.reduceat(half, first)
-                own_a = np.diff(np.append(first, len(order))) - own_b
-                before, word = c.before[one] >> _SHIFT, c.word[one] >> _SHIFT
-                order, begin, where = distinct(np.concatenate([before, word]))
-                v, w, n = where[: len(before)], where[len(before) :], len(begin)
-                new = new.astype(bool)
-                kinds = [(t == k if k < 3 else t > 2) & new for t in (ta, tb) for k in (1, 2, 3)]
-                sums = [np.bincount(v, own_a, n), np.bincount(v, own_b, n), *(np.bincount(v[x], minlength=n) for x in kinds), *(np.bincount(w[(t > 0) & new], minlength=n) for t in (ta, tb))]
-                shape = np.full(n, START, np.uint8)
-                shape[w] = c.shape[one]
-                yield from exchange.question(c.number, name, np.concatenate([before, word])[order[begin]], [*(x.astype(np.uint32) for x in sums), shape], parts)
+                k = _known(c, at, got.pop(name), plan.shift)
+                shape = np.full(len(k.words), START, np.uint8)
+                shape[k.w] = c.shape[k.one]
+                yield from exchange.question(c.number, name, k.words, [*k.own, shape], plan)
 
     return run
 
 
+#: Steps of a share as it is sent.
+SHARE = 65535
+
+
 def _own_words(d2: dict[str, np.ndarray]):
-    """Answers by word: occurrences as context and the share that goes to the lower order, and forerunners, by half."""
+    """Answers by word: occurrences as context and forerunners in the other chunks, and the share that goes to the
+    lower order, by half."""
 
     def answer(kind, keys, counts, first, at):
         totals = [np.add.reduceat(c.astype(np.int64), first) for c in counts[:10]]
@@ -265,29 +303,30 @@ def _own_words(d2: dict[str, np.ndarray]):
         out, sums = [], []
         for h in (0, 1):
             cut = sum(d2[kind][h][k] * kinds[3 * h + k].astype(float) for k in range(3))
-            out.append((cut / np.maximum(1, whole[h])).astype(np.float32)[at])
+            out.append(np.round(SHARE * np.minimum(1.0, cut / np.maximum(1, whole[h]))).astype(np.uint16)[at])
             few = [int((m[h] == k).sum()) for k in (1, 2, 3, 4)]
             sums.append((few, int((m[h] > 2).sum()), int(m[h].sum()), np.bincount(shape[m[h] > 0], minlength=SYMBOLS)))
         # The most frequent words of the part; those of the language are among them. Starts and ends are no words.
         n = np.where(shape < START, whole[0] + whole[1], 0)
         often = np.lexsort((keys, -n))[:WORDS]
         top = [(int(n[k]), int(keys[k]), int(shape[k]), bool(m[0][k] > 0), bool(m[1][k] > 0)) for k in often if n[k]]
-        return [*(x.astype(np.uint32)[at] for x in whole), *out, *(x.astype(np.uint32)[at] for x in m)], (sums, top)
+        others = [(t[at] - own).astype(np.uint32) for t, own in zip((*whole, *m), (*counts[_CONTEXT], *counts[_FORERUNNERS]), strict=True)]
+        return [*others, *out], (sums, top)
 
     return answer
 
 
 def train(rows: DataFrame) -> Model:
     """The model of ``i, language, text, t`` rows; to be scored from the same rows with the same splits."""
-    parts, spark = exchange.parts_of(rows), rows.sparkSession
+    plan, spark = exchange.plan(rows), rows.sparkSession
     bigram_files, word_files = new_path(spark, "bigrams"), new_path(spark, "words")
     few: dict[str, np.ndarray] = {}
-    for name, x in exchange.ask(map_arrow(rows, _bigram_questions(parts), exchange.SENT), parts, _own_bigrams, bigram_files):
+    for name, x in exchange.ask(map_arrow(rows, _bigram_questions(plan), exchange.SENT), plan, _own_bigrams, bigram_files):
         few[name] = few.get(name, 0) + np.array(x)
     d2 = {name: np.array([discounts(*x[h].tolist()) for h in (0, 1)]) for name, x in few.items()}
     found: dict[str, list] = {}
     often: dict[str, list] = {}
-    for name, (sums, most) in exchange.ask(map_arrow(rows, _word_questions(parts, bigram_files), exchange.SENT), parts, _own_words(d2), word_files):
+    for name, (sums, most) in exchange.ask(map_arrow(rows, _word_questions(plan, bigram_files), exchange.SENT), plan, _own_words(d2), word_files):
         so_far = found.setdefault(name, [[np.zeros(4, np.int64), 0, 0, np.zeros(SYMBOLS, np.int64)] for _ in (0, 1)])
         for h in (0, 1):
             so_far[h] = [x + np.array(y) for x, y in zip(so_far[h], sums[h], strict=True)]
@@ -302,12 +341,12 @@ def train(rows: DataFrame) -> Model:
         for _, _, shape, *known in often[name]:
             types[name][[h for h in (0, 1) if known[h]], shape] -= 1
         top[name] = np.sort(np.array([k for _, k, *_ in often[name]], np.uint64))
-    counted = map_arrow(rows, _symbol_counts(top), "language string, k bigint, n bigint").groupBy("language", "k").agg(F.sum("n").alias("n"))
+    counted = map_arrow(rows, _symbol_counts(top, plan.shift), "language string, k bigint, n bigint").groupBy("language", "k").agg(F.sum("n").alias("n"))
     tables = {name: np.zeros(SYMBOLS * SYMBOLS) for name in few}
     for r in counted.toLocalIterator():  # languages x SYMBOLS x SYMBOLS at most
         tables[r["language"]][r["k"]] = r["n"]
     logs = {name: np.log10(symbol_model(t.reshape(SYMBOLS, SYMBOLS))).astype(np.float32) for name, t in tables.items()}
-    return Model(d2, d1, m, rest1, types, top, logs, bigram_files, word_files)
+    return Model(plan, d2, d1, m, rest1, types, top, logs, bigram_files, word_files)
 
 
 def probabilities(c: Chunk, model: Model) -> tuple[np.ndarray, np.ndarray]:
@@ -315,26 +354,21 @@ def probabilities(c: Chunk, model: Model) -> tuple[np.ndarray, np.ndarray]:
     bigrams, words = exchange.answers(model.bigram_files, c.number), exchange.answers(model.word_files, c.number)
     p, s = np.zeros(len(c.word), np.float32), np.zeros(len(c.word), np.float32)
     for name, at in c.by_language():
-        order, first, entry = distinct(c.bigrams(at))
-        one = at[order[first]]
-        before, word = c.before[one] >> _SHIFT, c.word[one] >> _SHIFT
-        _, begin, where = distinct(np.concatenate([before, word]))
-        got = words[name]
-        if len(got[0]) != len(begin) or len(bigrams[name][0]) != len(first):
+        k = _known(c, at, bigrams.pop(name), model.plan.shift)
+        got = words.pop(name)
+        if len(got[0]) != len(k.words):
             raise ValueError("the texts were cut into other chunks than before")
-        v, w = where[: len(before)], where[len(before) :]
-        symbol_before, symbol = (symbols(model.top[name], x[one], y[one]) for x, y in ((c.before, c.shape_before), (c.word, c.shape)))
+        symbol_before, symbol = (symbols(model.top[name], x[k.one], y[k.one], model.plan.shift) for x, y in ((c.before, c.shape_before), (c.word, c.shape)))
         by_symbol = model.logs[name][symbol_before, symbol]
-        s[at] = by_symbol[entry]
-        base = 10.0**by_symbol
-        by_half = []
+        s[at] = by_symbol[k.entry]
+        base, by_half = 10.0**by_symbol, []
         for h in (0, 1):
-            n, whole, rest2, m = bigrams[name][h], got[h][v], got[2 + h][v], got[4 + h][w]
+            n, whole, m = k.total[h], (got[h] + k.own[_CONTEXT][h])[k.v], (got[2 + h] + k.own[_FORERUNNERS][h])[k.w]
             own2 = np.where(n > 0, (n - np.array([0.0, *model.d2[name][h]])[np.minimum(n, 3)]) / np.maximum(1, whole), 0.0)
             own1 = (m - np.array([0.0, *model.d1[name][h]])[np.minimum(m, 3)]) / max(1, model.m[name][h])
             low = own1 + model.rest1[name][h] * base / model.types[name][h][symbol]
-            by_half.append(np.log10(own2 + np.where(whole > 0, rest2, 1.0) * low))
-        p[at] = np.where(c.half[c.row[at]] == 0, by_half[1][entry], by_half[0][entry])
+            by_half.append(np.log10(own2 + np.where(whole > 0, got[4 + h][k.v] / SHARE, 1.0) * low).astype(np.float32))
+        p[at] = np.where(c.half[c.row[at]] == 0, by_half[1][k.entry], by_half[0][k.entry])
     return p, s
 
 
