@@ -21,17 +21,24 @@ from autotheta.sources.shared import keep, map_arrow
 
 #: Bytes of item texts that are broadcast at once; a larger benchmark is joined in blocks of about this size.
 BLOCK_BYTES = 8 << 20
+#: Candidates that are compared at once.
+CANDIDATES = 1 << 20
 
 
 @dataclass
 class Windows:
-    """Distinct windows: words of all, where each begins, its length, key word's place; items that hold them."""
+    """Distinct windows: words of all, where each begins, its length, its key word's place.
+
+    The items that hold window ``k`` are ``item[item_split[k] : item_split[k + 1]]``, places in ``names``; ``by_key`` has the windows in
+    the order of their key words, ``maybe`` one bit for the last 16 of a key word's.
+    """
 
     words: np.ndarray
     begin: np.ndarray
     length: np.ndarray
     place: np.ndarray
     item: np.ndarray
+    item_split: np.ndarray
     names: list[str]
     keys: np.ndarray
     by_key: np.ndarray
@@ -45,24 +52,47 @@ def _item_words(texts: list[str | None]) -> textkit.Words:
 
 
 def build_windows(items: list[tuple[str, str]], size: int, count: dict[int, int]) -> Windows:
+    """Windows of all items, each once however often items hold it."""
     found = _item_words([t for _, t in items])
+    names = sorted({n for n, _ in items})
+    number = {n: k for k, n in enumerate(names)}
     n = np.diff(found.split)
     per = np.where(n >= size, n - size + 1, (n > 0).astype(np.int64))
-    item = np.repeat(np.arange(len(items)), per)
+    item = np.repeat(np.array([number[x] for x, _ in items], np.int64), per)
     begin = np.repeat(found.split[:-1], per) + _ranges(np.zeros(len(per), np.int64), per)
     length = np.minimum(size, np.repeat(n, per))
-    rare = np.array([count.get(int(h), 0) for h in found.hash], np.int64)
+    # Windows by content: sort by length and words, and compare neighbours.
+    cells = [np.where(k < length, found.hash[np.minimum(begin + k, len(found) - 1)], textkit.U(0)) for k in range(int(length.max(initial=0)))]
+    order = np.lexsort((item, *reversed(cells), length)) if len(begin) else np.zeros(0, np.int64)
+    new = np.ones(len(order), bool)
+    if len(order):
+        new[1:] = length[order][1:] != length[order][:-1]
+        for c in cells:
+            new[1:] |= c[order][1:] != c[order][:-1]
+    held = item[order]
+    once = new.copy()
+    once[1:] |= held[1:] != held[:-1]
+    first = order[new]
+    of = (np.cumsum(new) - 1)[once]
+    begin, length, item = begin[first], length[first], held[once]
+    item_split = np.searchsorted(of, np.arange(len(first) + 1))
+    rare = np.array([count.get(int(h), 0) for h in found.hash] if found.hash is not None else [], np.int64)
     place = np.array([int(np.argmin(rare[b : b + k])) for b, k in zip(begin, length, strict=True)], np.int64)
     key = found.hash[begin + place] if len(begin) else np.zeros(0, np.uint64)
     by_key = np.argsort(key, kind="stable")
     keys, first = np.unique(key[by_key], return_index=True)
     maybe = np.zeros(1 << 16, bool)
     maybe[(keys & textkit.U(0xFFFF)).astype(np.int64)] = True
-    return Windows(found.hash, begin, length, place, item, [n for n, _ in items], keys, by_key, np.append(first, len(by_key)), maybe)
+    return Windows(found.hash, begin, length, place, item, item_split, names, keys, by_key, np.append(first, len(by_key)), maybe)
 
 
 def match(found: textkit.Words, w: Windows) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """``(row, first word, window)`` of every occurrence of a window inside a row."""
+    """``(row, first word, window)`` of every occurrence of a window inside a row.
+
+    Candidates are made and compared CANDIDATES at a time, so memory does not follow from how often a key word stands
+    in a text or how many windows share it. Distinct windows of one length cannot lie at one place, so the
+    result has ``size`` rows a word at most.
+    """
     none = np.zeros(0, np.int64)
     if not len(w.keys) or not len(found):
         return none, none, none
@@ -71,17 +101,25 @@ def match(found: textkit.Words, w: Windows) -> tuple[np.ndarray, np.ndarray, np.
     hit = w.keys[k] == found.hash[at]
     at, k = at[hit], k[hit]
     many = w.key_split[k + 1] - w.key_split[k]
-    window = w.by_key[_ranges(w.key_split[k], many)] if len(k) else none
-    at = np.repeat(at, many)
-    row = np.searchsorted(found.split, at, "right") - 1
-    first = at - w.place[window]
-    fits = (first >= found.split[row]) & (first + w.length[window] <= found.split[row + 1])
-    row, first, window = row[fits], first[fits], window[fits]
-    for i in range(int(w.length.max())):
-        inside = np.minimum(i, w.length[window] - 1)
-        same = found.hash[first + inside] == w.words[w.begin[window] + inside]
-        row, first, window = row[same], first[same], window[same]
-    return row, first, window
+    ends = np.cumsum(many)
+    out, total, lo = [(none, none, none)], int(ends[-1]) if len(ends) else 0, 0
+    while lo < total:  # candidates lo to hi of all, in their order
+        hi = min(total, lo + CANDIDATES)
+        place = np.arange(lo, hi)
+        of = np.searchsorted(ends, place, "right")
+        window = w.by_key[w.key_split[k[of]] + place - (ends[of] - many[of])]
+        word = at[of]
+        row = np.searchsorted(found.split, word, "right") - 1
+        first = word - w.place[window]
+        fits = (first >= found.split[row]) & (first + w.length[window] <= found.split[row + 1])
+        row, first, window = row[fits], first[fits], window[fits]
+        for i in range(int(w.length.max())):
+            inside = np.minimum(i, w.length[window] - 1)
+            same = found.hash[first + inside] == w.words[w.begin[window] + inside]
+            row, first, window = row[same], first[same], window[same]
+        out.append((row, first, window))
+        lo = hi
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
 def _probe(docs: DataFrame, windows: Windows) -> DataFrame:
@@ -101,8 +139,11 @@ def _probe(docs: DataFrame, windows: Windows) -> DataFrame:
                         spans[r][-1]["to"] = max(e, spans[r][-1]["to"])
                     else:
                         spans[r].append({"from": s, "to": e})
-                for r, i in sorted({(r, w.names[i]) for r, i in zip(row.tolist(), w.item[window].tolist(), strict=True)}):
-                    items[r].append(i)
+                pairs = np.unique(np.stack([row, window]), axis=1)
+                held = w.item_split[pairs[1] + 1] - w.item_split[pairs[1]]
+                pairs = np.unique(np.stack([np.repeat(pairs[0], held), w.item[_ranges(w.item_split[pairs[1]], held)]]), axis=1)
+                for r, i in zip(*pairs.tolist(), strict=True):  # names are in order
+                    items[r].append(w.names[i])
                 yield pa.RecordBatch.from_arrays(
                     [b.column(0)[lo:hi], b.column(2)[lo:hi], pa.array(np.diff(found.split)), pa.array(spans, pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))), pa.array(items, pa.list_(pa.string()))],
                     ["doc_id", "digest", "n_words", "spans", "items"],

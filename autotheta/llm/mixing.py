@@ -114,7 +114,7 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: fl
     rows = sized.join(s, sized["source"].eqNullSafe(s["source_"])).withColumn("rate", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0))
     rows = rows.withColumn("whole", F.floor(F.col("rate") + F.lit(1e-9))).withColumn("part", F.greatest(F.lit(0.0), F.col("rate") - F.col("whole")))
     buckets = F.ceil(F.col("n_docs") / GROUP_ROWS)
-    rows = rows.select("doc_id", "row", "size", "source_size", "target", "place", "whole", "part", F.pmod(F.xxhash64("doc_id", F.lit(seed)), buckets).alias("bucket"))
+    rows = rows.select("doc_id", "row", "size", "source_size", "target", "place", "whole", "part", F.pmod(F.xxhash64("doc_id", "row", "size", F.lit(seed)), buckets).alias("bucket"))
     idle = rows.where("size = 0").withColumn("part", F.lit(0.0))
     left, level, buckets_left, done = rows.where("size > 0"), 0, math.ceil(most / GROUP_ROWS), []
     while True:

@@ -9,7 +9,8 @@ run get shorter runs as well, so that they always meet.
 
 In a list, all are compared with one leader first; the verified links are contracted. What is then still in
 different components of one list meets by an exact prefix filter on the full sets. Pairs pass an estimate from the union of their sketches
-(within 5 standard errors of the threshold) and are then verified on their full sets.
+(within 8 standard errors of the threshold: a linked pair fails it with a chance below 1e-11 at 0.85 and at 0.8) and are then
+verified on their full sets.
 """
 
 from __future__ import annotations
@@ -25,8 +26,9 @@ from autotheta.llm import textkit
 from autotheta.operators.graph import components
 from autotheta.sources.shared import keep, map_arrow
 
-#: Retained values, the run length of a key, bits of the filter of candidate documents (its size is fixed), leaders tried.
-K, RUN, FILTER_BITS, LEADERS = 80, 4, 1 << 26, 2
+#: Retained values, the run length of a key, bits of the filter of candidate documents (its size is fixed), leaders tried, and
+#: standard errors by which an estimate may miss the threshold.
+K, RUN, FILTER_BITS, LEADERS, SIGMAS = 80, 4, 1 << 26, 2, 8.0
 
 
 def run_limits(num: int, den: int, run: int = RUN) -> dict[int, int]:
@@ -134,7 +136,7 @@ def shared_count(a: np.ndarray, b: np.ndarray) -> int:
 
 def _linked(pairs: DataFrame, classes: DataFrame, sets: DataFrame, num: int, den: int, k: int) -> DataFrame:
     """The pairs ``(a, b)`` that reach ``num/den``, by estimate and then exactly."""
-    least = num / den - 5 * math.sqrt(num / den * (1 - num / den) / k)
+    least = num / den - SIGMAS * math.sqrt(num / den * (1 - num / den) / k)
 
     def near(batches):
         for batch in batches:

@@ -81,22 +81,23 @@ def fit(x: np.ndarray, y: np.ndarray, ridge: float = 1.0) -> tuple[np.ndarray, n
     return mean, scale, w
 
 
-def _features(rows: DataFrame, ids: np.ndarray) -> np.ndarray:
-    """``id, FEATURES`` of the documents with these ids (no more than the bounded sample)."""
+def _features(rows: DataFrame, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Ids, in order, and FEATURES of the documents with these ids (no more than the bounded sample)."""
     shared = rows.sparkSession.sparkContext.broadcast(ids)
 
     def run(batches):
         for b in batches:
-            number = b.column(0).fill_null(np.iinfo(np.int64).min).to_numpy()
-            b = b.filter(pa.array(np.isin(number, shared.value)))
+            known = b.column(0).is_valid().to_numpy(zero_copy_only=False)
+            b = b.filter(pa.array(known & np.isin(b.column(0).fill_null(0).to_numpy(), shared.value)))
             for lo, hi, data, offsets in textkit.blocks(b.column(1)):
                 x = measure(data, offsets)
                 yield pa.RecordBatch.from_arrays([b.column(0)[lo:hi], pa.array(x.tolist(), pa.list_(pa.float64()))], ["doc_id", "x"])
 
-    t = map_arrow(rows.select("doc_id", "text"), run, "doc_id bigint, x array<double>").dropDuplicates(["doc_id"]).toArrow()
-    order = np.argsort(t["doc_id"].to_numpy())
-    x = np.array(t["x"].to_pylist()).reshape(-1, len(FEATURES))
-    return np.hstack([t["doc_id"].to_numpy().astype(float)[:, None], x])[order] if len(x) else np.zeros((0, 1 + len(FEATURES)))
+    # Of rows that share an id the least features count, whichever the order.
+    t = map_arrow(rows.select("doc_id", "text"), run, "doc_id bigint, x array<double>").groupBy("doc_id").agg(F.min("x").alias("x")).toArrow()
+    found = t["doc_id"].to_numpy().astype(np.int64)
+    order = np.argsort(found)
+    return found[order], np.array(t["x"].to_pylist(), float).reshape(-1, len(FEATURES))[order]
 
 
 def _evidence(rows: DataFrame, model: tuple) -> DataFrame:
@@ -132,12 +133,12 @@ def quality_by_site(docs: DataFrame, labels: DataFrame, host: Column, path: Colu
     """
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"), host.cast("string").alias("host"), path.cast("string").alias("path"))
     ids, y = train_labels(labels, label_col, train, limit)
-    x = _features(rows, ids) if len(ids) and y.min() != y.max() else np.zeros((0, 1))
-    y = y[np.searchsorted(ids, x[:, 0].astype(np.int64))] if len(x) else y
-    if not len(x) or y.min() == y.max():
-        model = (np.zeros(len(FEATURES)), np.ones(len(FEATURES)), np.zeros(len(FEATURES) + 1))
-    else:
-        model = fit(x[:, 1:], y)
+    model = (np.zeros(len(FEATURES)), np.ones(len(FEATURES)), np.zeros(len(FEATURES) + 1))
+    if len(ids) and y.min() != y.max():
+        found, x = _features(rows, ids)
+        y = y[np.searchsorted(ids, found)]
+        if len(y) and y.min() != y.max():
+            model = fit(x, y)
     d = keep(_evidence(rows, model), "evidence").withColumn("p", 1 / (1 + F.exp(-F.col("evidence"))))
     by_path = keep(d.groupBy("host", "path").agg(F.sum("p").alias("good"), F.count(F.lit(1)).alias("n")), "paths")
     by_host = by_path.groupBy("host").agg(F.sum("good").alias("host_good"), F.sum("n").alias("host_n"))

@@ -5,8 +5,8 @@ come from the token's first bytes: a rare token is drawn to what its beginning s
 Scores are shrunk by their standard error and lowered by a drift, so that the expected score of other text is
 negative. One linear scan a document then finds all maximal segments of positive score. Their significance
 follows the extreme-value law of such maxima: scaled by lambda, less the logarithm of length times K. The sum
-statistic of the highest segments, on that scale, becomes a probability by a logistic curve that is fitted on
-the labelled sample.
+statistic of the highest segments, on that scale, becomes a probability by a logistic curve. The curve is fitted on
+the labelled sample by FOLDS: each is scored by what the others alone teach.
 """
 
 from __future__ import annotations
@@ -21,8 +21,8 @@ from pyspark.sql import Column, DataFrame, functions as F
 from autotheta.llm import textkit
 from autotheta.sources.shared import keep, map_arrow
 
-#: Labelled documents the scores are learnt from at most (those of least hash), and scored tokens of a model.
-TRAIN_ROWS, MODEL_TOKENS = 60_000, 200_000
+#: Labelled documents the scores are learnt from at most (those of least hash); their tokens are all that a model scores.
+TRAIN_ROWS, FOLDS = 60_000, 5
 PREFIX, WEAK, STRONG, SHRINK, EFFECT, DRIFT = 4, 4.0, 36.0, 1.0, 1.0, 0.2
 
 
@@ -36,26 +36,26 @@ def prefix_hash(data: np.ndarray, w: textkit.Words, kind: textkit.WordClass = te
     return out
 
 
-def _token_counts(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray) -> DataFrame:
-    """``h, g, toxic_docs, other_docs, other_tokens`` over the labelled documents; g is the prefix."""
-    shared = rows.sparkSession.sparkContext.broadcast((ids, toxic))
-    names = ["h", "g", "toxic_docs", "other_docs", "other_tokens"]
+def _token_counts(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray, fold: np.ndarray) -> DataFrame:
+    """``h, g, fold, toxic_docs, other_docs, other_tokens`` over the labelled documents; g is the prefix."""
+    shared = rows.sparkSession.sparkContext.broadcast((ids, toxic, fold))
+    names = ["h", "g", "fold", "toxic_docs", "other_docs", "other_tokens"]
 
     def run(batches):
-        known, is_toxic = shared.value
+        known, is_toxic, folds = shared.value
         parts: list = []
 
         def add_up(parts):
-            h = np.concatenate([p[0] for p in parts])
-            first, back = np.unique(h, return_index=True, return_inverse=True)[1:]
-            sums = [np.bincount(back, np.concatenate([p[k] for p in parts])).astype(np.int64) for k in (2, 3, 4)]
-            return (h[first], np.concatenate([p[1] for p in parts])[first], *sums)
+            key = np.concatenate([p[0] for p in parts])
+            first, back = np.unique(key, return_index=True, return_inverse=True)[1:]
+            sums = [np.bincount(back, np.concatenate([p[k] for p in parts])).astype(np.int64) for k in (4, 5, 6)]
+            return (key[first], *(np.concatenate([p[k] for p in parts])[first] for k in (1, 2, 3)), *sums)
 
         for b in batches:
             number = b.column(0).fill_null(-1).to_numpy()
             at = np.minimum(np.searchsorted(known, number), len(known) - 1)
             hit = known[at] == number
-            label = is_toxic[at[hit]]
+            label, of = is_toxic[at[hit]], folds[at[hit]]
             text = b.column(1).filter(pa.array(hit))
             for lo, hi, data, offsets in textkit.blocks(text):
                 w = textkit.words(data, offsets, textkit.ALNUM_LOWER)
@@ -64,17 +64,18 @@ def _token_counts(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray) -> DataFr
                 row = np.repeat(np.arange(hi - lo), np.diff(w.split))
                 key = textkit.mix(w.hash + row.astype(np.uint64) * textkit.U(0x9E3779B97F4A7C15))
                 first, tokens = np.unique(key, return_index=True, return_counts=True)[1:]
-                bad = label[lo:hi][row[first]].astype(np.float64)
-                parts.append((w.hash[first], prefix_hash(data, w)[first], bad, 1 - bad, tokens * (1 - bad)))
+                bad, f = label[lo:hi][row[first]].astype(np.float64), of[lo:hi][row[first]]
+                of_fold = textkit.mix(w.hash[first] + f.astype(np.uint64))
+                parts.append((of_fold, w.hash[first], prefix_hash(data, w)[first], f, bad, 1 - bad, tokens * (1 - bad)))
                 if len(parts) >= 8:
                     parts = [add_up(parts)]
         if parts:
-            out = add_up(parts)
+            out = add_up(parts)[1:]
             for a in range(0, len(out[0]), 200_000):
                 yield pa.RecordBatch.from_arrays([pa.array(x[a : a + 200_000].view(np.int64)) for x in out], names)
 
-    counted = map_arrow(rows, run, "h bigint, g bigint, toxic_docs bigint, other_docs bigint, other_tokens bigint")
-    return counted.groupBy("h", "g").agg(*[F.sum(c).alias(c) for c in names[2:]])
+    counted = map_arrow(rows, run, "h bigint, g bigint, fold bigint, toxic_docs bigint, other_docs bigint, other_tokens bigint")
+    return counted.groupBy("h", "g", "fold").agg(*[F.sum(c).alias(c) for c in names[3:]])
 
 
 @dataclass
@@ -108,10 +109,10 @@ def _log_odds(toxic, other, prior_toxic, prior_other, n_toxic: float, n_other: f
     return F.when(F.abs(shrunk) >= EFFECT, shrunk).otherwise(0.0)
 
 
-def learn(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray) -> tuple[Scores, float]:
-    """Scores and lambda from ``doc_id, text`` rows and the labels of sorted ids."""
+def learn(counts: DataFrame, toxic: np.ndarray) -> tuple[Scores, float]:
+    """Scores and lambda from counts by token (and fold, if there are several) and the labels of their documents."""
     n_toxic, n_other = max(1.0, float(toxic.sum())), max(1.0, float(len(toxic) - toxic.sum()))
-    counts = keep(_token_counts(rows, ids, toxic), "tokens")
+    counts = counts.groupBy("h", "g").agg(*[F.sum(c).alias(c) for c in ("toxic_docs", "other_docs", "other_tokens")])
     share = n_toxic / (n_toxic + n_other)
     # Priors: of a prefix no difference, of a token its prefix.
     by_prefix = counts.groupBy("g").agg(F.sum("toxic_docs").alias("gt"), F.sum("other_docs").alias("go"))
@@ -123,8 +124,9 @@ def learn(rows: DataFrame, ids: np.ndarray, toxic: np.ndarray) -> tuple[Scores,
     prior_toxic = strength * (F.col("gt") - F.col("toxic_docs") + 2 * share) / (seen + 2.0)
     prior_other = strength * (F.col("go") - F.col("other_docs") + 2 * (1 - share)) / (seen + 2.0)
     scored = keep(joined.withColumn("score", _log_odds(F.col("toxic_docs"), F.col("other_docs"), prior_toxic, prior_other, n_toxic, n_other)).select("h", "score", "g_score", "other_tokens"), "scores")
-    top = scored.where(F.abs("score") + F.abs("g_score") > 0).orderBy(F.desc(F.abs("score") + F.abs("g_score")), "h").limit(MODEL_TOKENS).select("h", "score").toArrow()
-    prefixes = by_prefix.where(F.abs("g_score") > 0).orderBy(F.desc(F.abs("g_score")), "g").limit(MODEL_TOKENS).select("g", "g_score").toArrow()
+    # No more than the sample's own tokens; where both scores are 0 none need be kept.
+    top = scored.where(F.abs("score") + F.abs("g_score") > 0).select("h", "score").toArrow()
+    prefixes = by_prefix.where(F.abs("g_score") > 0).select("g", "g_score").toArrow()
 
     def sorted_by_hash(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
         h = t.column(0).to_numpy().astype(np.int64).view(np.uint64)
@@ -232,6 +234,14 @@ def train_labels(labels: DataFrame, label_col: str, train: Column | None, limit:
     return ids[order], y[order]
 
 
+def folds(ids: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Fold of each labelled document, by the hash of its id within its kind, so that both kinds are in all folds."""
+    order = np.lexsort((ids, textkit.mix(ids.astype(np.int64).view(np.uint64)), y))
+    place = np.empty(len(ids), np.int64)
+    place[order] = np.arange(len(ids))
+    return place % FOLDS
+
+
 def score_toxicity(docs: DataFrame, labels: DataFrame, train: Column | None = None, label_col: str = "toxic", threshold: float = 0.3, limit: int = TRAIN_ROWS, e_value: float = 0.01, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, score, predicted, n_words, best, passages``, one row per input row.
 
@@ -246,19 +256,32 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, train: Column | None = No
     if not len(ids) or y.min() == y.max():
         none = F.array().cast("array<struct<from: bigint, to: bigint, score: double>>")
         return rows.select("doc_id", F.lit(0.0).alias("score"), F.lit(0).alias("predicted"), F.lit(0).cast("bigint").alias("n_words"), F.lit(0.0).alias("best"), none.alias("passages"))
-    scores, lam = learn(rows, ids, y)
-    found = keep(segments(rows, scores, lam), "segments")
-    scaled = F.lit(lam) * F.col("best") - F.log(F.greatest(F.col("n_words"), F.lit(1)).cast("double"))
-    squeezed = F.least(F.greatest("pooled", F.lit(-12.0)), F.lit(30.0))
-    # The sample's own rows again, now with their segments: at most ``limit`` rows of two numbers.
     spark = docs.sparkSession
     sample = spark.createDataFrame(pa.table({"i": ids, "y": y}))
-    seen = found.select("doc_id", "best", scaled.alias("scaled"), squeezed.alias("x")).join(F.broadcast(sample), F.col("doc_id") == F.col("i"))
-    bins = seen.groupBy(F.round(F.col("x") * 4).alias("x")).agg(F.sum("y").alias("y1"), F.sum(1 - F.col("y")).alias("y0")).toArrow()
-    x, y1, y0 = (bins[c].to_numpy().astype(float) for c in ("x", "y1", "y0"))
+    labelled = keep(rows.join(F.broadcast(sample), F.col("doc_id") == F.col("i")).select("doc_id", "text"), "labelled")  # TRAIN_ROWS documents at most
+    fold = folds(ids, y)
+    counts = keep(_token_counts(labelled, ids, y, fold), "tokens")
+    scores, lam = learn(counts, y)
+    found = keep(segments(rows, scores, lam), "segments")
+    squeezed = F.least(F.greatest("pooled", F.lit(-12.0)), F.lit(30.0))
+    bins, mean, weight = {}, 0.0, 0
+    for f in range(FOLDS):
+        if not (fold == f).any():
+            continue
+        scores, lam_h = learn(counts.where(F.col("fold") != f), y[fold != f])
+        mine = F.broadcast(spark.createDataFrame(pa.table({"i": ids[fold == f], "y": y[fold == f]})))
+        seen = segments(labelled.join(mine, F.col("doc_id") == F.col("i"), "left_semi"), scores, lam_h).join(mine, F.col("doc_id") == F.col("i"))
+        scaled = F.lit(lam_h) * F.col("best") - F.log(F.greatest(F.col("n_words"), F.lit(1)).cast("double"))
+        plain = (F.col("y") == 0) & (F.col("best") > 0)
+        grouped = seen.groupBy(F.round(squeezed * 4).alias("x")).agg(F.sum("y").alias("y1"), F.sum(1 - F.col("y")).alias("y0"), F.sum(F.when(plain, scaled)).alias("scaled"), F.count_if(plain).alias("plain"))
+        for r in grouped.collect():  # 170 rows at most
+            y1, y0 = bins.get(r["x"], (0, 0))
+            bins[r["x"]] = (y1 + r["y1"], y0 + r["y0"])
+            mean, weight = mean + (r["scaled"] or 0.0), weight + r["plain"]
+    x = np.array(sorted(bins), float)
+    y1, y0 = (np.array([bins[k][j] for k in sorted(bins)], float) for j in (0, 1))
     x = x / 4
-    mean = seen.where("y = 0 AND best > 0").agg(F.avg("scaled")).first()[0]
-    location = (mean or 0.0) - 0.5772  # ln K, from the mean of the law
+    location = (mean / weight if weight else 0.0) - 0.5772  # ln K, from the mean of the law
     slope, intercept = fit_logistic(x, y1, y0)
     score = 1 / (1 + F.exp(-(F.lit(slope) * squeezed + intercept)))
     expected = F.lit(math.log(e_value))

@@ -24,7 +24,7 @@ GZIP, VERSION = b"\x1f\x8b\x08", b"WARC/1.1"
 #: Bytes of a reader's range, and of one read.
 RANGE, READ = 8 << 20, 1 << 20
 #: Parts over which the rows of one payload are dealt.
-SALTS = 16
+SALTS = 256
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
 

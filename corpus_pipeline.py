@@ -15,38 +15,45 @@ from autotheta.sources.shared import keep
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
-def _keyed(docs: DataFrame) -> DataFrame:
-    """COLUMNS of ``docs`` with a ``key``: the id, or for null ids a negative number of the row's own."""
+def _keyed(docs: DataFrame) -> tuple[DataFrame, bool]:
+    """COLUMNS of ``docs`` with a ``key`` of each row, and whether the key is the id.
+
+    It is where ids are whole and stand once. Else rows are numbered in the order of ids and texts, null ids last, so
+    that rows of one id with different texts are different documents.
+    """
     docs = docs.select(*COLUMNS)
-    if docs.where("doc_id IS NULL").limit(1).count() == 0:
-        return docs.withColumn("key", F.col("doc_id"))
-    return keep(docs.withColumn("key", F.coalesce("doc_id", -1 - F.monotonically_increasing_id())), "keyed")
+    odd = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 OR doc_id IS NULL")
+    if odd.limit(1).count() == 0:
+        return docs.withColumn("key", F.col("doc_id")), True
+    order = [F.asc_nulls_last("doc_id"), F.col("text"), F.col("lang"), F.col("source")]
+    rows = docs.repartitionByRange(*order).sortWithinPartitions(*order)
+    return keep(rows.withColumn("key", F.monotonically_increasing_id()), "keyed"), False
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a toxicity score of 0.3 or more go. Labels are learnt outside the held-out rows."""
-    rows = _keyed(docs)
-    verdict = toxicity.score_toxicity(rows, table(spark, sf_dir, "labels"), train=~held_out(), id_col="key")
-    bad = verdict.where("predicted = 1").select(F.col("doc_id").alias("key")).distinct()
+    rows, plain = _keyed(docs)
+    labels = table(spark, sf_dir, "labels").where(~held_out())
+    if not plain:
+        labels = labels.join(rows.select("doc_id", "key"), "doc_id").select(F.col("key").alias("doc_id"), "toxic")
+    verdict = toxicity.score_toxicity(rows, labels, id_col="key")
+    bad = verdict.where("predicted = 1").select(F.col("doc_id").alias("key"))
     return rows.join(bad, "key", "left_anti").select(*COLUMNS)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group linked by five-word shingles at a similarity of 0.8 the least id stays, and one row of it."""
-    rows = _keyed(docs)
+    """Of each group linked by five-word shingles at a similarity of 0.8 the least id stays, of equal ids one row."""
+    rows, _ = _keyed(docs)
     verdict = neardup.near_duplicates(rows, size=5, num=80, den=100, id_col="key")
-    gone = verdict.where("NOT kept").select(F.col("doc_id").alias("key")).distinct()
-    repeated = rows.groupBy("key").count().where("count > 1").select("key")
-    rest = rows.join(gone, "key", "left_anti")
-    once = rest.join(repeated, "key", "left_anti").select(*COLUMNS)
-    return once.unionByName(rest.join(repeated, "key", "left_semi").dropDuplicates(["key"]).select(*COLUMNS))
+    gone = verdict.where("NOT kept").select(F.col("doc_id").alias("key"))
+    return rows.join(gone, "key", "left_anti").select(*COLUMNS)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold ten words in a row of a benchmark item go."""
-    rows = _keyed(docs)
+    rows, _ = _keyed(docs)
     verdict = decontaminate.decontaminate(rows, table(spark, sf_dir, "benchmark"), size=10, id_col="key")
-    bad = verdict.where("n_hit > 0").select(F.col("doc_id").alias("key")).distinct()
+    bad = verdict.where("n_hit > 0").select(F.col("doc_id").alias("key"))
     return rows.join(bad, "key", "left_anti").select(*COLUMNS)
 
 

@@ -12,7 +12,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from autotheta.llm import decontaminate, linededup, maxent, mixing, neardup, perplexity, queries, quality, textkit, tokens, toxicity, warc
+from autotheta.llm import decontaminate, exchange, linededup, maxent, mixing, neardup, perplexity, queries, quality, textkit, tokens, toxicity, warc
 from tests.conftest import SF
 from tests.oracle import connect, same
 
@@ -226,17 +226,16 @@ def test_op6_counts(spark, documents):
     assert sum(r.kept for r in fair) >= 0.97 * len(fair)
 
 
-def test_op6_model_by_hand(spark):
-    """Probabilities over all symbols add up to 1 in every context, kept or pruned."""
-    docs = spark.createDataFrame([(k, "en", "a b c a b d. a b c x" * (k % 3 + 1)) for k in range(30)], "i bigint, lang string, text string")
-    for rows in (1 << 20, 6):
-        m = perplexity.train(docs, model_rows=rows)
-        assert len(m.keys) <= rows or rows > 6
-        g = m.symbols.languages["en"]
-        contexts = {int(k) >> 8 & 0xFFFF for k in m.keys if int(k) >> 24 == g} | {(254 << 8) | 254, 0}
-        for c in contexts:
-            t = (c << 8) | np.arange(perplexity.SYMBOLS)
-            assert abs((10.0 ** m.scores(t, np.full(len(t), g))).sum() - 1) < 1e-3
+def test_op6_symbols_by_hand():
+    """Probabilities over all symbols add up to 1 after every symbol, seen or not."""
+    rng = np.random.default_rng(2)
+    table = rng.poisson(0.4, (perplexity.SYMBOLS, perplexity.SYMBOLS)).astype(float)
+    table[5] = 0
+    assert np.allclose(perplexity.symbol_model(table).sum(1), 1)
+    top = np.array([3, 9], np.uint64)
+    shift = np.uint64(8)
+    got = perplexity.symbols(top, np.array([3 << 8, 4 << 8, 9 << 8], np.uint64), np.array([1, 2, 3], np.uint8), shift)
+    assert got.tolist() == [perplexity.END + 1, 2, perplexity.END + 2]
 
 
 def test_op7_quality(spark):
@@ -337,31 +336,53 @@ def test_op6_words_by_hand(spark):
     got = {r.doc_id: r for r in perplexity.perplexity_filter(rows).collect()}
     assert sum(got[k].kept for k in range(200)) >= 196 and not any(got[200 + k].kept for k in range(6))
 
-    docs = rows.withColumnRenamed("doc_id", "i").withColumn("t", F.xxhash64("lang", "text"))
+    # Again with two languages, one of them null, and chunks of a few texts.
+    texts = [(k, ["en", None][k % 3 == 0], t) for k, t in enumerate([*clean[:60], "", "one", "one"])]
+    docs = spark.createDataFrame(texts, "doc_id bigint, lang string, text string").repartition(3)
+    docs = exchange.stable(docs.select(F.col("doc_id").alias("i"), F.coalesce(F.concat(F.lit("="), "lang"), F.lit("")).alias("language"), "text", F.xxhash64("lang", "text").alias("t")))
     model = perplexity.train(docs)
-    tokens_ = [tuple(r) for r in perplexity._tokens(docs, model).collect()]
-    table = {(r.u, r.v, r.w): r for r in perplexity.word_probabilities(perplexity._tokens(docs, model), 2).collect()}
-    assert set(table) == {x[1:4] for x in tokens_}
-    symbol = {x[3]: x[4] & 0xFF for x in tokens_}
-    types = collections.Counter(symbol.values())
-    prior = {x[1:4]: 10.0 ** x[5] / (types[symbol[x[3]]] + 1 if perplexity.SHAPE0 <= symbol[x[3]] < perplexity.START else 1) for x in tokens_}
-    for side, h in ((0, "pa"), (1, "pb")):
-        three = collections.Counter(x[1:4] for x in tokens_ if x[0] % 2 == side)
-        two = collections.Counter(g[1:] for g in three)
-        one = collections.Counter((g[1],) for g in two)
-
-        def order(counts):
-            of = collections.Counter(counts.values())
-            d = [0.0, *perplexity.discounts(*(of[k] for k in (1, 2, 3, 4)))]
-            whole, rest = collections.Counter(), collections.Counter()
-            for g, n in counts.items():
-                whole[g[:-1]] += n
-                rest[g[:-1]] += d[min(n, 3)]
-            return lambda g, low: ((counts[g] - d[min(counts[g], 3)] if g in counts else 0.0) + rest[g[:-1]] * low) / whole[g[:-1]] if whole[g[:-1]] else low
-
-        p3, p2, p1 = order(three), order(two), order(one)
-        for g, r in list(table.items())[:3000]:
-            assert r[h] == pytest.approx(p3(g, p2(g[1:], p1(g[2:], prior[g]))), rel=1e-4)
+    half = {r.i: r.t & 1 for r in docs.collect()}
+    got = {r.doc_id: r for r in perplexity.measures(docs, model).collect()}
+
+    def discounted(counts):
+        of = collections.Counter(counts.values())
+        d = [0.0, *perplexity.discounts(*(of[k] for k in (1, 2, 3, 4)))]
+        whole, rest = collections.Counter(), collections.Counter()
+        for g, n in counts.items():
+            whole[g[:-1]] += n
+            rest[g[:-1]] += d[min(n, 3)]
+        return lambda g, low: ((counts[g] - d[min(counts[g], 3)] if g in counts else 0.0) + rest[g[:-1]] * low) / whole[g[:-1]] if whole[g[:-1]] else low
+
+    for language in ("en", None):
+        mine = [(i, ["<s>", *(t or "").split(), "</s>"]) for i, g, t in texts if g == language]
+        name = "=en" if language else ""
+        words = collections.Counter(w for _, ws in mine for w in ws[1:-1])
+        data, offsets = textkit.text_rows(pa.array([" ".join(words)]))
+        cut = textkit.words(data, offsets, textkit.SPACED)
+        shape = dict(zip(words, perplexity.shapes(data, cut).tolist(), strict=True)) | {"<s>": perplexity.START, "</s>": perplexity.END}
+        # Frequent words are symbols of their own; their numbers follow from the model's keys.
+        seed = textkit.mix(np.array([int.from_bytes(name.encode()[-8:], "little")], np.uint64) + np.array([len(name)], np.uint64) * textkit.U(0xA0761D6478BD642F))
+        keys = dict(zip(words, textkit.mix(cut.hash + seed[0]), strict=True))
+        least = sorted(words.values())[-min(perplexity.WORDS, len(words))]
+        symbol = {w: int(perplexity.symbols(model.top[name], np.array([keys[w]], np.uint64), np.array([x], np.uint8), model.plan.shift)[0]) if w in keys else x for w, x in shape.items()}
+        assert all(symbol[w] > perplexity.END for w, n in words.items() if n > least)
+        assert sum(x > perplexity.END for x in symbol.values()) == min(perplexity.WORDS, len(words))
+        counts = np.zeros((perplexity.SYMBOLS, perplexity.SYMBOLS))
+        for _, ws in mine:
+            for v, w in zip(ws, ws[1:]):
+                counts[symbol[v], symbol[w]] += 1
+        p0 = perplexity.symbol_model(counts)
+        two = [collections.Counter((v, w) for i, ws in mine if half[i] == h for v, w in zip(ws, ws[1:])) for h in (0, 1)]
+        one = [collections.Counter((w,) for _, w in t) for t in two]
+        types = [collections.Counter(symbol[w] for (w,) in x) for x in one]
+        for i, ws in mine:
+            h = 1 - half[i]
+            p2, p1 = discounted(two[h]), discounted(one[h])
+            logs = []
+            for v, w in zip(ws, ws[1:]):
+                share = types[h][symbol[w]] + 1 if symbol[w] < perplexity.START else 1
+                logs.append(-math.log10(p2((v, w), p1((w,), p0[symbol[v], symbol[w]] / share))))
+            assert got[i].log_perplexity == pytest.approx(sum(logs) / len(logs), rel=1e-3)
 
 
 def test_op7_distinct_of_whole_text():
