@@ -59,7 +59,7 @@ def same_splits(spark: SparkSession):
 
 @dataclass(frozen=True)
 class Plan:
-    """Owners of keys, and bits of a key. A chunk has some 2**22 keys; of 2**16 absent keys about one meets another one."""
+    """Owners of keys, and bits of a key. A chunk has some 2**22 keys; of 2**14 absent keys about one meets another one."""
 
     parts: int
     bits: int
@@ -77,26 +77,36 @@ class Plan:
 def plan(rows: DataFrame) -> Plan:
     """Half as many owners as there are splits, so a part holds about two chunks' keys."""
     splits = rows.rdd.getNumPartitions()
-    return Plan(max(4, splits // 2), min(62, 38 + math.ceil(math.log2(max(1, splits)))))
+    return Plan(max(4, splits // 2), min(62, 36 + math.ceil(math.log2(max(1, splits)))))
+
+
+def _squeeze(x: np.ndarray) -> bytes | None:
+    return pa.compress(np.ascontiguousarray(x).tobytes(), "zstd", asbytes=True) if x.any() else None
+
+
+def _stretch(raw: bytes | None, n: int) -> np.ndarray:
+    return np.frombuffer(pa.decompress(raw, n, "zstd"), np.uint8) if raw is not None else np.zeros(n, np.uint8)
 
 
 def pack(arrays: list[np.ndarray]) -> bytes:
-    """Arrays as compressed byte planes."""
+    """Arrays of unsigned numbers: which are not 0, a bit each, and the byte planes of those less 1, compressed."""
     out = []
     for x in arrays:
-        planes = np.ascontiguousarray(x.view(np.uint8).reshape(len(x), x.itemsize).T) if len(x) else np.zeros((x.itemsize, 0), np.uint8)
-        out.append((x.dtype.str, len(x), [pa.compress(p.tobytes(), "zstd", asbytes=True) if p.any() else None for p in planes]))
+        some = x > 0
+        rest = x[some] - x.dtype.type(1)
+        planes = rest.view(np.uint8).reshape(len(rest), x.itemsize).T
+        out.append((x.dtype.str, len(x), len(rest), _squeeze(np.packbits(~some)), [_squeeze(p) for p in planes]))
     return pickle.dumps(out, protocol=5)
 
 
 def unpack(raw: bytes) -> list[np.ndarray]:
     out = []
-    for kind, n, planes in pickle.loads(raw):
-        x = np.zeros((n, len(planes)), np.uint8)
-        for k, p in enumerate(planes):
-            if p is not None:
-                x[:, k] = np.frombuffer(pa.decompress(p, n, "zstd"), np.uint8)
-        out.append(x.view(kind).ravel())
+    for kind, n, m, none, planes in pickle.loads(raw):
+        some = ~np.unpackbits(_stretch(none, -(-n // 8)), count=n).view(bool)
+        rest = np.stack([_stretch(p, m) for p in planes], axis=1) if m else np.zeros((0, len(planes)), np.uint8)
+        x = np.zeros(n, kind)
+        x[some] = rest.view(kind).ravel() + x.dtype.type(1)
+        out.append(x)
     return out
 
 

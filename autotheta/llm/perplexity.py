@@ -224,13 +224,17 @@ def _symbol_counts(top: dict[str, np.ndarray], shift: np.uint64):
 
 
 def _own_bigrams(kind, keys, counts, first, at):
-    """Counts of both halves in the other chunks and who is first to hold a bigram; how many bigrams occur 1 to 4 times."""
+    """Counts of both halves in the other chunks and who is first to hold a bigram; how many bigrams occur 1 to 4 times.
+
+    A chunk that is not the first needs a half's count only where the bigram stands in its texts of the other half.
+    """
     n, b = (c.astype(np.int64) for c in counts)
     totals = [np.add.reduceat(x, first) for x in (n - b, b)]
     new = np.zeros(len(at), np.uint8)
     new[first] = 1
     few = [[int((t == k).sum()) for k in (1, 2, 3, 4)] for t in totals]
-    return [*((t[at] - x).astype(np.uint32) for t, x in zip(totals, (n - b, b), strict=True)), new], few
+    others = (np.where((other > 0) | (new > 0), t[at] - x, 0) for t, x, other in zip(totals, (n - b, b), (b, n - b), strict=True))
+    return [*(x.astype(np.uint32) for x in others), new], few
 
 
 @dataclass
@@ -294,7 +298,7 @@ SHARE = 65535
 
 def _own_words(d2: dict[str, np.ndarray]):
     """Answers by word: occurrences as context and forerunners in the other chunks, and the share that goes to the
-    lower order, by half."""
+    lower order, by half, where the word stands in the chunk's texts of the other half. (Each word but the end is a context.)"""
 
     def answer(kind, keys, counts, first, at):
         totals = [np.add.reduceat(c.astype(np.int64), first) for c in counts[:10]]
@@ -310,8 +314,9 @@ def _own_words(d2: dict[str, np.ndarray]):
         n = np.where(shape < START, whole[0] + whole[1], 0)
         often = np.lexsort((keys, -n))[:WORDS]
         top = [(int(n[k]), int(keys[k]), int(shape[k]), bool(m[0][k] > 0), bool(m[1][k] > 0)) for k in often if n[k]]
+        needed = [(counts[1 - h] > 0) | (counts[10] == END) for h in (0, 1)] * 3
         others = [(t[at] - own).astype(np.uint32) for t, own in zip((*whole, *m), (*counts[_CONTEXT], *counts[_FORERUNNERS]), strict=True)]
-        return [*others, *out], (sums, top)
+        return [np.where(k, x, 0).astype(x.dtype) for k, x in zip(needed, (*others, *out), strict=True)], (sums, top)
 
     return answer
 
