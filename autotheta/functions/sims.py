@@ -109,6 +109,23 @@ class SetSimilarity:
             return _least(_quotient(m * b, n * a), F.lit(1.0) if isinstance(n, Column) else 1.0)
         return _quotient(m * b, n * a + m * (b - a))
 
+    def least_share(self, key: float, side: str = "r", bounds: str = "tight") -> float:
+        """Share of a set that any partner of this key or more has in common with it."""
+        a = float(self.alpha if side == "r" else 1 - self.alpha)
+        if self.name == "dice":
+            return key / 2 if bounds == "paper" else key / (2 - key)
+        if self.name == "tversky":
+            return key * a if bounds == "paper" else key * a / (1 - key * (1 - a)) if a else 0.0
+        return key
+
+    def prefix_at_most(self, key: float, n: Column, side: str = "r", bounds: str = "tight") -> Column:
+        """No fewer places than those whose cap reaches ``key``; rounding may add one or two."""
+        return F.least(n, n - F.floor(n * F.lit(self.least_share(key, side, bounds) * (1 - 1e-12))) + 2).cast("int")
+
+    def rest_at_most(self, key: float, n: Column, side: str = "r", bounds: str = "tight") -> Column:
+        """No fewer elements than there are behind the places whose cap reaches ``key``."""
+        return F.least(n, F.ceil(n * F.lit(self.least_share(key, side, bounds) * (1 + 1e-12)))).cast("bigint")
+
     def size_range(self, theta: float | str | Fraction, nr):
         """Least and greatest size of a partner of r at ``theta``, as doubles; null or infinity where there is no bound."""
         t, a = Fraction(str(theta)), self.alpha

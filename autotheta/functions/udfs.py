@@ -8,6 +8,9 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
+from autotheta.operators.objectives import levels
+from autotheta.operators.simjoin import sharing_pairs
+from autotheta.plans.workloads import OUTER_SQL, STATE_SQL, W, fixture, pairs_sql
 from autotheta.sources.shared import map_arrow
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -72,7 +75,8 @@ def udaf_pandas(spark, d):
 
 
 def register_udtfs(spark: SparkSession) -> None:
-    """``qgrams(text, q)`` for SQL: position and substring, a row each."""
+    """For SQL: ``qgrams(text, q)``, position and substring, a row each; ``auto_report(TABLE(levels), size_r, size_s)``, the
+    chosen threshold and its score by outer size from rows ``key, d_join, d_r, d_s`` in descending order of keys."""
 
     @F.udtf(returnType="pos int, gram string")
     class QGrams:
@@ -80,7 +84,34 @@ def register_udtfs(spark: SparkSession) -> None:
             for i in range(len(text or "") - q + 1):
                 yield i + 1, text[i : i + q]
 
+    @F.udtf(returnType="theta double, h bigint, n_join bigint")
+    class AutoReport:
+        def __init__(self):
+            self.best, self.joined, self.covered = None, 0, 0
+
+        def eval(self, row, size_r: int, size_s: int):
+            self.joined += row["d_join"]
+            self.covered += row["d_r"] + row["d_s"]
+            h = self.covered - self.joined - size_r - size_s
+            if self.best is None or h > self.best[1]:
+                self.best = (row["key"], h, self.joined)
+
+        def terminate(self):
+            if self.best is not None:
+                yield self.best
+
     spark.udtf.register("qgrams", QGrams)
+    spark.udtf.register("auto_report", AutoReport)
+
+
+@_add("udtf_auto_report", f"WITH RECURSIVE {pairs_sql('w5', truth=False)}, {STATE_SQL}, {OUTER_SQL} SELECT round(key, 6) AS theta, h::BIGINT AS h, n_join FROM scored ORDER BY scored.h DESC, scored.key DESC LIMIT 1")
+def udtf_auto_report(spark, d):
+    """The levels' rows, few beside the pairs', go through one Python table function in SQL."""
+    register_udtfs(spark)
+    f = fixture("w5", spark, d)
+    levels(sharing_pairs(f.prepared, W["w5"].sim), forest=False).createOrReplaceTempView("autotheta_levels")
+    rows = spark.sql(f"SELECT * FROM auto_report(TABLE(SELECT key, d_join, d_r, d_s FROM autotheta_levels) WITH SINGLE PARTITION ORDER BY key DESC, {f.prepared.size_r}, {f.prepared.size_s})")
+    return rows.select(F.round("theta", 6).alias("theta"), "h", "n_join")
 
 
 @_add("udtf_qgrams", "SELECT s_suppkey, i::INT AS pos, substr(s_name, i, 3) AS gram FROM (SELECT s_suppkey, s_name, unnest(range(1, length(s_name) - 1)) AS i FROM supplier)")

@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F
 
 from autotheta.operators.measures import accuracy_curve, best_f1_threshold
+from autotheta.sources.shared import keep
 
 
 def sampled(id_: Column, rate: float, seed: str = "sample") -> Column:
@@ -39,43 +40,74 @@ class ActiveRun:
     theta: float | None
     labels: int
     trace: list[tuple[int, float]] = field(default_factory=list)
-
-
-def tune_by_active(pairs: DataFrame, truth: DataFrame, budget: int, batch: int = 1, levels_kept: int = 200_000) -> ActiveRun:
-    """Label the pair that the current threshold is least sure of, again and again; of ties that of highest similarity.
-
-    The classifier is the threshold of best F1 on the labels so far; unsure is near to it; the first is
-    the middle of the range. Only pairs that share something are asked for. What the driver holds is the number of
-    pairs and of true ones at each similarity level (``levels_kept`` at most), as pairs of a level are asked for
-    in no order that matters: a label is the next of its level, true ones spread evenly.
+    asked: list[tuple[int, int, bool]] = field(default_factory=list)
+
+
+class _Near:
+    """Labelled pairs around thresholds: read in windows of the ``size`` nearest above and below, again when one is left."""
+
+    def __init__(self, marked: DataFrame, size: int):
+        self.marked, self.size = marked, size
+        self.rows: dict[tuple[int, int], tuple[float, int, bool]] = {}
+        self.low, self.high = np.inf, -np.inf
+
+    def read(self, theta: float) -> None:
+        above = self.marked.where(F.col("key") >= theta).orderBy("key", "h", "r", "s").limit(self.size).collect()
+        below = self.marked.where(F.col("key") < theta).orderBy(F.desc("key"), "h", "r", "s").limit(self.size).collect()
+        self.rows = {(x["r"], x["s"]): (x["key"], x["h"], x["hit"]) for x in above + below}
+        # Inside these ends nothing is missing.
+        self.high = above[-1]["key"] if len(above) == self.size else np.inf
+        self.low = below[-1]["key"] if len(below) == self.size else -np.inf
+
+    def nearest(self, theta: float, asked: set[tuple[int, int]]) -> tuple[int, int] | None:
+        for again in (False, True):
+            if again or not self.low < theta < self.high:
+                self.read(theta)
+            free = [(abs(key - theta), -key, h, *pair) for pair, (key, h, _) in self.rows.items() if pair not in asked]
+            best = min(free, default=None)
+            if again or (best is not None and self.low < theta - best[0] and theta + best[0] < self.high):
+                return best[3:] if best is not None else None
+        return None
+
+
+def tune_by_active(pairs: DataFrame, truth: DataFrame, budget: int) -> ActiveRun:
+    """Label the pair that the current threshold is least sure of, again and again; of ties that of highest similarity,
+    then of least hash of its ids.
+
+    The classifier is the threshold of best F1 on the labelled pairs (of ties the largest); unsure is near to it; the first
+    is the middle of the range. Only pairs that share something are asked for, each once, and its own label is looked
+    up. The driver holds the pairs around the threshold, 2 * ``budget`` + 2 at a time, never all levels.
     """
-    curve = accuracy_curve(pairs, truth).select("key", "n_join", "tp").orderBy(F.desc("key")).limit(levels_kept).toPandas()
-    if not len(curve):
+    hit = truth.select("r", "s").distinct().withColumn("hit", F.lit(True))
+    marked = keep(pairs.select("r", "s", "key", F.xxhash64("r", "s").alias("h")).join(hit, ["r", "s"], "left").withColumn("hit", F.coalesce("hit", F.lit(False))), "marked")
+    ends = marked.agg(F.min("key").alias("low"), F.max("key").alias("high"), F.count(F.lit(1)).alias("n")).first()
+    if not ends["n"]:
         return ActiveRun(None, 0)
-    key = curve["key"].to_numpy()
-    n, t = np.diff(np.concatenate([[0], curve["n_join"].to_numpy()])), np.diff(np.concatenate([[0], curve["tp"].to_numpy()]))
-    asked, yes = np.zeros(len(key), np.int64), np.zeros(len(key), np.int64)
-    theta, run = float((key.max() + key.min()) / 2), ActiveRun(None, 0)
-    while run.labels < min(budget, int(n.sum())):
-        for _ in range(batch):
-            open_ = np.flatnonzero(asked < n)
-            if not len(open_) or run.labels >= budget:
-                break
-            gap = np.abs(key[open_] - theta)
-            k = open_[np.flatnonzero(gap == gap.min())[0]]  # keys descend: the first of a tie is the highest
-            asked[k] += 1
-            yes[k] = round(t[k] * asked[k] / n[k])
-            run.labels += 1
-        tp, joined, total = np.cumsum(yes), np.cumsum(asked), max(1, int(yes.sum()))
-        f1 = 2 * tp / np.maximum(1, joined + total)
-        seen = np.flatnonzero(asked)
-        best = seen[np.flatnonzero(f1[seen] == f1[seen].max())[0]]
-        theta = float(key[best])
+    theta, run, near, asked, labels = float((ends["high"] + ends["low"]) / 2), ActiveRun(None, 0), _Near(marked, budget + 1), set(), []
+    while run.labels < min(budget, ends["n"]):
+        pair = near.nearest(theta, asked)
+        key, _, yes = near.rows[pair]
+        asked.add(pair)
+        labels.append((key, yes))
+        run.labels += 1
+        run.asked.append((*pair, yes))
+        theta = best_threshold(labels)
         run.trace.append((run.labels, theta))
     run.theta = theta
     return run
 
 
+def best_threshold(labels: list[tuple[float, bool]]) -> float:
+    """The value of best F1 among labelled ``(key, is true)``, the largest of ties."""
+    ordered = sorted(labels, key=lambda x: -x[0])
+    total, tp, best = sum(y for _, y in ordered), 0, (-1.0, 0.0)
+    for k, (key, yes) in enumerate(ordered, 1):
+        tp += yes
+        if k == len(ordered) or ordered[k][0] != key:
+            best = max(best, (2 * tp / max(1, k + total), key))
+    return best[1]
+
+
 def labels_to_match(run: ActiveRun, curve: list[tuple[float, float]], f1: float, within: float = 0.01) -> int | None:
     """Labels after which a trace's threshold stays within ``within`` of an F1; ``curve`` is (key, f1)."""
     value = dict(curve)

@@ -1,7 +1,8 @@
 """Connected components and spanning forests of edge tables.
 
 Partitions first shrink what they hold to a forest (at most one edge a vertex); alternating star steps then
-link every vertex to the least of its component. Nothing is gathered in one task or on the driver.
+link every vertex to the least of its component. Forests merge in a tree whose levels are jobs of their own; only
+what is known to fit a task (FOREST_ROWS edges) ends in one.
 """
 
 from __future__ import annotations
@@ -10,7 +11,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from autotheta.sources.shared import keep, map_arrow
+from autotheta.sources.shared import discard, keep, map_arrow
 
 
 class DisjointSets:
@@ -55,7 +56,8 @@ def _local_stars(edges: DataFrame) -> DataFrame:
 def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
     """``node, component`` of every vertex of ``edges(a, b)``; the component is its least vertex.
 
-    Loops and repeated edges do not matter; nulls are left out; no edges give no rows.
+    Loops and repeated edges do not matter; nulls are left out; no edges give no rows. If ``max_rounds`` are not
+    enough, that is an error: no part of a result is returned.
     """
     stars = keep(_local_stars(edges.where("a IS NOT NULL AND b IS NOT NULL AND a <> b")), "stars")
     before = None
@@ -64,13 +66,17 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         least = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("u"), F.least("a", "m").alias("m"))
         large = both.where("b > a").join(least, F.col("a") == F.col("u")).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         large = keep(large, "stars")
+        discard(stars)
         small = large.groupBy("a").agg(F.min("b").alias("m")).withColumnRenamed("a", "u")
         linked = large.join(small, F.col("a") == F.col("u"))
         stars = keep(linked.select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").unionByName(linked.select("a", F.col("m").alias("b"))).distinct(), "stars")
+        discard(large)
         now = stars.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == before or not now[0]:
             break
         before = now
+    else:
+        raise RuntimeError(f"components are not complete after {max_rounds} rounds")
     out = stars.select(F.col("a").alias("node"), F.col("b").alias("component"))
     return out.unionByName(out.select(F.col("component").alias("node"), "component").distinct())
 
@@ -95,7 +101,8 @@ def _local_forest(edges: DataFrame) -> DataFrame:
 
 
 #: Edges that one task reduces to a forest at most; beyond, rounds of joins contract the graph first.
-FOREST_ROWS, FAN_IN = 4_000_000, 8
+#: FEW edges are not worth a tree.
+FOREST_ROWS, FAN_IN, FEW = 4_000_000, 8, 100_000
 
 
 def spanning_forest(pairs: DataFrame, forest_rows: int = FOREST_ROWS) -> DataFrame:
@@ -119,10 +126,14 @@ def spanning_forest(pairs: DataFrame, forest_rows: int = FOREST_ROWS) -> DataFra
         ca, cb = c.select(F.col("node").alias("a"), F.col("component").alias("na")), c.select(F.col("node").alias("b"), F.col("component").alias("nb"))
         edges = keep(_local_forest(edges.join(ca, "a").join(cb, "b").where("na <> nb").select(F.col("na").alias("a"), F.col("nb").alias("b"), "key", "r", "s")), "forest")
         n = edges.count()
-    parts = edges.rdd.getNumPartitions()
-    while parts > 1:
+    parts = edges.rdd.getNumPartitions() if n > FEW else 1
+    if n <= FEW:
+        edges = _local_forest(edges.coalesce(1))
+    while parts > 1:  # every level is written, so its merges run side by side
         parts = -(-parts // FAN_IN)
-        edges = _local_forest(edges.coalesce(parts))
+        merged = keep(_local_forest(edges.coalesce(parts)), "forest")
+        discard(edges)
+        edges = merged
     out = edges.select("r", "s", "key")
     return out if done is None else done.unionByName(out)
 

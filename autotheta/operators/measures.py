@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window, functions as F
+from pyspark.sql import DataFrame, functions as F
+
+from autotheta.operators.objectives import running
 
 
 def _f1(tp, n, total):
@@ -24,8 +26,7 @@ def accuracy_curve(pairs: DataFrame, truth: DataFrame) -> DataFrame:
     """The same at every similarity value: ``key, n_join, tp, precision, recall, f1``."""
     marked = pairs.select("r", "s", "key").join(truth.distinct().withColumn("hit", F.lit(1)), ["r", "s"], "left")
     by_level = marked.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.count("hit").alias("t"))
-    down = Window.orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, 0)
-    rows = by_level.select("key", F.sum("n").over(down).alias("n_join"), F.sum("t").over(down).alias("tp")).crossJoin(truth.distinct().agg(F.count(F.lit(1)).alias("n_true")))
+    rows = running(by_level, {"n_join": "n", "tp": "t"}).select("key", "n_join", "tp").crossJoin(truth.distinct().agg(F.count(F.lit(1)).alias("n_true")))
     return rows.select("key", "n_join", "tp", *_f1(F.col("tp"), F.col("n_join"), F.col("n_true")))
 
 

@@ -12,13 +12,14 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from autotheta.operators.graph import spanning_forest
-from autotheta.operators.simjoin import best
+from autotheta.sources.shared import discard, keep
 
 
 @dataclass(frozen=True)
 class Objective:
-    """Score of a state: a Column over n_join, cov_r, cov_s, forest, mutual, size_r, size_s; higher is better.
+    """Score of a state: a Column over n_join, cov_r, cov_s, classes, forest, mutual, size_r, size_s; higher is better.
 
+    ``classes`` are the covered objects of both sides, equal sets that were collapsed counted once.
     ``pivots_valid``: the largest threshold of best score is always among the pivotal ones. ``bound``: what no lower
     threshold can exceed, or None; needed to stop early.
     """
@@ -36,7 +37,7 @@ def _uncovered() -> Column:
 
 def group_count() -> Objective:
     """Matched groups: components with an edge. Suits many-to-many data."""
-    score = F.col("cov_r") + F.col("cov_s") - F.col("forest")
+    score = F.col("classes") - F.col("forest")
     return Objective("group_count", score, score + _uncovered(), True, True)
 
 
@@ -54,28 +55,117 @@ def mutual_pairs() -> Objective:
 OBJECTIVES = {"group_count": group_count, "outer_size": outer_size, "mutual_pairs": mutual_pairs}
 
 
+DELTAS = ("d_join", "d_r", "d_s", "d_classes", "d_forest", "d_mutual")
+_SUMS = {"n_join": "d_join", "cov_r": "d_r", "cov_s": "d_s", "classes": "d_classes", "forest": "d_forest", "mutual": "d_mutual"}
+
+
+def _weighted(pairs: DataFrame) -> DataFrame:
+    one = F.lit(1).cast("bigint")
+    return pairs.withColumns({c: one for c in ("wr", "ws") if c not in pairs.columns})
+
+
+def _covers(pairs: DataFrame, side: str) -> DataFrame:
+    """``side, best, w``: the key at which each object is first covered."""
+    return pairs.groupBy(side).agg(F.max("key").alias("best"), F.max(f"w{side}").alias("w"))
+
+
+def _level_rows(pairs: DataFrame, new_r: DataFrame, new_s: DataFrame, forest: DataFrame | None) -> DataFrame:
+    """What pairs add at each key, given the objects that they cover first and the forest edges that they bring."""
+    def part(rows: DataFrame, key: str, **sums: str) -> DataFrame:
+        return rows.groupBy(F.col(key).alias("key")).agg(*(F.expr(f"sum({v})").alias(k) for k, v in sums.items())).selectExpr("key", *(c if c in sums else f"0L AS {c}" for c in DELTAS))
+
+    br, bs = new_r.selectExpr("r", "best AS best_r"), new_s.selectExpr("s", "best AS best_s")
+    top = pairs.join(br, "r").join(bs, "s").where("key = best_r AND key = best_s")
+    events = part(pairs, "key", d_join="wr * ws").unionByName(part(new_r, "best", d_r="w", d_classes="1L")).unionByName(part(new_s, "best", d_s="w", d_classes="1L")).unionByName(part(top, "key", d_mutual="wr * ws"))
+    if forest is not None:
+        events = events.unionByName(part(forest, "key", d_forest="1L"))
+    return events.groupBy("key").agg(*(F.sum(x).alias(x) for x in DELTAS))
+
+
 def levels(pairs: DataFrame, forest: bool = True) -> DataFrame:
-    """``key, d_join, d_r, d_s, d_forest, d_mutual`` of every level; d_mutual > 0 marks the pivotal ones."""
-    br, bs = best(pairs, "r"), best(pairs, "s")
-    zero = F.lit(0).cast("bigint")
+    """``key, d_join, d_r, d_s, d_classes, d_forest, d_mutual`` of every level; d_mutual > 0 marks the pivotal ones."""
+    pairs = _weighted(pairs)
+    return _level_rows(pairs, _covers(pairs, "r"), _covers(pairs, "s"), spanning_forest(pairs) if forest else None)
 
-    def part(rows: DataFrame, column: str, key: str = "key") -> DataFrame:
-        counted = rows.groupBy(F.col(key).alias("key")).agg(F.count(F.lit(1)).alias("c"))
-        return counted.select("key", *((F.col("c") if x == column else zero).alias(x) for x in ("d_join", "d_r", "d_s", "d_forest", "d_mutual")))
 
-    top = pairs.join(br.withColumnRenamed("best", "best_r"), "r").join(bs.withColumnRenamed("best", "best_s"), "s").where("key = best_r AND key = best_s")
-    events = part(pairs, "d_join").unionByName(part(br, "d_r", "best")).unionByName(part(bs, "d_s", "best")).unionByName(part(top, "d_mutual"))
-    if forest:
-        events = events.unionByName(part(spanning_forest(pairs), "d_forest"))
-    return events.groupBy("key").agg(*(F.sum(x).alias(x) for x in ("d_join", "d_r", "d_s", "d_forest", "d_mutual")))
+class ScoreState:
+    """The state above a falling threshold: it grows by the pairs of a band and is never made again from all pairs.
 
+    Kept are the objects covered so far and, where groups are counted, a spanning forest of all pairs: no more than a row
+    an object each. A band's pairs lie below all earlier ones, so what they cover first is what is not covered yet, and
+    earlier forest edges stay.
+    """
+
+    def __init__(self, forest: bool):
+        self.covered: DataFrame | None = None
+        self.needs_forest = forest
+        self.forest: DataFrame | None = None
+        self._old: DataFrame | None = None
+        self.base = dict.fromkeys(_SUMS, 0)
+
+    def extend(self, extra: DataFrame) -> DataFrame:
+        """The levels of a band's pairs; the running totals of ``base`` are those above the band until ``close``."""
+        extra = _weighted(extra)
+        both = [_covers(extra, x).select(F.lit(x).alias("side"), F.col(x).alias("id"), "best", "w") for x in "rs"]
+        new = both[0].unionByName(both[1])
+        new = keep(new if self.covered is None else new.join(self.covered, ["side", "id"], "left_anti"), "covers")
+        self.covered = new.select("side", "id") if self.covered is None else self.covered.unionByName(new.select("side", "id"))
+        new_r, new_s = (new.where(F.col("side") == x).select(F.col("id").alias(x), "best", "w") for x in "rs")
+        edges = None
+        if self.needs_forest:
+            band = extra.select("r", "s", "key")
+            grown = keep(spanning_forest(band if self.forest is None else self.forest.unionByName(band)), "forest")
+            edges = grown if self.forest is None else grown.join(self.forest.select("r", "s"), ["r", "s"], "left_anti")
+            self._old, self.forest = self.forest, grown
+        return _level_rows(extra, new_r, new_s, edges)
+
+    def close(self, got) -> None:
+        """Take the sums of the band's levels into the totals."""
+        self.base = {n: self.base[n] + (got[n] or 0) for n in self.base}
+        if self.needs_forest:
+            discard(self._old)
+
+
+def level_sums(rows: DataFrame):
+    """How many levels there are and what they add in all, as one row."""
+    return rows.selectExpr("count(*) AS levels", *(f"sum({d}) AS {n}" for n, d in _SUMS.items())).first()
+
+
+#: Ranges of keys that running sums go through in two steps: inside a range, and over the ranges. FEW levels go in one.
+RANGES, FEW = 4096, 50_000
+
+
+def running(rows: DataFrame, sums: dict[str, str], how: str = "sum", first: dict[str, int] | None = None, levels: int | None = None) -> DataFrame:
+    """Running sums (or ``max``) of columns over ``key`` from the top, with ``first`` before the highest.
+
+    Ranges of keys are summed on their own, each in a window of its own, and their totals, RANGES rows at most, in
+    one more; so no task sees all levels, unless their number is known to be small.
+    """
+    first = {n: x for n, x in (first or {}).items() if x is not None}
+    many = levels is None or levels > FEW
+    inside = f"({'PARTITION BY range_ ' if many else ''}ORDER BY key DESC ROWS UNBOUNDED PRECEDING)"
+
+    def joined(n: str, *parts: str) -> str:
+        parts = [*parts, *([f"{first[n]}L"] if n in first else [])]
+        return parts[0] if len(parts) == 1 else f"greatest({', '.join(parts)})" if how == "max" else " + ".join(parts)
 
-def profile(level_rows: DataFrame, size_r: int, size_s: int) -> DataFrame:
-    """State at every level. The running sums are over levels, of which there are few, not over pairs."""
-    down = Window.orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, 0)
-    names = {"n_join": "d_join", "cov_r": "d_r", "cov_s": "d_s", "forest": "d_forest", "mutual": "d_mutual"}
-    state = level_rows.select("key", (F.col("d_mutual") > 0).alias("pivotal"), *(F.sum(d).over(down).cast("bigint").alias(n) for n, d in names.items()))
-    return state.withColumns({"size_r": F.lit(size_r).cast("bigint"), "size_s": F.lit(size_s).cast("bigint")})
+    if not many:
+        return rows.selectExpr("*", *(f"{joined(n, f'{how}({c}) OVER {inside}')} AS {n}" for n, c in sums.items()))
+    rows = rows.selectExpr("*", f"floor(key * {RANGES}) AS range_")
+    totals = rows.groupBy("range_").agg(*(F.expr(f"{how}({c}) AS {n}") for n, c in sums.items()))
+    totals = totals.selectExpr("range_", *(f"{how}({n}) OVER (ORDER BY range_ DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS {n}_before" for n in sums))
+    out = rows.selectExpr("*", *(f"{how}({c}) OVER {inside} AS {n}_inside" for n, c in sums.items())).join(F.broadcast(totals), "range_")
+    missing = "" if how == "max" else ", 0L"
+    whole = {n: joined(n, f"{n}_inside", f"coalesce({n}_before{missing})") for n in sums}
+    return out.selectExpr(*(f"`{c}`" for c in rows.columns if c != "range_"), *(f"{e} AS {n}" for n, e in whole.items()))
+
+
+def profile(level_rows: DataFrame, size_r: int, size_s: int, base: dict[str, int] | None = None, levels: int | None = None) -> DataFrame:
+    """State at every level; ``base`` is that above the highest one, ``levels`` how many they are if that is known."""
+    if "d_classes" not in level_rows.columns:
+        level_rows = level_rows.selectExpr("*", "d_r + d_s AS d_classes")
+    state = running(level_rows, _SUMS, first=base, levels=levels)
+    return state.selectExpr("key", "d_mutual > 0 AS pivotal", *(f"cast({n} AS bigint) AS {n}" for n in _SUMS), f"{size_r}L AS size_r", f"{size_s}L AS size_s")
 
 
 def scored(state: DataFrame, objective: Objective) -> DataFrame:
@@ -88,18 +178,27 @@ def choose(rows: DataFrame) -> DataFrame:
     return rows.orderBy(F.desc("h"), F.desc("key")).limit(1)
 
 
+def until_stop(rows: DataFrame, best: int | None = None, levels: int | None = None) -> DataFrame:
+    """Rows with ``top``, the best score so far (``best`` before the first), and ``stops``: no lower one can exceed it."""
+    return running(rows, {"top": "h"}, "max", {"top": best}, levels).selectExpr("*", "coalesce(bound <= top, false) AS stops")
+
+
 def stop_point(rows: DataFrame, printed: bool = False) -> DataFrame:
     """``evaluated, pivots``: thresholds looked at until the bound is no better than the best score so far.
 
-    ``printed``: the bound is looked at only where a threshold does not improve the score.
+    ``printed``: the bound is looked at only where a threshold does not improve the score: where the best one, of
+    equal ones the first, lies above.
     """
-    down = Window.orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, 0)
-    before = Window.orderBy(F.desc("key")).rowsBetween(Window.unboundedPreceding, -1)
-    r = rows.select("key", "h", "bound", F.max("h").over(down).alias("top"), F.max("h").over(before).alias("prior"), F.row_number().over(Window.orderBy(F.desc("key"))).alias("place"))
-    stops = F.col("bound") <= F.col("top")
+    rows = keep(rows.select("key", "h", "bound"), "thresholds")
+    r = until_stop(rows, levels=rows.count())
+    stops = F.col("stops")
     if printed:
-        stops &= F.col("prior").isNotNull() & (F.col("h") <= F.col("prior"))
-    return r.agg(F.coalesce(F.min(F.when(stops, F.col("place"))), F.count(F.lit(1))).cast("bigint").alias("evaluated"), F.count(F.lit(1)).alias("pivots"))
+        r = keep(r, "stops")
+        first = r.groupBy("top").agg(F.max("key").alias("k_")).withColumnRenamed("top", "t_")
+        r = r.join(first, F.col("top") == F.col("t_"))
+        stops &= F.col("key") < F.col("k_")
+    last = r.agg(F.max(F.when(stops, F.col("key"))).alias("last"))
+    return r.crossJoin(F.broadcast(last)).agg(F.count_if(F.col("key") >= F.coalesce("last", F.lit(-1.0))).alias("evaluated"), F.count(F.lit(1)).alias("pivots"))
 
 
 def outer_result(pairs: DataFrame, r: DataFrame, s: DataFrame) -> DataFrame:

@@ -1,64 +1,51 @@
-"""Verification that scans two ordered sets together and no further than the decision needs."""
+"""Verification of met pairs no further than a band of thresholds needs.
+
+What a pair has seen and the places of its last meeting bound its key from both sides, and more meetings of lower bands tighten
+them. Only pairs that may lie in the band and are not yet placed by their bounds are looked at behind the last meeting. The
+bounds are columns of the join that finds the pairs, so a pair that is put off costs no element.
+"""
 
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from autotheta.functions.sims import SetSimilarity
-from autotheta.operators.sets import Prepared
-from autotheta.operators.simjoin import PAIR, with_sets
-from autotheta.sources.shared import map_arrow
+from autotheta.operators.simjoin import most_possible
 
-#: State of a pair that is not decided: scanned places, shared elements so far, best key still possible.
-STATE = "r bigint, s bigint, nr bigint, ns bigint, i bigint, j bigint, seen bigint, top double, o bigint, key double, scanned bigint"
+#: Thresholds of a band among which pairs are placed by their bounds; with more, keys are completed.
+GRID = 64
 
 
-def scan(a, b, i: int, j: int, seen: int, stop_below: float, key) -> tuple[int, int, int, float, int]:
-    """Go on with a merge until all is seen or the best possible key falls below ``stop_below``.
+def merge_meetings(waiting: DataFrame, met: DataFrame, columns: list[str]) -> DataFrame:
+    """Pairs with all that they have seen so far, and what of it they had seen before; exact overlaps and keys stay."""
+    zero, none = F.lit(0).cast("bigint"), {"o": F.lit(None).cast("bigint"), "key": F.lit(None).cast("double")}
+    both = met.withColumns({"was": zero, **none}).unionByName(waiting.withColumn("was", F.col("seen")))
+    return both.groupBy(*columns).agg(F.sum("seen").alias("seen"), F.max("i").alias("i"), F.max("j").alias("j"), F.sum("was").alias("was"), F.max("o").alias("o"), F.max("key").alias("key"))
 
-    Returns ``i, j, seen, best possible key, elements read``. ``key`` maps an overlap to its key.
-    """
-    na, nb, start = len(a), len(b), i + j
-    top = key(seen + min(na - i, nb - j))
-    while i < na and j < nb and top >= stop_below:
-        x, y = a[i], b[j]
-        if x == y:
-            i, j, seen = i + 1, j + 1, seen + 1
-            continue  # the best possible overlap stays as it is
-        if x < y:
-            i += 1
-        else:
-            j += 1
-        top = key(seen + min(na - i, nb - j))
-    if i >= na or j >= nb:
-        top = key(seen)
-    return i, j, seen, top, i + j - start
 
+def placed(key: Column, grid: list[float]) -> Column:
+    """The greatest threshold of an ascending ``grid`` that a key reaches, or null."""
+    return F.array_max(F.filter(F.array(*[F.lit(x) for x in grid]), lambda x: x <= key))
 
-def verify_lazy(state: DataFrame, p: Prepared, sim: SetSimilarity, low: float) -> DataFrame:
-    """Advance pairs until each has its exact key of ``low`` or more (``key`` set), or cannot reach ``low``.
 
-    Input and output are STATE rows. Pairs whose ``top`` is below ``low`` afterwards wait for the band that holds
-    it. A key inside the band is completed, since the levels within a band are told apart.
-    """
-    names = [x.split()[0] for x in STATE.split(", ")]
+def classify(pairs: DataFrame, sim: SetSimilarity, low: float, bounds: str, grid: list[float] | None) -> DataFrame:
+    """Add ``top``, the greatest key still possible, and ``fate``.
 
-    def run(batches):
-        for b in batches:
-            cols = {n: b.column(b.schema.get_field_index(n)).to_pylist() for n in ("r", "s", "nr", "ns", "i", "j", "seen", "tr", "ts")}
-            out = []
-            for r, s, nr, ns, i, j, seen, tr, ts in zip(*cols.values(), strict=True):
-                i, j, seen, top, read = scan(tr, ts, i, j, seen, low, lambda o, nr=nr, ns=ns: sim.key(o, nr, ns))
-                done = i >= nr or j >= ns
-                out.append((r, s, nr, ns, i, j, seen, top, seen if done else None, top if done else None, read))
-            if out:
-                kinds = [pa.float64() if n in ("top", "key") else pa.int64() for n in names]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names)
-
-    rows = with_sets(state.select(*PAIR, "i", "j", "seen"), p)
-    return map_arrow(rows, run, STATE)
+    ``later``: the band cannot hold the pair. ``in``: its key is known and in the band, or both bounds lie between the same two
+    thresholds of ``grid`` (then ``key`` is the lower one, and ``o`` is null). ``open``: its rest has to be looked at.
+    """
+    top = F.coalesce("key", most_possible(sim, low, bounds))
+    least = F.coalesce("key", sim.least(F.col("seen"), F.col("nr"), F.col("ns")))
+    rows = pairs.withColumns({"top": top, "least": least})
+    known = F.col("key").isNotNull() | (F.col("least") == F.col("top"))
+    fate = F.when(F.col("top") < low, "later")
+    if grid is None:
+        rows = rows.withColumn("fate", fate.when(known, "in").otherwise("open"))
+        return rows.withColumn("key", F.when(known, F.col("top")).otherwise(F.col("key"))).drop("least")
+    at = placed(F.col("least"), grid)
+    rows = rows.withColumns({"at": at, "fate": fate.when(at.eqNullSafe(placed(F.col("top"), grid)) & at.isNotNull(), "in").otherwise("open")})
+    return rows.withColumn("key", F.when(F.col("fate") == "in", F.col("at")).otherwise(F.col("key"))).drop("least", "at")
 
 
 def due_band(top, lows: list[float]):

@@ -1,78 +1,96 @@
 """The join that chooses its threshold: bands of thresholds from the top, one pass over all that is needed.
 
 Each band extends the joined pairs by those whose key lies in it, found from new postings and from pairs that were put
-off to it; what its levels add to the running state comes out as few rows, those of the thresholds to look at.
-The run ends when no lower threshold can score better. Results of a band are written to the shared
+off; the score's state grows by these pairs alone. What the driver sees of a band is one row: the best threshold so far and where
+the run may stop. It ends when no lower threshold can score better. Results of a band are written to the shared
 folder, so plans do not grow and lost executors cost little.
 """
 
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, functions as F
 
 from autotheta.functions.sims import SetSimilarity
-from autotheta.operators.graph import spanning_forest
-from autotheta.operators.objectives import Objective, levels, profile, scored
+from autotheta.operators.objectives import Objective, ScoreState, level_sums, levels, profile, scored, until_stop
 from autotheta.operators.sets import Prepared
-from autotheta.operators.simjoin import PAIR, candidates, pivotal_thresholds, sharing_pairs, verify_eager
-from autotheta.operators.verify import due_band, verify_lazy
-from autotheta.sources.shared import keep
+from autotheta.operators.simjoin import candidates, expand, meetings, pair_columns, pivotal_thresholds, sharing_pairs, verify_eager, verify_rest
+from autotheta.operators.verify import GRID, classify, merge_meetings, placed
+from autotheta.sources.shared import discard, keep
+
+#: Bands that are run at most, each a few jobs.
+MOST_BANDS = 1000
 
 
 @dataclass
 class Result:
-    """``pairs`` of the chosen threshold (None: nothing is joined), the evaluated thresholds, and what it took."""
+    """``pairs`` of the chosen threshold (theta None: nothing is joined), the evaluated thresholds, and what it took."""
 
     pairs: DataFrame
     theta: float | None
     score: int | None
-    evaluated: list[dict]
+    evaluated: DataFrame | None
     metrics: dict[str, float] = field(default_factory=dict)
 
 
-def top_search(p: Prepared, sim: SetSimilarity, bounds: str = "tight", steps: tuple[float, ...] = (0.9, 0.75, 0.6, 0.45, 0.3, 0.2, 0.1, 0.05, 0.0)) -> DataFrame:
-    """Best key of every object that shares anything: ``side, id, best``, by deepening search.
+#: Caps of the search for best partners.
+STEPS = (0.8, 0.6, 0.4, 0.2, 0.1, 0.0)
+
 
-    A round goes on to the next lower cap only for pairs with an object whose best key is below the last cap:
-    what has not met yet cannot beat that.
+def top_search(p: Prepared, sim: SetSimilarity, bounds: str = "tight", floor: float = 0.0) -> tuple[DataFrame, DataFrame]:
+    """Best key of every object that shares anything, ``side, id, best``, and ``r, s, key`` of all verified pairs.
+
+    By deepening search: a round goes on to the next lower cap only for objects whose best key is below the last cap, as
+    what has not met yet cannot beat the others'. A pair that is best for both ends meets while both are searched, so it
+    is among the verified ones. Keys below ``floor`` are not searched for.
     """
     found: DataFrame | None = None
-    active_r, active_s, high = p.r.select(F.col("id").alias("r")), p.s.select(F.col("id").alias("s")), None
-    for low in steps:
-        met = candidates(p, sim, low, high, bounds, first=high is None)
-        wanted = met.join(active_r, "r", "left_semi").unionByName(met.join(active_s, "s", "left_semi")).distinct()
-        pairs = verify_eager(wanted, p, sim).select("r", "s", "key")
-        new = pairs.select(F.lit("R").alias("side"), F.col("r").alias("id"), "key").unionByName(pairs.select(F.lit("S").alias("side"), F.col("s").alias("id"), "key")).where("key > 0")
-        new = new.groupBy("side", "id").agg(F.max("key").alias("best"))
-        found = new if found is None else found.unionByName(new).groupBy("side", "id").agg(F.max("best").alias("best"))
-        found = keep(found, "top")
-        open_ = found.where(F.col("best") >= low)
-        active_r = keep(p.r.select(F.col("id").alias("r")).join(open_.where("side = 'R'").select(F.col("id").alias("r")), "r", "left_anti"), "active")
-        active_s = keep(p.s.select(F.col("id").alias("s")).join(open_.where("side = 'S'").select(F.col("id").alias("s")), "s", "left_anti"), "active")
-        high = low
-        if not active_r.limit(1).count() and not active_s.limit(1).count():
+    verified: DataFrame | None = None
+    high = None
+    for low in [x for x in STEPS if x > floor] + [floor]:
+        if found is None:
+            met = candidates(p, sim, low, high, bounds)
+        else:  # one end at least is still searched
+            done = {x: found.where((F.col("side") == x) & (F.col("best") >= high)).select("id") for x in "RS"}
+            open_r, done_r, open_s = p.r.join(done["R"], "id", "left_anti"), p.r.join(done["R"], "id", "left_semi"), p.s.join(done["S"], "id", "left_anti")
+            met = meetings(replace(p, r=open_r), sim, low, high, bounds).unionByName(meetings(replace(p, r=done_r, s=open_s), sim, low, high, bounds))
+        # A pair of an earlier round is verified again only if more of its shared elements meet in this one.
+        pairs = keep(verify_eager(met.select(*pair_columns(p)), p, sim).where("key > 0").select("r", "s", "key"), "verified")
+        ends = F.explode(F.array(*(F.struct(F.lit(x.upper()).alias("side"), F.col(x).alias("id")) for x in "rs"))).alias("end")
+        new = pairs.select(ends, "key").groupBy("end.side", "end.id").agg(F.max("key").alias("best"))
+        grown = keep(new if found is None else found.unionByName(new).groupBy("side", "id").agg(F.max("best").alias("best")), "top")
+        discard(found)
+        found, verified, high = grown, pairs if verified is None else verified.unionByName(pairs), low
+        counts = {r["side"]: r["n"] for r in found.where(F.col("best") >= low).groupBy("side").agg(F.count(F.lit(1)).alias("n")).collect()}
+        if counts.get("R", 0) >= p.size_r and counts.get("S", 0) >= p.size_s:
             break
-    return found
+    return found, verified
 
 
-def pivots_by_search(p: Prepared, sim: SetSimilarity, bounds: str = "tight") -> DataFrame:
-    """Pivotal keys from the best partners of both sides alone: pairs at their r's best key that is also their s's."""
-    top = top_search(p, sim, bounds)
-    br, bs = top.where("side = 'R'").select(F.col("id").alias("r"), F.col("best").alias("best_r")), top.where("side = 'S'").select(F.col("id").alias("s"), F.col("best").alias("best_s"))
-    shared = p.r.select(F.col("id").alias("r"), F.col("n").alias("nr"), F.explode("toks").alias("t")).join(br, "r").join(p.s.select(F.col("id").alias("s"), F.col("n").alias("ns"), F.explode("toks").alias("t")).join(bs, "s"), "t").where("best_r = best_s")
-    return shared.groupBy(*PAIR, "best_r").agg(F.count(F.lit(1)).alias("o")).where(sim.key(F.col("o"), F.col("nr"), F.col("ns")) == F.col("best_r")).select(F.col("best_r").alias("key")).distinct()
+def _best_of_both(pairs: DataFrame, found: DataFrame) -> DataFrame:
+    """Pairs whose key is the best found for both ends."""
+    r, s = (found.where(F.col("side") == x.upper()).select(F.col("id").alias(x), F.col("best").alias(f"best_{x}")) for x in "rs")
+    return pairs.join(r, "r").join(s, "s").where("key = best_r AND key = best_s").select("r", "s", "key")
+
+
+def pivots_by_search(p: Prepared, sim: SetSimilarity, bounds: str = "tight", floor: float = 0.0) -> DataFrame:
+    """Pivotal keys: those of pairs that the search found best for both ends."""
+    found, verified = top_search(p, sim, bounds, floor)
+    return _best_of_both(verified, found).select("key").where(F.col("key") >= floor).distinct()
 
 
 def plan_bands(bands: int | str, pivots: DataFrame | None, floor: float) -> list[float]:
     """Lower ends of the bands, descending, the last at ``floor`` (0: anything shared).
 
-    ``"pivot"``: one band a pivotal threshold. A number: as many pivots in each, or equal widths if there are none yet.
+    ``"pivot"``: one band a pivotal threshold, an error beyond MOST_BANDS. A number: as many pivots in each, or equal widths
+    if there are none yet.
     """
     if bands == "pivot" and pivots is not None:
-        lows = [r["key"] for r in pivots.where(F.col("key") >= floor).orderBy(F.desc("key")).collect()]
+        lows = [r["key"] for r in pivots.where(F.col("key") >= floor).orderBy(F.desc("key")).limit(MOST_BANDS + 1).collect()]
+        if len(lows) > MOST_BANDS:
+            raise ValueError(f"more than {MOST_BANDS} pivotal thresholds: give a number of bands")
     elif pivots is not None:
         cut = pivots.where(F.col("key") >= floor).agg(F.percentile_approx("key", [k / bands for k in range(bands - 1, 0, -1)] or [0.0], 10000).alias("q")).first()["q"] or []
         lows = sorted({float(x) for x in cut}, reverse=True)
@@ -82,86 +100,111 @@ def plan_bands(bands: int | str, pivots: DataFrame | None, floor: float) -> list
     return [x for x in lows if x > tail] + [tail]
 
 
+def _grid(pivots: DataFrame | None, low: float, high: float | None) -> list[float] | None:
+    """The band's pivots in ascending order if they are known and GRID at most."""
+    if pivots is None:
+        return None
+    inside = pivots.where((F.col("key") >= low) & (F.col("key") < (high if high is not None else 2.0)))
+    found = sorted(r["key"] for r in inside.limit(GRID + 1).collect())
+    return found if found and len(found) <= GRID else None
+
+
 def auto_join(p: Prepared, sim: SetSimilarity, objective: Objective, pivots: str = "fused", verify: str = "eager", bands: int | str = 5, floor: float = 0.0, bounds: str = "tight", stop_early: bool = True) -> Result:
     """Find the largest threshold of best score and its pairs.
 
     ``pivots``: ``topk`` finds the pivotal thresholds first, ``fused`` inside each band, ``all`` looks at every value.
-    ``verify``: ``eager`` compares open candidates anew in every band, ``heap`` once and keeps their keys,
-    ``lazy`` scans no further than each band needs. An objective that does not allow pivots gets all values.
-    Nothing at or above ``floor``: an empty result with theta None.
+    ``verify``: ``eager`` compares open candidates anew in every band, ``heap`` once and keeps their keys, ``lazy`` only pairs
+    that their bounds leave open, and with known pivots only as far as to say between which of them a pair lies (the
+    result's pairs are completed at the end). An objective that does not allow pivots gets all values. Nothing at or
+    above ``floor``: an empty result with theta None.
     """
     began = time.time()
     if not objective.pivots_valid:
         pivots = "all"
-    known = keep(pivots_by_search(p, sim, bounds), "pivots") if pivots == "topk" or bands == "pivot" else None
     low_key = sim.key_of(floor) if floor else 0.0
+    known = keep(pivots_by_search(p, sim, bounds, low_key), "pivots") if pivots == "topk" or bands == "pivot" else None
     lows = plan_bands(bands, known, low_key)
+    columns = pair_columns(p)
+    score = ScoreState(objective.needs_forest)
     joined: DataFrame | None = None
-    forest: DataFrame | None = None
-    seen: DataFrame | None = None
     waiting: DataFrame | None = None
-    top, evaluated, metrics = None, [], {"candidates": 0, "tokens_scanned": 0, "verified": 0, "bands": 0, "values": 0}
+    looked_at: DataFrame | None = None
+    top: dict | None = None
+    metrics = {"candidates": 0, "tokens_scanned": 0, "verified": 0, "postponed": 0, "pruned": 0, "placed": 0, "bands": 0, "values": 0, "evaluated": 0}
     high: float | None = None
     stopped = False
     for low in lows:
         metrics["bands"] += 1
-        new = candidates(p, sim, low, high, bounds, first=high is None)
-        if seen is not None:
-            new = new.join(seen, ["r", "s"], "left_anti")
-        new = keep(new, "candidates")
-        metrics["candidates"] += new.count()
-        seen = new.select("r", "s") if seen is None else keep(seen.unionByName(new.select("r", "s")), "seen")
+        grid = _grid(known if pivots == "topk" else None, low, high) if verify == "lazy" else None
+        met = meetings(p, sim, low, high, bounds)
+        if joined is not None:
+            met = met.join(joined.select("r", "s"), ["r", "s"], "left_anti")
         if verify == "lazy":
-            fresh = new.select(*PAIR, *(F.lit(0).cast("bigint").alias(x) for x in ("i", "j", "seen")))
-            due = fresh if waiting is None else fresh.unionByName(waiting.where(F.col("top") >= low).select(*PAIR, "i", "j", "seen"))
-            state = keep(verify_lazy(due, p, sim, low), "state")
-            read = state.agg(F.sum("scanned"), F.count(F.lit(1))).first()
-            hit = state.where(F.col("key").isNotNull() & (F.col("key") >= low)).select(*PAIR, "o", "key")
-            rest = state.where(F.col("key").isNull() | (F.col("key") < low)).drop("scanned")
-            later = rest if waiting is None else waiting.where(F.col("top") < low).unionByName(rest)
-            # Pairs that can reach no band any more are dropped; the rest is kept by the band that is due.
-            waiting = keep(later.where(F.col("top") >= lows[-1]).withColumn("due", due_band(F.col("top"), lows)), "waiting").drop("due")
-        elif verify == "heap":
-            state = keep(verify_eager(new, p, sim), "state")
-            read = state.agg(F.sum(F.col("nr") + F.col("ns")), F.count(F.lit(1))).first()
-            rows = state if waiting is None else state.unionByName(waiting)
-            hit, waiting = rows.where(F.col("key") >= low), keep(rows.where(F.col("key") < low), "waiting")
+            empty = met.withColumns({"was": F.lit(0).cast("bigint"), "o": F.lit(None).cast("bigint"), "key": F.lit(None).cast("double")})
+            rows = keep(classify(empty if waiting is None else merge_meetings(waiting, met, columns), sim, low, bounds, grid), "met")
+            looked = verify_rest(rows.where("fate = 'open'").drop("o", "key", "top"), p, sim).withColumn("top", F.col("key"))
+            looked = looked.withColumn("fate", F.when(F.col("key") >= low, "in").otherwise("later"))
+            if grid:
+                looked = looked.withColumn("key", F.when(F.col("fate") == "in", placed(F.col("key"), grid)).otherwise(F.col("key")))
+            # What can reach no band any more is dropped.
+            alive = rows.where("fate <> 'open'").unionByName(looked.select(*rows.columns)).where(F.col("top") >= lows[-1])
+            state = keep(alive, "state")
+            extra, waiting = state.where("fate = 'in'").select(*columns, "o", "key"), state.where("fate = 'later'").select(*columns, "seen", "i", "j", "o", "key")
+            n = rows.agg(F.count(F.lit(1)).alias("n"), F.sum(2 * (F.col("seen") - F.col("was"))).alias("seen"), *(F.count_if(F.col("fate") == x).alias(x) for x in ("open", "in")), F.count_if(F.col("top") < lows[-1]).alias("pruned"), F.sum(F.when(F.col("fate") == "open", F.col("nr") - F.col("i") + F.col("ns") - F.col("j"))).alias("rest")).first()
+            metrics["candidates"] = max(metrics["candidates"], n["n"])
+            metrics["tokens_scanned"] += (n["seen"] or 0) + (n["rest"] or 0)
+            for name, x in (("verified", n["open"]), ("placed", n["in"]), ("pruned", n["pruned"]), ("postponed", n["n"] - n["open"] - n["in"] - n["pruned"])):
+                metrics[name] += x
+            discard(rows)
         else:
-            due = new if waiting is None else new.unionByName(waiting)
-            state = keep(verify_eager(due, p, sim), "state")
-            read = state.agg(F.sum(F.col("nr") + F.col("ns")), F.count(F.lit(1))).first()
-            hit, waiting = state.where(F.col("key") >= low), state.where(F.col("key") < low).select(*PAIR)
-        metrics["tokens_scanned"] += read[0] or 0
-        metrics["verified"] += read[1]
-        extra = keep(hit, "joined")
+            new = met.select(*columns) if waiting is None else met.select(*columns).join(waiting.select("r", "s"), ["r", "s"], "left_anti")
+            if verify == "heap":  # every pair's key is made when it is met
+                new = verify_eager(new, p, sim).withColumn("met", F.lit(1))
+                state = keep(new if waiting is None else new.unionByName(waiting.withColumn("met", F.lit(0))), "state")
+                fits = F.lit(True)
+            else:  # sizes alone keep some pairs below the band: they are not looked at, but wait
+                both = new.withColumn("met", F.lit(1)) if waiting is None else new.withColumn("met", F.lit(1)).unionByName(waiting.select(*columns).withColumn("met", F.lit(0)))
+                fits = sim.key(F.least("nr", "ns"), F.col("nr"), F.col("ns")) >= low
+                both = keep(both, "candidates")
+                none = {"o": F.lit(None).cast("bigint"), "key": F.lit(0.0)}
+                looked = verify_eager(both.where(fits), p, sim)
+                state = keep(looked.unionByName(both.where(~fits).withColumns(none).select(*looked.columns)), "state")
+                discard(both)
+            extra, waiting = state.where(F.col("key") >= low).select(*columns, "o", "key"), state.where(F.col("key") < low).select(*columns, "o", "key")
+            read = fits if verify == "eager" else F.col("met") == 1
+            n = state.agg(F.sum("met").alias("met"), F.count_if(read).alias("n"), F.sum(F.when(read, F.col("nr") + F.col("ns"))).alias("read")).first()
+            metrics["candidates"] += n["met"] or 0
+            metrics["verified"] += n["n"]
+            metrics["tokens_scanned"] += n["read"] or 0
         joined = extra if joined is None else joined.unionByName(extra)
         # All that is joined lies at or above the band's end, so its levels are final.
-        if objective.needs_forest:
-            grown = extra.select("r", "s", "key") if forest is None else forest.unionByName(extra.select("r", "s", "key"))
-            forest = keep(spanning_forest(grown), "forest")
-        rows = levels(joined, forest=False)
-        if objective.needs_forest:
-            edges = forest.groupBy("key").agg(F.count(F.lit(1)).alias("f"))
-            rows = rows.drop("d_forest").join(edges, "key", "left").withColumn("d_forest", F.coalesce("f", F.lit(0).cast("bigint"))).drop("f")
-        state_rows = scored(profile(rows, p.size_r, p.size_s), objective)
-        in_band = state_rows.where((F.col("key") >= low) & (F.col("key") < (high if high is not None else 2.0)))
-        metrics["values"] += in_band.count()
+        level_rows = keep(score.extend(extra), "levels")
+        sums = level_sums(level_rows)
+        in_band = scored(profile(level_rows, p.size_r, p.size_s, score.base, sums["levels"]), objective)
         if pivots != "all":
             in_band = in_band.where("pivotal")
-        for row in in_band.orderBy(F.desc("key")).toLocalIterator():
-            evaluated.append(row.asDict())
-            if top is None or row["h"] > top["h"]:
-                top = row.asDict()
-            if stop_early and row["bound"] is not None and row["bound"] <= top["h"]:
-                stopped = True
-                break
+        in_band = until_stop(in_band, top["h"] if top else None, sums["levels"])
+        end = in_band.agg(F.max(F.when(F.col("stops") & F.lit(stop_early), F.col("key"))).alias("last"))
+        seen = in_band.crossJoin(F.broadcast(end)).where(F.col("key") >= F.coalesce("last", F.lit(-1.0)))
+        best = seen.agg(F.count(F.lit(1)).alias("n"), F.max(F.struct("h", "key")).alias("best"), F.max("last").alias("last")).first()
+        metrics["evaluated"] += best["n"]
+        looked_at = seen if looked_at is None else looked_at.unionByName(seen)
+        if best["best"] is not None and (top is None or best["best"]["h"] > top["h"]):
+            top = best["best"].asDict()
+        metrics["values"] += sums["levels"]
+        score.close(sums)
+        last = best["last"]
         high = low
-        if stopped:
+        if last is not None:
+            stopped = True
             break
-    metrics |= {"evaluated": len(evaluated), "stopped": float(stopped), "seconds": time.time() - began}
     if top is None:
-        return Result(joined.limit(0), None, None, evaluated, metrics)
-    return Result(joined.where(F.col("key") >= top["key"]), sim.value(top["key"]), top["h"], evaluated, metrics)
+        return Result(expand(joined.limit(0), p), None, None, looked_at, metrics | {"stopped": float(stopped), "seconds": time.time() - began})
+    pairs = joined.where(F.col("key") >= top["key"])
+    if verify == "lazy" and known is not None:  # pairs that were placed by their bounds get their keys now
+        pairs = keep(pairs.where("o IS NOT NULL").unionByName(verify_eager(pairs.where("o IS NULL").select(*columns), p, sim).select(*pairs.columns)), "pairs")
+        pairs = pairs.withColumn("key", sim.key(F.col("o"), F.col("nr"), F.col("ns")))
+    return Result(expand(pairs, p), sim.value(top["key"]), top["h"], looked_at, metrics | {"stopped": float(stopped), "seconds": time.time() - began})
 
 
 def brute_force(p: Prepared, sim: SetSimilarity, objective: Objective, pairs: DataFrame | None = None) -> Result:
@@ -173,8 +216,8 @@ def brute_force(p: Prepared, sim: SetSimilarity, objective: Objective, pairs: Da
     n = rows.count()
     metrics = {"evaluated": n, "values": n, "seconds": time.time() - began}
     if best is None:
-        return Result(pairs, None, None, [], metrics)
-    return Result(pairs.where(F.col("key") >= best["key"]), sim.value(best["key"]), best["h"], [best.asDict()], metrics)
+        return Result(expand(pairs, p), None, None, rows, metrics)
+    return Result(expand(pairs.where(F.col("key") >= best["key"]), p), sim.value(best["key"]), best["h"], rows, metrics)
 
 
 def report(p: Prepared, sim: SetSimilarity, objective: Objective, pairs: DataFrame) -> DataFrame:

@@ -12,7 +12,8 @@ from autotheta.operators import baselines, measures, objectives, sets, simjoin,
 from autotheta.operators.graph import pair_groups, spanning_forest
 from autotheta.plans import framework
 from autotheta.plans.dialects import Duck
-from autotheta.plans.workloads import GROUPS_SQL, OUTER_SQL, STATE_SQL, W, _element_list, elements_sql, fixture, pairs_sql, theta_sql
+from autotheta.operators.sets import prepare
+from autotheta.plans.workloads import GROUPS_SQL, OUTER_SQL, STATE_SQL, W, _element_list, elements_sql, fixture, pairs_sql, sides, theta_sql
 from autotheta.sources.shared import keep
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -95,9 +96,11 @@ def prefixes(spark, d):
     return _ordered(spark, d).where(F.col("pos") <= sims.jaccard().prefix_len("0.8", F.col("n"))).select("id", "pos", "tok")
 
 
-@query("set_classes", f"WITH e AS (SELECT p_partkey AS id, list_sort(list_distinct(string_split(concat_ws(' ', p_name, p_brand, p_type, p_size), ' '))) AS t FROM part WHERE p_partkey % 2 = 1) SELECT min(id) AS rep, count(*) AS weight, len(t)::BIGINT AS n FROM e GROUP BY t")
+@query("set_classes", f"WITH e AS (SELECT doc_id, list_sort(list_distinct({_element_list('words', Duck())})) AS t FROM documents) SELECT min(doc_id) AS rep, count(*) AS weight, len(t)::BIGINT AS n FROM e WHERE len(t) > 0 GROUP BY t")
 def set_classes(spark, d):
-    return sets.collapse(fixture("w5", spark, d).prepared.r).select("rep", "weight", "n")
+    """Documents of equal word sets."""
+    docs = _docs(spark, d)
+    return sets.collapse(sets.prepare(docs, docs.limit(0)).r).select("rep", "weight", "n")
 
 
 # Similarities and bounds
@@ -117,36 +120,37 @@ for _alpha in ("0", "0.5", "1"):
     )
 
 
-@query("sim_edit", "SELECT c_custkey, s_suppkey, round(1 - levenshtein(c_name, s_name) / greatest(length(c_name), length(s_name)), 6) AS sim FROM customer JOIN supplier ON c_nationkey = s_nationkey")
+@query("sim_edit", "SELECT c_custkey, s_suppkey, round(1 - levenshtein(c_name, s_name) / greatest(length(c_name), length(s_name)), 6) AS sim FROM customer JOIN supplier ON c_custkey = s_suppkey")
 def sim_edit(spark, d):
+    """Customers beside the suppliers of their number."""
     c, s = spark.read.parquet(f"{d}/customer.parquet"), spark.read.parquet(f"{d}/supplier.parquet")
-    return c.join(s, c.c_nationkey == s.s_nationkey).select("c_custkey", "s_suppkey", F.round(sims.edit_similarity(F.col("c_name"), F.col("s_name")), 6).alias("sim"))
+    return c.join(s, c.c_custkey == s.s_suppkey).select("c_custkey", "s_suppkey", F.round(sims.edit_similarity(F.col("c_name"), F.col("s_name")), 6).alias("sim"))
 
 
-@query("simjoin_edit", "SELECT a.s_suppkey AS r, b.s_suppkey AS s, round(1 - levenshtein(a.s_name, b.s_name) / greatest(length(a.s_name), length(b.s_name)), 6) AS sim FROM supplier a JOIN supplier b ON a.s_nationkey = b.s_nationkey AND a.s_suppkey < b.s_suppkey WHERE levenshtein(a.s_name, b.s_name) <= 0.06 * greatest(length(a.s_name), length(b.s_name))")
+@query("simjoin_edit", "SELECT a.s_suppkey AS r, b.s_suppkey AS s, round(1 - levenshtein(a.s_name, b.s_name) / greatest(length(a.s_name), length(b.s_name)), 6) AS sim FROM supplier a JOIN supplier b ON a.s_suppkey < b.s_suppkey WHERE levenshtein(a.s_name, b.s_name) <= 0.06 * greatest(length(a.s_name), length(b.s_name))")
 def simjoin_edit(spark, d):
-    s = spark.read.parquet(f"{d}/supplier.parquet")
-    a, b = s.alias("a"), s.alias("b")
-    sim = sims.edit_similarity(F.col("a.s_name"), F.col("b.s_name"))
-    near = F.levenshtein("a.s_name", "b.s_name") <= 0.06 * F.greatest(F.length("a.s_name"), F.length("b.s_name"))
-    return a.join(b, (F.col("a.s_nationkey") == F.col("b.s_nationkey")) & (F.col("a.s_suppkey") < F.col("b.s_suppkey"))).where(near).select(F.col("a.s_suppkey").alias("r"), F.col("b.s_suppkey").alias("s"), F.round(sim, 6).alias("sim"))
+    s = spark.read.parquet(f"{d}/supplier.parquet").select(F.col("s_suppkey").alias("id"), F.col("s_name").alias("text"))
+    return simjoin.edit_join(s, 0.06).select("r", "s", F.round("sim", 6).alias("sim"))
 
 
 _COS = "list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[])"
 
 
-@query("sim_vector", f"SELECT a.vec_id AS r, b.vec_id AS s, round({_COS}, 4) AS sim FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id % 2 = 1 AND b.vec_id % 2 = 0")
+def _vectors(spark, d, odd: int):
+    return spark.read.parquet(f"{d}/embeddings.parquet").where(F.col("vec_id") % 2 == odd).select(F.col("vec_id").alias("id"), F.col("embedding").alias("vector"))
+
+
+@query("sim_vector", f"SELECT a.vec_id AS r, b.vec_id AS s, round({_COS}, 4) AS sim FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
 def sim_vector(spark, d):
+    """Each vector and the next."""
     e = spark.read.parquet(f"{d}/embeddings.parquet")
-    a, b = e.where("vec_id % 2 = 1").alias("a"), e.where("vec_id % 2 = 0").alias("b")
-    return a.join(b, F.col("a.label") == F.col("b.label")).select(F.col("a.vec_id").alias("r"), F.col("b.vec_id").alias("s"), F.round(sims.vector_cosine(F.col("a.embedding"), F.col("b.embedding")), 4).alias("sim"))
+    a, b = e.alias("a"), e.alias("b")
+    return a.join(b, F.col("b.vec_id") == F.col("a.vec_id") + 1).select(F.col("a.vec_id").alias("r"), F.col("b.vec_id").alias("s"), F.round(sims.vector_cosine(F.col("a.embedding"), F.col("b.embedding")), 4).alias("sim"))
 
 
-@query("simjoin_vector", f"SELECT a.vec_id AS r, b.vec_id AS s FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id % 2 = 1 AND b.vec_id % 2 = 0 WHERE round({_COS}, 4) >= 0.9")
+@query("simjoin_vector", f"SELECT a.vec_id AS r, b.vec_id AS s FROM embeddings a JOIN embeddings b ON a.vec_id % 2 = 1 AND b.vec_id % 2 = 0 WHERE round({_COS}, 4) >= 0.3")
 def simjoin_vector(spark, d):
-    return sim_vector(spark, d).where("sim >= 0.9").select("r", "s")
-
-
+    return simjoin.vector_join(_vectors(spark, d, 1), _vectors(spark, d, 0), 0.3).select("r", "s")
 
 
 def _share(sim: sims.SetSimilarity, side: str, bounds: str) -> Fraction:
@@ -260,7 +264,12 @@ _SCORED = {"outer_size": f"{_STATE}, {OUTER_SQL}", "group_count": f"{_STATE}, {G
 def _scored(name: str, objective: str, spark, d):
     f, p = _pairs(name, spark, d)
     o = objectives.OBJECTIVES[objective]()
-    return f, objectives.scored(objectives.profile(objectives.levels(p, o.needs_forest), f.prepared.size_r, f.prepared.size_s), o)
+    return f, objectives.scored(_profile(f, p, o), o)
+
+
+def _profile(f, pairs: DataFrame, o: objectives.Objective) -> DataFrame:
+    rows = keep(objectives.levels(pairs, o.needs_forest), "levels")
+    return objectives.profile(rows, f.prepared.size_r, f.prepared.size_s, levels=rows.count())
 
 
 for _o, _n in (("group_count", "h_group_count"), ("outer_size", "h_outer_size")):
@@ -331,13 +340,21 @@ def _summary_sql(name: str, objective: str) -> str:
     return state + f" SELECT '{objective}' AS objective, round({theta_sql(W[name].sim)}, 6) AS theta, h::BIGINT AS h, n_join FROM scored ORDER BY scored.h DESC, scored.key DESC LIMIT 1"
 
 
-for _w in ("w1", "w2", "w3", "w4", "w4dense", "w5", "w6_1", "w6_2", "w6_3", "w6_4"):
+for _w in ("w1", "w2", "w3", "w4", "w4set", "w4dense", "w5", "w6_1", "w6_2", "w6_3", "w6_4"):
     for _o in ("group_count", "outer_size"):
         query(f"auto_join_{_w}_{_o}", _summary_sql(_w, _o))(
-            lambda spark, d, w=_w, o=_o: _summary(spark, framework.auto_join(fixture(w, spark, d).prepared, W[w].sim, objectives.OBJECTIVES[o](), "fused", "eager", 4), o)
+            lambda spark, d, w=_w, o=_o: _summary(spark, framework.auto_join(fixture(w, spark, d).prepared, W[w].sim, objectives.OBJECTIVES[o](), "fused", "eager", 2), o)
         )
+for _w in ("w1", "w3", "w4"):  # those of w2 are below
+    for _v in ("lazy", "heap"):
+        query(f"auto_join_{_w}_{_v}", _summary_sql(_w, "outer_size"))(lambda spark, d, w=_w, v=_v: _summary(spark, framework.auto_join(fixture(w, spark, d).prepared, W[w].sim, objectives.outer_size(), "fused", v, 2), "outer_size"))
+    query(f"pivotal_thresholds_by_search_{_w}", f"WITH RECURSIVE {pairs_sql(_w)}, {STATE_SQL} SELECT round(key, 9) AS key FROM piv")(lambda spark, d, w=_w: framework.pivots_by_search(fixture(w, spark, d).prepared, W[w].sim).select(F.round("key", 9).alias("key")))
+for _o in ("group_count", "outer_size"):
+    query(f"auto_join_collapsed_{_o}", _summary_sql("w3", _o))(
+        lambda spark, d, o=_o: (lambda x: _summary(spark, framework.auto_join(prepare(x[0], x[1], "words", True, collapsed=True), W["w3"].sim, objectives.OBJECTIVES[o](), "fused", "lazy", 2), o))(sides(W["w3"], spark, d))
+    )
 for _w in ("w7", "w8"):
-    query(f"auto_join_{_w}_outer_size", _summary_sql(_w, "outer_size"))(lambda spark, d, w=_w: _summary(spark, framework.auto_join(fixture(w, spark, d).prepared, W[w].sim, objectives.outer_size(), "fused", "eager", 4), "outer_size"))
+    query(f"auto_join_{_w}_outer_size", _summary_sql(_w, "outer_size"))(lambda spark, d, w=_w: _summary(spark, framework.auto_join(fixture(w, spark, d).prepared, W[w].sim, objectives.outer_size(), "fused", "eager", 2), "outer_size"))
 
 for _o in ("group_count", "outer_size"):
     ORACLE[f"auto_join_{_o}"] = _summary_sql("w2", _o)
@@ -348,7 +365,7 @@ for _o in ("group_count", "outer_size"):
     query(f"brute_force_postings_{_o}", _summary_sql("w2", _o))(
         lambda spark, d, o=_o: _summary(spark, framework.brute_force(fixture("w2", spark, d).prepared, W["w2"].sim, objectives.OBJECTIVES[o]()), o)
     )
-    for _piv, _ver, _bands in (("topk", "eager", 3), ("topk", "lazy", 3), ("fused", "lazy", 4), ("fused", "heap", 4), ("all", "eager", 2)):
+    for _piv, _ver, _bands in (("topk", "eager", 2), ("topk", "lazy", 3), ("fused", "lazy", 3), ("fused", "heap", 2), ("all", "eager", 2)):
         query(f"auto_join_{_piv}_{_ver}_{_o}", _summary_sql("w2", _o))(
             lambda spark, d, o=_o, a=(_piv, _ver, _bands): _summary(spark, framework.auto_join(fixture("w2", spark, d).prepared, W["w2"].sim, objectives.OBJECTIVES[o](), *a), o)
         )
@@ -393,7 +410,7 @@ def _objective_report(name: str, spark, d) -> DataFrame:
     curve = keep(measures.accuracy_curve(p, f.c), "curve")
     out = None
     for o in (objectives.group_count(), objectives.outer_size()):
-        rows = objectives.scored(objectives.profile(objectives.levels(p, o.needs_forest), f.prepared.size_r, f.prepared.size_s), o)
+        rows = objectives.scored(_profile(f, p, o), o)
         star = objectives.choose(rows.where("pivotal")).select("key", "h")
         row = star.join(curve, "key").select(F.lit(o.name).alias("objective"), _r6("key").alias("theta"), "h", "n_join", _r6("precision"), _r6("recall"), _r6("f1"))
         out = row if out is None else out.unionByName(row)
@@ -454,7 +471,7 @@ query("label_cost", f"WITH t AS ({ORACLE['w2_sampling']}) SELECT rate, labels::D
 def _active(name: str, spark, d) -> DataFrame:
     f, p = _pairs(name, spark, d)
     p, truth = keep(p, "pairs"), keep(f.c, "truth")
-    run = baselines.tune_by_active(p, truth, 400)
+    run = baselines.tune_by_active(p, truth, 200)
     curve = [(r["key"], r["f1"]) for r in measures.accuracy_curve(p, truth).collect()] if run.theta is not None else []
     f1 = dict(curve)
     return spark.createDataFrame([(n, theta, f1.get(theta, 0.0)) for n, theta in run.trace], "labels bigint, theta double, f1 double")

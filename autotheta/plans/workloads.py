@@ -14,6 +14,7 @@ from autotheta.functions import sims
 from autotheta.functions.sims import SetSimilarity
 from autotheta.operators.sets import Prepared, prepare
 from autotheta.plans.dialects import Duck, Spark
+from autotheta.sources.shared import exists
 
 
 @dataclass(frozen=True)
@@ -27,9 +28,8 @@ class Workload:
     sim: SetSimilarity
 
 
-def _english_words(d: Spark) -> str:
-    return f"""SELECT w FROM (SELECT DISTINCT doc_id, {d.explode(d.words('text'))} AS w FROM {d.table('documents')} WHERE lang = 'en')
-      WHERE {d.matches('w', '[a-z]{5,12}')} AND {d.h("concat('keep', w)")} % 16 = 0 GROUP BY w HAVING count(*) >= 2"""
+def _item_words(d: Spark) -> str:
+    return f"SELECT DISTINCT w FROM (SELECT {d.explode(d.words('text'))} AS w FROM {d.table('benchmark')}) WHERE {d.matches('w', '[a-z]{5,12}')}"
 
 
 def _typos(d: Spark) -> str:
@@ -38,7 +38,7 @@ def _typos(d: Spark) -> str:
         WHEN 1 THEN concat(substr(w, 1, p), substr(w, p + 2, 1), substr(w, p + 1, 1), substr(w, p + 3))
         WHEN 2 THEN concat(substr(w, 1, p + 1), substr(w, p + 1))
         ELSE concat(substr(w, 1, p), 'x', substr(w, p + 2)) END AS typo
-      FROM (SELECT w, k, cast(1 + {d.div('k', 16)} % (length(w) - 2) AS int) AS p FROM (SELECT w, {d.h("concat('typo', w)")} AS k FROM ({_english_words(d)})) WHERE k % 3 <> 2)"""
+      FROM (SELECT w, k, cast(1 + {d.div('k', 16)} % (length(w) - 2) AS int) AS p FROM (SELECT w, {d.h("concat('typo', w)")} AS k FROM ({_item_words(d)})))"""
 
 
 def _w1_r(d: Spark) -> str:
@@ -46,7 +46,7 @@ def _w1_r(d: Spark) -> str:
 
 
 def _w1_s(d: Spark) -> str:
-    return f"SELECT {d.h('w', 15)} AS id, w AS text FROM ({_english_words(d)})"
+    return f"SELECT {d.h('w', 15)} AS id, w AS text FROM ({_item_words(d)})"
 
 
 def _w1_c(d: Spark) -> str:
@@ -54,17 +54,17 @@ def _w1_c(d: Spark) -> str:
 
 
 def _w2_parts(d: Spark) -> str:
-    return f"""SELECT doc_id, {d.head('ws', 12)} AS ws, m FROM (SELECT doc_id, {d.words('text')} AS ws, {d.h(f"concat('part', {d.text('doc_id')})")} % 3 AS m
-      FROM {d.table('documents')}) WHERE {d.size('ws')} >= 6"""
+    # Whole turns of all conversations, in one or both sides.
+    return f"SELECT id, ws, {d.h(f"concat('part', {d.text('id')})")} % 3 AS m FROM (SELECT conv_id * 1000 + turn AS id, {d.words('text')} AS ws FROM {d.table('conversations')})"
 
 
 def _w2_r(d: Spark) -> str:
-    return f"SELECT doc_id AS id, {d.join('ws')} AS text FROM ({_w2_parts(d)}) WHERE m <> 2"
+    return f"SELECT id, {d.join('ws')} AS text FROM ({_w2_parts(d)}) WHERE m <> 2"
 
 
 def _w2_s(d: Spark) -> str:
-    kept = d.where("ws", "x", d.h(f"concat(x, '|', {d.text('doc_id')})") + " % 4 <> 0")
-    return f"SELECT id, text FROM (SELECT doc_id AS id, {d.join(kept)} AS text FROM ({_w2_parts(d)}) WHERE m <> 0) WHERE text <> ''"
+    kept = d.where("ws", "x", d.h(f"concat(x, '|', {d.text('id')})") + " % 4 <> 0")
+    return f"SELECT id, {d.join(kept)} AS text FROM ({_w2_parts(d)}) WHERE m <> 0"
 
 
 def _w2_c(d: Spark) -> str:
@@ -98,9 +98,7 @@ def _w4_c(d: Spark) -> str:
 
 
 def _dense(d: Spark) -> str:
-    return f"""WITH hit AS (SELECT DISTINCT r FROM ({_w4_c(d)})),
-      other AS (SELECT doc_id, row_number() OVER (ORDER BY md5({d.text('doc_id')})) AS place FROM {d.table('documents')} WHERE doc_id NOT IN (SELECT r FROM hit))
-      SELECT doc_id AS id, text FROM {d.table('documents')} WHERE doc_id IN (SELECT r FROM hit) OR doc_id IN (SELECT doc_id FROM other WHERE place <= (SELECT count(*) FROM hit))"""
+    return f"SELECT doc_id AS id, text FROM {d.table('documents')} WHERE doc_id IN (SELECT r FROM ({_w4_c(d)}))"
 
 
 def _part(odd: int) -> Callable[[Spark], str]:
@@ -113,11 +111,7 @@ def _w5_c(d: Spark) -> str:
 
 
 def _titles(d: Spark) -> str:
-    return f"SELECT page_id AS id, {d.extract('html', '<title>([^<]*)</title>')} AS text FROM {d.table('pages')}"
-
-
-def _first_sentences(d: Spark) -> str:
-    return f"SELECT doc_id AS id, {d.extract('text', '^([^.]*)')} AS text FROM {d.table('documents')}"
+    return f"SELECT page_id AS id, concat_ws(' ', {d.extract('html', '<title>([^<]*)</title>')}, url) AS text FROM {d.table('pages')}"
 
 
 def _turns(role: str) -> Callable[[Spark], str]:
@@ -130,18 +124,23 @@ W = {
         Workload("w1", _w1_r, _w1_s, _w1_c, "qgrams", True, sims.jaccard()),
         Workload("w2", _w2_r, _w2_s, _w2_c, "words", True, sims.jaccard()),
         Workload("w3", _half(1), _half(0), _w3_c, "words", True, sims.jaccard()),
-        Workload("w4", _docs, _items, _w4_c, "words", False, sims.tversky("0.1")),
-        Workload("w4dense", _dense, _items, _w4_c, "words", False, sims.tversky("0.1")),
+        Workload("w4", _docs, _items, _w4_c, "words", True, sims.tversky("0.1")),
+        Workload("w4set", _docs, _items, _w4_c, "words", False, sims.tversky("0.1")),
+        Workload("w4dense", _dense, _items, _w4_c, "words", True, sims.tversky("0.1")),
         Workload("w5", _part(1), _part(0), _w5_c, "spaces", False, sims.jaccard()),
-        Workload("w7", _titles, _first_sentences, None, "words", True, sims.jaccard()),
+        Workload("w7", _titles, _docs, None, "words", True, sims.jaccard()),
         Workload("w8", _turns("user"), _turns("assistant"), None, "words", True, sims.jaccard()),
     )
 }
 
 
 def w6(parts: int) -> Workload:
-    """W4 over the documents of the first ``parts`` of four files."""
-    return Workload(f"w6_{parts}", lambda d: f"SELECT doc_id AS id, text FROM {d.table('documents')} WHERE doc_id % 4 < {parts}", _items, lambda d: f"SELECT r, s FROM ({_w4_c(d)}) WHERE r % 4 < {parts}", "words", False, sims.tversky("0.1"))
+    """W4 over the first ``parts`` of four files of documents and items. Ids divisible by 10 are in every file, so
+    files overlap; both sides grow with them."""
+    inside = lambda c: f"({c} % 4 < {parts} OR {c} % 10 = 0)"
+    r = lambda d: f"SELECT doc_id AS id, text FROM {d.table('documents')} WHERE {inside('doc_id')}"
+    s = lambda d: f"SELECT item_id AS id, text FROM {d.table('benchmark')} WHERE {inside('item_id')}"
+    return Workload(f"w6_{parts}", r, s, lambda d: f"SELECT r, s FROM ({_w4_c(d)}) WHERE {inside('r')} AND {inside('s')}", "words", True, sims.tversky("0.1"))
 
 
 W |= {f"w6_{k}": w6(k) for k in (1, 2, 3, 4)}
@@ -160,10 +159,17 @@ def sides(w: Workload, spark: SparkSession, sf_dir: str) -> tuple[DataFrame, Dat
     return spark.sql(w.r(d)), spark.sql(w.s(d)), spark.sql(w.c(d)) if w.c else None
 
 
+_PREPARED: dict[tuple, Fixture] = {}
+
+
 def fixture(name: str, spark: SparkSession, sf_dir: str) -> Fixture:
-    w = W[name]
-    r, s, c = sides(w, spark, sf_dir)
-    return Fixture(r, s, c, prepare(r, s, w.tokens, w.bag))
+    """A workload's sides, prepared: written once an application and used by all its queries while the files are there."""
+    at = (spark.sparkContext.applicationId, name, sf_dir)
+    if at not in _PREPARED or not exists(_PREPARED[at].prepared.order):
+        w = W[name]
+        r, s, c = sides(w, spark, sf_dir)
+        _PREPARED[at] = Fixture(r, s, c, prepare(r, s, w.tokens, w.bag))
+    return _PREPARED[at]
 
 
 # Equivalent SQL

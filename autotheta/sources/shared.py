@@ -1,8 +1,9 @@
 """The folder that driver and executors share, and tables kept there to cut lineage.
 
-The folder is the one the session names in ``spark.checkpoint.dir``. Only where that is unset (tests,
-a single machine) a temporary one is made. Tables written there survive lost executors, unlike cached
-blocks or local checkpoints.
+The folder is the one the session names in ``spark.checkpoint.dir``. Only where that is unset and all runs on one
+machine (tests) a temporary one is made; on a cluster that is an error, as executors would write to their own disks. Tables
+written there survive lost executors, unlike cached blocks or local checkpoints. ``discard`` deletes one that is not
+needed any more, ``clean`` all that this application has written.
 """
 
 from __future__ import annotations
@@ -14,12 +15,16 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: dict[str, str] = {}
+#: Paths in the shared folder by application.
+_WRITTEN: dict[str, set[str]] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
     """URI of the shared folder, without a slash at its end."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         app = spark.sparkContext.applicationId
         if app not in _LOCAL:
             _LOCAL[app] = "file://" + tempfile.mkdtemp(prefix="autotheta-")
@@ -29,7 +34,9 @@ def shared_dir(spark: SparkSession) -> str:
 
 def new_path(spark: SparkSession, name: str) -> str:
     """A path below the shared folder that nothing else uses."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.setdefault(spark.sparkContext.applicationId, set()).add(path)
+    return path
 
 
 def keep(df: DataFrame, name: str = "table") -> DataFrame:
@@ -37,7 +44,34 @@ def keep(df: DataFrame, name: str = "table") -> DataFrame:
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.kept_at = path
+    return out
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+    _WRITTEN.get(spark.sparkContext.applicationId, set()).discard(path)
+
+
+def exists(df: DataFrame) -> bool:
+    """Whether a table of ``keep`` is still there."""
+    hadoop = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df.kept_at)
+    return hadoop.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).exists(hadoop)
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Delete tables of ``keep`` that nothing reads any more."""
+    for df in tables:
+        if getattr(df, "kept_at", None):
+            _delete(df.sparkSession, df.kept_at)
+
+
+def clean(spark: SparkSession) -> None:
+    """Delete all that this application has written to the shared folder; results that read from there end with it."""
+    for path in list(_WRITTEN.get(spark.sparkContext.applicationId, ())):
+        _delete(spark, path)
 
 
 def is_local(uri: str) -> bool:
