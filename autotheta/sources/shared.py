@@ -49,7 +49,8 @@ def keep(df: DataFrame, name: str = "table") -> DataFrame:
     return out
 
 
-def _delete(spark: SparkSession, path: str) -> None:
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a folder that ``new_path`` named."""
     hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
     hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
     _WRITTEN.get(spark.sparkContext.applicationId, set()).discard(path)
@@ -65,13 +66,13 @@ def discard(*tables: DataFrame | None) -> None:
     """Delete tables of ``keep`` that nothing reads any more."""
     for df in tables:
         if getattr(df, "kept_at", None):
-            _delete(df.sparkSession, df.kept_at)
+            delete(df.sparkSession, df.kept_at)
 
 
 def clean(spark: SparkSession) -> None:
     """Delete all that this application has written to the shared folder; results that read from there end with it."""
     for path in list(_WRITTEN.get(spark.sparkContext.applicationId, ())):
-        _delete(spark, path)
+        delete(spark, path)
 
 
 def is_local(uri: str) -> bool:
