@@ -15,6 +15,7 @@ same while executors come and go, and an answer whose length is not that of its
 from __future__ import annotations
 
 import contextlib
+import functools
 import math
 import pickle
 import uuid
@@ -147,8 +148,8 @@ def _groups(batches, size_of: Callable) -> Iterator[list[dict]]:
         yield held
 
 
-def ask(sent: DataFrame, plan: Plan, answer: Callable, folder: str) -> list[tuple[str, object]]:
-    """Exchange questions for answers; returns ``(kind, total)`` of every part and kind.
+def ask(sent: DataFrame, plan: Plan, answer: Callable, merge: Callable, folder: str) -> dict[str, object]:
+    """Exchange questions for answers; returns the total of every kind, ``merge`` of two at a time.
 
     ``answer(kind, keys, counts, first, at)`` gets the distinct keys of a part and its entries in their order: the counts,
     where each key begins, and the number of the key of each entry. It returns arrays by entry and a total of any kind. The
@@ -181,20 +182,27 @@ def ask(sent: DataFrame, plan: Plan, answer: Callable, folder: str) -> list[tupl
 
     def write(batches):
         store, root = open_store(folder)
+        totals: dict[str, object] = {}
         for rows in _groups(batches, lambda r: r["chunk"]):
             if rows[0]["chunk"] < 0:
                 for r in rows:
-                    yield pa.RecordBatch.from_arrays([pa.array([r["kind"]]), pa.array([r["total"]], pa.binary())], ["kind", "total"])
+                    x = pickle.loads(r["total"])
+                    totals[r["kind"]] = merge(totals[r["kind"]], x) if r["kind"] in totals else x
                 continue
             store.create_dir(root, recursive=True)
             name = f"{root}/{uuid.uuid4().hex}.part"
             with store.open_output_stream(name, compression=None) as f:
                 pickle.dump([(r["kind"], r["part"], r["n"], r["counts"]) for r in sorted(rows, key=lambda r: (r["kind"], r["part"]))], f, protocol=5)
             store.move(name, f"{root}/{rows[0]['chunk']}")
+        for kind, x in totals.items():
+            yield pa.RecordBatch.from_arrays([pa.array([kind]), pa.array([pickle.dumps(x)], pa.binary())], ["kind", "total"])
+
+    def add(t: pa.Table) -> pa.Table:  # one row a task at most
+        return pa.table({"kind": [t["kind"][0].as_py()], "total": pa.array([pickle.dumps(functools.reduce(merge, map(pickle.loads, t["total"].to_pylist())))], pa.binary())})
 
     owned = map_arrow(sent.repartition(parts, "part").sortWithinPartitions("part", "kind"), own, _ANSWER)
     rows = map_arrow(owned.repartition(parts, "chunk").sortWithinPartitions("chunk"), write, "kind string, total binary")
-    return [(r["kind"], pickle.loads(r["total"])) for r in rows.toLocalIterator()]
+    return {r["kind"]: pickle.loads(r["total"]) for r in rows.groupBy("kind").applyInArrow(add, "kind string, total binary").collect()}
 
 
 def answers(folder: str, chunk: int) -> dict[str, list[np.ndarray]]:

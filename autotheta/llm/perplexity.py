@@ -20,12 +20,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
 from autotheta.llm import exchange, textkit
 from autotheta.llm.exchange import distinct
 from autotheta.llm.textkit import U
-from autotheta.sources.shared import keep, map_arrow, new_path
+from autotheta.sources.shared import delete, keep, map_arrow, new_path
 
 #: Bytes of text of a chunk: what a task has in memory at once.
 CHUNK = 16 << 20
@@ -232,7 +233,7 @@ def _own_bigrams(kind, keys, counts, first, at):
     totals = [np.add.reduceat(x, first) for x in (n - b, b)]
     new = np.zeros(len(at), np.uint8)
     new[first] = 1
-    few = [[int((t == k).sum()) for k in (1, 2, 3, 4)] for t in totals]
+    few = np.array([[int((t == k).sum()) for k in (1, 2, 3, 4)] for t in totals])
     others = (np.where((other > 0) | (new > 0), t[at] - x, 0) for t, x, other in zip(totals, (n - b, b), (b, n - b), strict=True))
     return [*(x.astype(np.uint32) for x in others), new], few
 
@@ -308,7 +309,7 @@ def _own_words(d2: dict[str, np.ndarray]):
         for h in (0, 1):
             cut = sum(d2[kind][h][k] * kinds[3 * h + k].astype(float) for k in range(3))
             out.append(np.round(SHARE * np.minimum(1.0, cut / np.maximum(1, whole[h]))).astype(np.uint16)[at])
-            few = [int((m[h] == k).sum()) for k in (1, 2, 3, 4)]
+            few = np.array([int((m[h] == k).sum()) for k in (1, 2, 3, 4)])
             sums.append((few, int((m[h] > 2).sum()), int(m[h].sum()), np.bincount(shape[m[h] > 0], minlength=SYMBOLS)))
         # The most frequent words of the part; those of the language are among them. Starts and ends are no words.
         n = np.where(shape < START, whole[0] + whole[1], 0)
@@ -321,21 +322,19 @@ def _own_words(d2: dict[str, np.ndarray]):
     return answer
 
 
+def _merge_words(x: tuple, y: tuple) -> tuple:
+    sums = [tuple(a + b for a, b in zip(x[0][h], y[0][h], strict=True)) for h in (0, 1)]
+    return sums, sorted([*x[1], *y[1]], key=lambda t: (-t[0], t[1]))[:WORDS]
+
+
 def train(rows: DataFrame) -> Model:
     """The model of ``i, language, text, t`` rows; to be scored from the same rows with the same splits."""
     plan, spark = exchange.plan(rows), rows.sparkSession
     bigram_files, word_files = new_path(spark, "bigrams"), new_path(spark, "words")
-    few: dict[str, np.ndarray] = {}
-    for name, x in exchange.ask(map_arrow(rows, _bigram_questions(plan), exchange.SENT), plan, _own_bigrams, bigram_files):
-        few[name] = few.get(name, 0) + np.array(x)
+    few = exchange.ask(map_arrow(rows, _bigram_questions(plan), exchange.SENT), plan, _own_bigrams, np.add, bigram_files)
     d2 = {name: np.array([discounts(*x[h].tolist()) for h in (0, 1)]) for name, x in few.items()}
-    found: dict[str, list] = {}
-    often: dict[str, list] = {}
-    for name, (sums, most) in exchange.ask(map_arrow(rows, _word_questions(plan, bigram_files), exchange.SENT), plan, _own_words(d2), word_files):
-        so_far = found.setdefault(name, [[np.zeros(4, np.int64), 0, 0, np.zeros(SYMBOLS, np.int64)] for _ in (0, 1)])
-        for h in (0, 1):
-            so_far[h] = [x + np.array(y) for x, y in zip(so_far[h], sums[h], strict=True)]
-        often[name] = sorted([*often.get(name, []), *most], key=lambda x: (-x[0], x[1]))[:WORDS]
+    asked = exchange.ask(map_arrow(rows, _word_questions(plan, bigram_files), exchange.SENT), plan, _own_words(d2), _merge_words, word_files)
+    found, often = {name: x[0] for name, x in asked.items()}, {name: x[1] for name, x in asked.items()}
     d1 = {name: np.array([discounts(*x[h][0].tolist()) for h in (0, 1)]) for name, x in found.items()}
     m = {name: np.array([int(x[h][2]) for h in (0, 1)]) for name, x in found.items()}
     rest1 = {name: np.array([(d1[name][h] @ [x[h][0][0], x[h][0][1], x[h][1]]) / m[name][h] if m[name][h] else 1.0 for h in (0, 1)]) for name, x in found.items()}
@@ -348,8 +347,10 @@ def train(rows: DataFrame) -> Model:
         top[name] = np.sort(np.array([k for _, k, *_ in often[name]], np.uint64))
     counted = map_arrow(rows, _symbol_counts(top, plan.shift), "language string, k bigint, n bigint").groupBy("language", "k").agg(F.sum("n").alias("n"))
     tables = {name: np.zeros(SYMBOLS * SYMBOLS) for name in few}
-    for r in counted.toLocalIterator():  # languages x SYMBOLS x SYMBOLS at most
-        tables[r["language"]][r["k"]] = r["n"]
+    t = counted.toArrow()  # languages x SYMBOLS x SYMBOLS rows at most
+    for name, table in tables.items():
+        mine = t.filter(pc.equal(t["language"], name))
+        table[mine["k"].to_numpy()] = mine["n"].to_numpy()
     logs = {name: np.log10(symbol_model(t.reshape(SYMBOLS, SYMBOLS))).astype(np.float32) for name, t in tables.items()}
     return Model(plan, d2, d1, m, rest1, types, top, logs, bigram_files, word_files)
 
@@ -470,7 +471,10 @@ def perplexity_filter(docs: DataFrame, z: float = 6.0, z_symbols: float = 4.5, m
     rows = docs.select(F.col(id_col).cast("bigint").alias("i"), F.coalesce(F.concat(F.lit("="), lang), F.lit("")).alias("language"), text.alias("text"), F.xxhash64(lang, text).alias("t"))
     rows = exchange.stable(rows)
     with exchange.same_splits(docs.sparkSession):
-        m = keep(measures(rows, train(rows)), "measures")
+        model = train(rows)
+        m = keep(measures(rows, model), "measures")
+    for path in (model.bigram_files, model.word_files):
+        delete(docs.sparkSession, path)
     m = m.withColumn("base_failed", (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words")))
     good = m.where("NOT base_failed")
     # Perplexities of words and of symbols have a band each.

@@ -109,3 +109,14 @@ def test_pipeline_by_hand(spark, tmp_path):
     five = corpus_pipeline.STAGES[4][1](spark, four, SF).collect()
     assert len(five) == four.count() and [r.start for r in sorted(five, key=lambda r: r.start)][0] == 0
     assert len(corpus_pipeline.run(spark, SF).collect()) == len(five)
+
+
+def test_stages_keep_rows_of_one_id_apart(spark):
+    """Negative ids beside null ones, and one id with two texts: only copies and near copies go."""
+    words = " ".join(f"w{k}" for k in range(30))
+    rows = [(-1, "some text", "en", "a"), (None, "other text here", "en", "a"), (-2, "third text", "en", "a"), (5, "one thing", "en", "a"), (5, "and another", "en", "a"), (5, "one thing", "en", "a"), (6, words, "en", "a"), (None, words + " x", "en", "a")]
+    docs = table(spark, rows)
+    found = sorted((r.doc_id is None, r.doc_id or 0, r.text) for r in corpus_pipeline.STAGES[1][1](spark, docs, SF).collect())
+    want = {(r[0], r[1]) for r in rows if r[0] is not None} | {(None, "other text here")}
+    assert found == sorted((i is None, i or 0, t) for i, t in want)
+    assert corpus_pipeline.STAGES[0][1](spark, docs, SF).count() == len(rows)

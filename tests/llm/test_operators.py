@@ -392,3 +392,110 @@ def test_op7_distinct_of_whole_text():
     data, offsets = textkit.text_rows(pa.array([" ".join(x) for x in texts]))
     got = quality.measure(data, offsets)[:, quality.FEATURES.index("distinct")]
     assert got.tolist() == pytest.approx([1, (1 + 15 * 0.01) / 16, 1, (1 + 191 / 200) / 2, 0, 2 / 3])
+
+
+def test_op5_top_words_are_exact(spark, monkeypatch):
+    """Words that are frequent over all chunks but not among the best of each are found."""
+    monkeypatch.setattr(maxent, "TOP", 3)
+    rng = random.Random(4)
+    texts = []
+    for k in range(8):  # of each chunk other words are first, "steady" is fourth everywhere
+        texts.append(" ".join([f"a{k}"] * 9 + [f"b{k}"] * 9 + [f"c{k}"] * 9 + ["steady"] * 8 + [f"r{rng.randrange(50)}" for _ in range(20)]))
+    rows = spark.createDataFrame([(k, t, True) for k, t in enumerate(texts)], "i bigint, t string, train boolean").repartition(8, "i")
+    chunks = maxent._chunks(rows).persist()
+    data, offsets = textkit.text_rows(pa.array(["steady"]))
+    steady = textkit.words(data, offsets, textkit.SPACED_LOWER).hash[0]
+    counts = collections.Counter(w for t in texts for w in t.split())
+    assert counts.most_common(1)[0][0] == "steady" and maxent._top_words(chunks)[0] == steady
+
+
+def brute_hits(text, items, size):
+    words = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    w, hit, names = words.findall(text.translate(LOW)), set(), set()
+    for name, item in items:
+        x = words.findall(item.translate(LOW))
+        for k in range(max(1, len(x) - size + 1)) if x else ():
+            window = x[k : k + size]
+            for at in range(len(w) - len(window) + 1):
+                if w[at : at + len(window)] == window:
+                    hit.update(range(at, at + len(window)))
+                    names.add(name)
+    return len(hit), sorted(names)
+
+
+def test_op10_repetitive_items_and_texts(spark, monkeypatch):
+    """Equal windows count once, candidates come piece by piece, and results are those of brute force."""
+    monkeypatch.setattr(decontaminate, "CANDIDATES", 64)
+    rng = random.Random(10)
+    items = [("1", "ja " * 40), ("2", "ja " * 12 + "nein"), ("2", "ja " * 12), ("3", " ".join(rng.choice(["a", "b"]) for _ in range(30))), ("4", "a b a"), ("5", "...")]
+    texts = ["ja " * 300, "nein " + "ja " * 9, " ".join(rng.choice(["a", "b"]) for _ in range(200)), "x a b a y", ""]
+    w = decontaminate.build_windows(items, 10, {})
+    assert len(w.begin) == len({tuple(x) for _, t in items for x in [t.split()[k : k + 10] for k in range(max(1, len(t.split()) - 9))] if x != ["..."]})
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    bench = spark.createDataFrame(items, "item_id string, text string")
+    got = {r.doc_id: (r.n_hit, list(r["items"])) for r in decontaminate.decontaminate(docs, bench).collect()}
+    assert got == {k: brute_hits(t, items, 10) for k, t in enumerate(texts)}
+
+
+def test_op10_long_repetitive_text(spark):
+    docs = spark.createDataFrame([(1, "ja " * 20_000)], "doc_id bigint, text string")
+    bench = spark.createDataFrame([(1, "ja " * 20_000), (2, "ja " * 20_000)], "item_id bigint, text string")
+    r = decontaminate.decontaminate(docs, bench).collect()[0]
+    assert r.n_hit == 20_000 and list(r["items"]) == ["1", "2"]
+
+
+def test_op7_by_brute_force(spark):
+    """Evidence, rates and scores written out; ids beyond 2**53 keep their labels."""
+    rng = random.Random(7)
+    big = 2**53
+    rows = []
+    for k in range(60):
+        good = k % 3 > 0
+        text = " ".join(rng.choice(["word", "other", "text", "of", "the"]) + ("." if rng.random() < 0.1 else "") for _ in range(40)) if good else "BAD## $$ " * rng.randint(2, 9)
+        rows.append((big + k, text, f"h{k % 4}", f"p{k % 7}", int(good)))
+    docs = spark.createDataFrame([x[:4] for x in rows], "doc_id bigint, text string, host string, path string")
+    labels = spark.createDataFrame([(x[0], x[4]) for x in rows], "doc_id bigint, quality int")
+    got = {r.doc_id: r for r in quality.quality_by_site(docs, labels, F.col("host"), F.col("path")).collect()}
+    data, offsets = textkit.text_rows(pa.array([x[1] for x in rows]))
+    x = quality.measure(data, offsets)
+    mean, scale, w = quality.fit(x, np.array([r[4] for r in rows]))
+    z = np.clip(np.clip((x - mean) / scale, -8, 8) @ w[:-1] + w[-1], -20, 20)
+    p = 1 / (1 + np.exp(-z))
+    m = p.mean()
+
+    def groups(key):
+        out = collections.defaultdict(list)
+        for r, v in zip(rows, p, strict=True):
+            out[key(r)].append(v)
+        return out
+
+    def strength(of, expected):
+        n = sum(len(v) for v in of.values())
+        spread = sum(len(v) * (sum(v) / len(v) - expected[k]) ** 2 for k, v in of.items()) - sum(expected[k] * (1 - expected[k]) for k in of)
+        return min(1000.0, max(1.0, np.mean([expected[k] * (1 - expected[k]) for k in of]) / max(1e-4, spread / n) - 1))
+
+    hosts, paths = groups(lambda r: r[2]), groups(lambda r: r[2:4])
+    k_host = strength(hosts, dict.fromkeys(hosts, m))
+    host_mean = {h: (sum(v) + k_host * m) / (len(v) + k_host) for h, v in hosts.items()}
+    k_path = strength(paths, {k: host_mean[k[0]] for k in paths})
+    for r, v, e in zip(rows, p, z, strict=True):
+        a, b = hosts[r[2]], paths[r[2:4]]
+        host_rate = (sum(a) - v + k_host * m) / (len(a) - 1 + k_host)
+        path_rate = (sum(b) - v + k_path * host_rate) / (len(b) - 1 + k_path)
+        odds = e + math.log(path_rate / (1 - path_rate)) - math.log(m / (1 - m))
+        x = got[r[0]]
+        assert (x.evidence, x.host_rate, x.path_rate) == pytest.approx((e, host_rate, path_rate), rel=1e-6)
+        assert x.score == pytest.approx(1 / (1 + math.exp(-odds)), rel=1e-6)
+
+
+def test_op2_hot_payload_with_a_repeated_largest_id(spark):
+    pages = spark.createDataFrame([(k % 400, "u", "hot") for k in range(401)] + [(399, "u", "hot")], "page_id bigint, url string, html string")
+    got = warc.read_archives(warc.write_archives(pages)).collect()
+    assert sorted(r.page_id for r in got if r.record_type == "response") == [399, 399]
+    assert all(r.refers_to == 399 for r in got if r.record_type == "revisit") and len(got) == 402
+
+
+def test_op1_folds_hold_both_kinds():
+    y = np.array([0] * 50 + [1] * 10)
+    fold = toxicity.folds(np.arange(60), y)
+    assert all((y[fold == f] == 1).sum() == 2 and (y[fold == f] == 0).sum() == 10 for f in range(toxicity.FOLDS))
