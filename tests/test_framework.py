@@ -43,30 +43,100 @@ def test_toy_operators(toy):
     assert simjoin.band(pairs, 0.9, 2.0).count() == 1 and pairs.where("key >= 0.8D").count() == 4
 
 
-VARIANTS = [("topk", "eager", "pivot"), ("fused", "lazy", 3), ("all", "heap", 2), ("topk", "lazy", 2), ("fused", "eager", 1)]
+VARIANTS = [("topk", "lazy", "pivot", "group_count"), ("fused", "lazy", 3, "outer_size"), ("all", "heap", 2, "group_count"), ("topk", "lazy", 2, "outer_size"), ("fused", "eager", 1, "group_count")]
+WANTED = {"group_count": (2 / 3, 3), "outer_size": (0.8, -8)}
 
 
-@pytest.mark.parametrize("pivots,verify,bands", VARIANTS)
-@pytest.mark.parametrize("name,theta,score", [("group_count", 2 / 3, 3), ("outer_size", 0.8, -8)])
-def test_toy_variants(toy, pivots, verify, bands, name, theta, score):
+@pytest.mark.parametrize("pivots,verify,bands,name", VARIANTS)
+def test_toy_variants(toy, pivots, verify, bands, name):
     p, _ = toy
     r = framework.auto_join(p, sims.jaccard(), O.OBJECTIVES[name](), pivots, verify, bands)
-    assert (r.theta, r.score) == (theta, score)
+    assert (r.theta, r.score) == WANTED[name]
     assert r.pairs.count() == {"group_count": 8, "outer_size": 4}[name]
 
 
-@pytest.mark.parametrize("bounds", ["paper", "tight"])
-def test_tversky_variants_agree(spark, bounds):
+@pytest.mark.parametrize("bounds,collapsed,hot", [("paper", False, 10**6), ("tight", True, 3)])
+def test_variants_agree(spark, bounds, collapsed, hot):
+    """All ways give the pairs of brute force: equal sets collapsed or not, elements dealt over tasks or not."""
     rng = random.Random(5)
     words = [f"w{k}" for k in range(12)]
     r, s = ([" ".join(rng.sample(words, rng.randint(1, 6))) for _ in range(12)] for _ in "rs")
+    r[3], s[4], s[5] = r[2], r[2], r[2]
+    plain = prepare(side(spark, r), side(spark, s), "words")
+    p = prepare(side(spark, r), side(spark, s), "words", collapsed=collapsed, hot=hot)
+    assert (p.hot is None) == (hot > 24)
+    for sim, o, args in ((sims.tversky("0.1"), O.group_count(), ("fused", "lazy", 3)), (sims.jaccard(), O.group_count(), ("topk", "lazy", 2)), (sims.jaccard(), O.outer_size(), ("topk", "heap", 2)), (sims.dice(), O.outer_size(), ("fused", "eager", 2))):
+        want = framework.brute_force(plain, sim, o, simjoin.brute_force_pairs(plain, sim))
+        got = framework.auto_join(p, sim, o, *args, bounds=bounds)
+        assert (got.theta, got.score) == (want.theta, want.score)
+        pairs = lambda x: sorted((y.r, y.s, round(y.key, 9)) for y in x.pairs.collect())
+        assert pairs(got) == pairs(want)
+
+
+def test_state_grows_by_bands(spark):
+    """What bands add one after the other is what all pairs together give, and so are the totals."""
+    rng = random.Random(9)
+    every = {(rng.randrange(9), rng.randrange(9)): rng.choice([0.1, 0.25, 0.5, 0.5, 0.75, 1.0]) for _ in range(40)}
+    pairs = spark.createDataFrame([(r, s, k) for (r, s), k in every.items()], "r bigint, s bigint, key double").repartition(3)
+    row = lambda x: tuple(x[c] for c in ("key", *O.DELTAS))
+    want = sorted(row(x) for x in O.levels(pairs).collect())
+    state, got = O.ScoreState(True), []
+    for low, high in ((0.5, 2), (0.2, 0.5), (0, 0.2)):
+        rows = state.extend(pairs.where((F.col("key") >= low) & (F.col("key") < high))).persist()
+        got += [row(x) for x in rows.collect()]
+        state.close(O.level_sums(rows))
+    assert sorted(got) == want
+    assert state.base["n_join"] == len(every) and state.base["forest"] == sum(x[5] for x in want)
+
+
+def test_running_sums_in_ranges(spark):
+    rows = spark.createDataFrame([(k / 97, (k * 7) % 11) for k in range(1, 97)], "key double, x bigint")
+    for how in ("sum", "max"):
+        one, two = (sorted((r.key, r.y) for r in O.running(rows, {"y": "x"}, how, {"y": 5}, n).collect()) for n in (None, 96))
+        assert one == two and len(one) == 96
+
+
+def test_bounds_of_met_pairs(spark):
+    """At every cap what a pair can still reach is no less than its key, and what it has seen no more."""
+    rng = random.Random(3)
+    words = [f"w{k}" for k in range(20)]
+    r, s = ([" ".join(rng.sample(words, rng.randint(1, 9))) for _ in range(15)] for _ in "rs")
     p = prepare(side(spark, r), side(spark, s), "words")
-    sim = sims.tversky("0.1")
-    for o in (O.group_count(), O.outer_size()):
-        want = framework.brute_force(p, sim, o, simjoin.brute_force_pairs(p, sim))
-        for args in (("fused", "lazy", 4), ("topk", "heap", 3)):
-            got = framework.auto_join(p, sim, o, *args, bounds=bounds)
-            assert (got.theta, got.score, got.pairs.count()) == (want.theta, want.score, want.pairs.count())
+    for sim in (sims.jaccard(), sims.tversky("0.1"), sims.cosine()):
+        true = simjoin.sharing_pairs(p, sim).select("r", "s", F.col("key").alias("true"), F.col("o"))
+        for low in (0.7, 0.3):
+            met = simjoin.meetings(p, sim, low)
+            rows = met.withColumn("top", simjoin.most_possible(sim, low)).join(true, ["r", "s"]).collect()
+            assert rows and all(x.top >= x.true - 1e-12 and x.seen <= x.o for x in rows)
+            assert {(x.r, x.s) for x in rows} >= {(x.r, x.s) for x in true.where(F.col("true") >= low).collect()}
+
+
+def test_edit_join_by_brute_force(spark):
+    rng = random.Random(8)
+    texts = [None, "", "a", "b", "ab"] + ["".join(rng.choice("abc") for _ in range(rng.randint(8, 11))) for _ in range(60)]
+
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    near = {(i, j) for j, b in enumerate(texts) for i, a in enumerate(texts[:j]) if a is not None and b is not None and distance(a, b) <= 0.2 * max(len(a), len(b))}
+    assert {(x.r, x.s) for x in simjoin.edit_join(side(spark, texts), 0.2).collect()} == near
+    with pytest.raises(ValueError):
+        simjoin.edit_join(side(spark, texts), 0.5)
+
+
+def test_shared_folder_is_required_on_a_cluster():
+    from types import SimpleNamespace
+
+    from autotheta.sources.shared import shared_dir
+
+    context = SimpleNamespace(master="spark://host:7077", applicationId="x", getConf=lambda: SimpleNamespace(get=lambda k: None))
+    with pytest.raises(ValueError):
+        shared_dir(SimpleNamespace(conf=SimpleNamespace(get=lambda k, d: None), sparkContext=context))
 
 
 def components_by_hand(edges):
@@ -150,11 +220,10 @@ def test_metamorphic(spark):
 def test_lazy_reads_less(spark):
     from autotheta.plans.workloads import W, fixture
 
-    f = fixture("w2", spark, SF)
-    lazy = framework.auto_join(f.prepared, W["w2"].sim, O.outer_size(), "fused", "lazy", 4)
-    eager = framework.auto_join(f.prepared, W["w2"].sim, O.outer_size(), "fused", "eager", 4)
-    assert lazy.theta == eager.theta and lazy.metrics["tokens_scanned"] < eager.metrics["tokens_scanned"]
-    assert lazy.metrics["evaluated"] == 13  # of 20 pivots, before the bound ends the run
+    f = fixture("w3", spark, SF)
+    lazy, heap = (framework.auto_join(f.prepared, W["w3"].sim, O.outer_size(), "fused", v, 2) for v in ("lazy", "heap"))
+    assert (lazy.theta, lazy.score) == (heap.theta, heap.score) and lazy.metrics["tokens_scanned"] < heap.metrics["tokens_scanned"]
+    assert lazy.metrics["verified"] < lazy.metrics["candidates"] and lazy.evaluated.count() == lazy.metrics["evaluated"]
 
 
 def test_plans(spark):
@@ -166,15 +235,27 @@ def test_plans(spark):
     assert "Cartesian" in brute or "NestedLoop" in brute
 
 
-def test_active_learning_trace(spark):
-    from autotheta.operators.baselines import labels_to_match, tune_by_active
+def test_active_learning_by_hand(spark):
+    """The same choices over all pairs in memory; labels are the pairs' own."""
+    from autotheta.operators.baselines import best_threshold, labels_to_match, tune_by_active
     from autotheta.operators.measures import accuracy_curve
     from autotheta.plans.workloads import W, fixture
 
     f = fixture("w2", spark, SF)
     pairs = simjoin.sharing_pairs(f.prepared, W["w2"].sim).persist()
-    one, two = (tune_by_active(pairs, f.c, 60) for _ in range(2))
-    assert one.trace == two.trace and [n for n, _ in one.trace] == list(range(1, 61))
-    curve = [(r["key"], r["f1"]) for r in accuracy_curve(pairs, f.c).collect()]
-    n = labels_to_match(one, curve, max(v for _, v in curve), 1.0)
-    assert n == 1
+    run = tune_by_active(pairs, f.c, 60)
+    rows = [(x.key, x.h, x.r, x.s) for x in pairs.select("key", F.xxhash64("r", "s").alias("h"), "r", "s").collect()]
+    true, asked, labels, theta = {(x.r, x.s) for x in f.c.collect()}, set(), [], (max(rows)[0] + min(rows)[0]) / 2
+    for n, at in run.trace:
+        key, _, r, s = min((x for x in rows if x[2:] not in asked), key=lambda x: (abs(x[0] - theta), -x[0], x[1:]))
+        asked.add((r, s))
+        labels.append((key, (r, s) in true))
+        assert run.asked[n - 1] == (r, s, (r, s) in true)
+        theta = best_threshold(labels)
+        assert theta == at
+    assert len(run.trace) == 60
+    curve = [(x.key, x.f1) for x in accuracy_curve(pairs, f.c).collect()]
+    best = dict(curve)[run.theta]
+    n = labels_to_match(run, curve, best, 0.01)
+    assert 1 <= n <= 60 and all(dict(curve)[t] >= best - 0.01 for k, t in run.trace if k >= n)
+    assert labels_to_match(run, curve, 2.0, 0.01) is None
