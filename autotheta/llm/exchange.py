@@ -2,8 +2,8 @@
 
 A chunk is what one task reads of the texts, up to a bound of bytes. It sends each of its distinct keys once, with
 its own counts, to the part that owns the key's range. The owner adds the chunks' counts up and answers every chunk in the
-order of its keys, so an answer carries no key; each chunk's answers become one file of the shared folder. A
-key that a third of all texts hold is therefore one entry a chunk, not a hot key.
+order of its keys, so an answer carries no key. Answers lie in the owners' files in the shared folder, and a chunk's own file says
+where; so they are written once and never shuffled. A key that a third of all texts hold is therefore one entry a chunk, not a hot key.
 
 Sorted keys travel as differences of hashes, in byte planes that are compressed: about three bytes a key.
 ``Plan`` gives the hashes as many bits as keep the chance that a key meets another one the same at every size of input.
@@ -153,8 +153,7 @@ def ask(sent: DataFrame, plan: Plan, answer: Callable, merge: Callable, folder:
 
     ``answer(kind, keys, counts, first, at)`` gets the distinct keys of a part and its entries in their order: the counts,
     where each key begins, and the number of the key of each entry. It returns arrays by entry and a total of any kind. The
-    answers of a chunk lie in ``folder/chunk`` then. Its name and content follow from the chunk alone, so a
-    repeated attempt writes the same.
+    answers of a chunk are found by ``answers`` then. A chunk's file is moved to its name when it is whole.
     """
     width, parts = plan.width, plan.parts
 
@@ -172,11 +171,19 @@ def ask(sent: DataFrame, plan: Plan, answer: Callable, merge: Callable, folder:
             out, total = answer(kind, keys[order[first]], [c[order] for c in counts], first, np.cumsum(new) - 1)
             back = np.empty(len(order), np.int64)
             back[order] = np.arange(len(order))
-            out, at = [x[back] for x in out], 0
-            for r in rows:
-                blob = pack([x[at : at + r["n"]] for x in out])
-                yield pa.RecordBatch.from_arrays([pa.array([r["chunk"]]), pa.array([part], pa.int32()), pa.array([kind]), pa.array([r["n"]], pa.int32()), pa.array([blob], pa.binary()), pa.array([None], pa.binary())], ["chunk", "part", "kind", "n", "counts", "total"])
-                at += r["n"]
+            out, at, size, name = [x[back] for x in out], 0, 0, uuid.uuid4().hex
+            places = []
+            store, root = open_store(folder)
+            store.create_dir(root, recursive=True)
+            with store.open_output_stream(f"{root}/{name}", compression=None) as f:
+                for r in rows:
+                    blob = pack([x[at : at + r["n"]] for x in out])
+                    f.write(blob)
+                    places.append(pickle.dumps((name, size, len(blob))))
+                    at, size = at + r["n"], size + len(blob)
+            # A repeated attempt writes a file of another name, and its rows say so.
+            columns = [[r["chunk"] for r in rows], [part] * len(rows), [kind] * len(rows), [r["n"] for r in rows], places, [None] * len(rows)]
+            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.string(), pa.int32(), pa.binary(), pa.binary()), strict=True)], ["chunk", "part", "kind", "n", "counts", "total"])
             # Totals travel as chunks below 0, dealt over all tasks of the next step.
             yield pa.RecordBatch.from_arrays([pa.array([-1 - part]), pa.array([part], pa.int32()), pa.array([kind]), pa.array([0], pa.int32()), pa.array([None], pa.binary()), pa.array([pickle.dumps(total)], pa.binary())], ["chunk", "part", "kind", "n", "counts", "total"])
 
@@ -192,8 +199,8 @@ def ask(sent: DataFrame, plan: Plan, answer: Callable, merge: Callable, folder:
             store.create_dir(root, recursive=True)
             name = f"{root}/{uuid.uuid4().hex}.part"
             with store.open_output_stream(name, compression=None) as f:
-                pickle.dump([(r["kind"], r["part"], r["n"], r["counts"]) for r in sorted(rows, key=lambda r: (r["kind"], r["part"]))], f, protocol=5)
-            store.move(name, f"{root}/{rows[0]['chunk']}")
+                pickle.dump([(r["kind"], r["n"], *pickle.loads(r["counts"])) for r in sorted(rows, key=lambda r: (r["kind"], r["part"]))], f, protocol=5)
+            store.move(name, f"{root}/chunk-{rows[0]['chunk']}")
         for kind, x in totals.items():
             yield pa.RecordBatch.from_arrays([pa.array([kind]), pa.array([pickle.dumps(x)], pa.binary())], ["kind", "total"])
 
@@ -208,11 +215,13 @@ def ask(sent: DataFrame, plan: Plan, answer: Callable, merge: Callable, folder:
 def answers(folder: str, chunk: int) -> dict[str, list[np.ndarray]]:
     """By kind, the answers to a chunk's keys in their order."""
     store, root = open_store(folder)
-    with store.open_input_stream(f"{root}/{chunk}", compression=None) as f:
-        rows = pickle.loads(f.read())
+    with store.open_input_stream(f"{root}/chunk-{chunk}", compression=None) as f:
+        places = pickle.loads(f.read())
     out: dict[str, list] = {}
-    for kind, _, n, raw in rows:
-        got = unpack(raw)
+    for kind, n, name, at, size in places:
+        with store.open_input_file(f"{root}/{name}") as f:
+            f.seek(at)
+            got = unpack(f.read(size))
         if any(len(x) != n for x in got):
             raise ValueError("an answer is damaged")
         out.setdefault(kind, []).append(got)
