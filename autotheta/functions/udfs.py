@@ -110,7 +110,7 @@ def udtf_auto_report(spark, d):
     register_udtfs(spark)
     f = fixture("w5", spark, d)
     levels(sharing_pairs(f.prepared, W["w5"].sim), forest=False).createOrReplaceTempView("autotheta_levels")
-    rows = spark.sql(f"SELECT * FROM auto_report(TABLE(SELECT key, d_join, d_r, d_s FROM autotheta_levels) WITH SINGLE PARTITION ORDER BY key DESC, {f.prepared.size_r}, {f.prepared.size_s})")
+    rows = spark.sql(f"SELECT * FROM auto_report(TABLE(SELECT key, d_join, d_r, d_s FROM autotheta_levels) WITH SINGLE PARTITION ORDER BY (key DESC), {f.prepared.size_r}, {f.prepared.size_s})")
     return rows.select(F.round("theta", 6).alias("theta"), "h", "n_join")
 
 
