@@ -51,3 +51,7 @@ def test_lateral_order_stands_in_its_window(spark):
     """A LIMIT inside LATERAL loses its order where shuffled blocks come in any order, which only a cluster shows."""
     plan = Q["join_lateral"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
     assert "windowspecdefinition(o_custkey" in plan and "o_totalprice" in plan.partition("windowspecdefinition(o_custkey")[2].partition("specifiedwindowframe")[0]
+
+
+def test_stream_of_bags(spark, duck):
+    same(spark, duck, SF, Q["stream_simjoin"], S["stream_simjoin"])
