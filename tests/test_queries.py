@@ -55,3 +55,17 @@ def test_lateral_order_stands_in_its_window(spark):
 
 def test_stream_of_bags(spark, duck):
     same(spark, duck, SF, Q["stream_simjoin"], S["stream_simjoin"])
+
+
+@pytest.mark.parametrize("name", ["src_candidates", "values_inline"])
+def test_data_come_from_a_table(spark, name):
+    assert Q[name](spark, SF).count() > 100
+
+
+def test_candidate_dumps_with_nulls(spark, tmp_path):
+    from autotheta.sources.io import CandidateSource, dump_candidates
+
+    rows = [(1, 2, 0.5), (3, 4, None), (None, 6, 1e-300)]
+    spark.dataSource.register(CandidateSource)
+    paths = dump_candidates(spark.createDataFrame(rows, "r bigint, s bigint, key double").repartition(3, "s"), f"file://{tmp_path}/dump")
+    assert sorted(map(repr, map(tuple, spark.read.format("autotheta_candidates").load(",".join(paths)).collect()))) == sorted(map(repr, rows))
