@@ -2,14 +2,18 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from autotheta.functions import sims
 from autotheta.operators import simjoin
-from autotheta.operators.blocks import block_join, links, write_blocks
+from autotheta.operators import objectives as O
+from autotheta.operators.blocks import block_join, level_parts, links, write_blocks
+from autotheta.operators.graph import DisjointSets, forest_of
 from autotheta.operators.sets import prepare
+from autotheta.plans import framework
 from tests.conftest import SF
 
 
@@ -46,3 +50,64 @@ def test_selfjoin_has_a_row_a_document(spark):
 def test_meetings_are_not_shuffled(spark, name):
     plan = entry.queries()[name](spark, SF)._jdf.queryExecution().executedPlan().toString()
     assert "hashpartitioning(r" not in plan and "hashpartitioning(t" not in plan
+
+
+@pytest.fixture(scope="module")
+def both(spark):
+    r, s = _texts(spark, 3, 40), _texts(spark, 4, 30, 100)
+    return r, s, prepare(r, s, "words", True), write_blocks(r, s, "words", True, block=40)
+
+
+@pytest.mark.parametrize("name,args", [("group_count", ("fused", "eager", 2)), ("group_count", ("topk", "lazy", 3)), ("group_count", ("fused", "heap", 2)), ("outer_size", ("all", "eager", 2)), ("outer_size", ("topk", "lazy", "pivot"))])
+def test_chosen_threshold_by_blocks(spark, both, name, args):
+    """Sides in blocks give what brute force gives; copies are in classes, and some texts are empty or null."""
+    _, _, p, b = both
+    assert len(b.r.blocks) > 1
+    for sim in (sims.jaccard(), sims.tversky("0.1")):
+        want = framework.brute_force(p, sim, O.OBJECTIVES[name](), simjoin.brute_force_pairs(p, sim))
+        got = framework.auto_join(b, sim, O.OBJECTIVES[name](), *args)
+        assert (got.theta, got.score, got.size) == (want.theta, want.score, want.pairs.count())
+        assert sorted((x.r, x.s, x.key) for x in got.pairs.collect()) == sorted((x.r, x.s, x.key) for x in want.pairs.collect())
+
+
+def test_levels_of_blocks(spark, both):
+    """Sums of the tasks are the levels of all pairs, in bands too."""
+    _, _, p, b = both
+    row = lambda x: tuple(x[c] for c in ("key", *(c for c in O.DELTAS if c != "d_classes" and c != "d_forest")))
+    pairs = simjoin.sharing_pairs(p, sims.jaccard()).persist()
+    want, state, got = O.levels(pairs).collect(), O.ScoreState(True), []
+    for low, high in ((0.3, None), (5e-324, 0.3)):
+        rows = state.extend(framework._parts(level_parts(b, sims.jaccard(), low, high, forest=True).persist())).persist()
+        got += rows.collect()
+        state.close(O.level_sums(rows))
+    assert sorted(map(row, got)) == sorted(map(row, want))
+    groups = lambda found: [(x.key, x.d_classes - x.d_forest) for x in sorted(found, key=lambda x: -x.key)]
+    assert [(k, sum(n for _, n in groups(got)[: i + 1])) for i, (k, _) in enumerate(groups(got))] == [(k, sum(n for _, n in groups(want)[: i + 1])) for i, (k, _) in enumerate(groups(want))]
+
+
+def test_no_blocks(spark):
+    empty = write_blocks(spark.createDataFrame([(1, None)], "id bigint, text string"), spark.createDataFrame([], "id bigint, text string"))
+    for v in ("lazy", "heap"):
+        assert framework.auto_join(empty, sims.jaccard(), O.group_count(), "fused", v, 2).theta is None
+
+
+def test_forest_by_union_find():
+    rng = np.random.default_rng(6)
+    for n, m in ((1, 0), (5, 4), (40, 30), (40, 900), (300, 20_000)):
+        a, b, key = rng.integers(0, n, m), rng.integers(0, n, m), rng.integers(1, 8, m) / 8
+        sets, want = DisjointSets(), []
+        for k in np.argsort(-key, kind="stable").tolist():
+            if sets.join(int(a[k]), int(b[k])):
+                want.append(key[k])
+        x, y, got = forest_of(n, a, b, key)
+        again = DisjointSets()
+        assert sorted(got) == sorted(want) and all(again.join(i, j) for i, j in zip(x.tolist(), y.tolist(), strict=True))
+
+
+@pytest.mark.parametrize("name", ["auto_join_collapsed_outer_size", "auto_join_w3_lazy", "auto_join_fused_heap_outer_size"])
+def test_pairs_are_not_written(spark, monkeypatch, name):
+    """Neither meetings nor pairs leave a task."""
+    for f in ("meetings", "sharing_pairs", "verify_eager"):
+        monkeypatch.setattr(framework, f, None)
+    monkeypatch.setattr(simjoin, "sharing_pairs", None)
+    assert entry.queries()[name](spark, SF).count() >= 1
