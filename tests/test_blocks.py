@@ -10,8 +10,9 @@ import __spark_entry__ as entry
 from autotheta.functions import sims
 from autotheta.operators import simjoin
 from autotheta.operators import objectives as O
-from autotheta.operators.blocks import block_join, level_parts, links, write_blocks
+from autotheta.operators.blocks import block_join, keys_of, level_parts, links, write_blocks
 from autotheta.operators.graph import DisjointSets, forest_of
+from autotheta.operators.measures import accuracy_curve, accuracy_curve_of
 from autotheta.operators.sets import prepare
 from autotheta.plans import framework
 from tests.conftest import SF
@@ -104,7 +105,16 @@ def test_forest_by_union_find():
         assert sorted(got) == sorted(want) and all(again.join(i, j) for i, j in zip(x.tolist(), y.tolist(), strict=True))
 
 
-@pytest.mark.parametrize("name", ["auto_join_collapsed_outer_size", "auto_join_w3_lazy", "auto_join_fused_heap_outer_size"])
+def test_curve_from_counts(spark, both):
+    r, s, p, b = both
+    pairs = simjoin.sharing_pairs(p, sims.jaccard()).persist()
+    truth = pairs.where("key > 0.4 AND (r + s) % 3 <> 0").select("r", "s").unionByName(spark.createDataFrame([(40, 130), (0, 130)], "r bigint, s bigint"))
+    joins = level_parts(b, sims.jaccard(), 5e-324, covers=False)
+    got = accuracy_curve_of(joins, keys_of(truth, r, s, sims.jaccard(), "words", True), truth).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, accuracy_curve(pairs, truth).collect()))
+
+
+@pytest.mark.parametrize("name", ["auto_join_collapsed_outer_size", "auto_join_w3_lazy", "auto_join_fused_heap_outer_size", "accuracy_curve"])
 def test_pairs_are_not_written(spark, monkeypatch, name):
     """Neither meetings nor pairs leave a task."""
     for f in ("meetings", "sharing_pairs", "verify_eager"):
