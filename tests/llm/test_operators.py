@@ -207,6 +207,65 @@ def test_op5_probabilities_add_up(spark):
     assert np.allclose(total, 1, atol=1e-4)
 
 
+def test_op5_features_of_words(spark):
+    """Words beyond the frequent ones are told apart as previous and as skipped words, though class and count are the same."""
+    rng = random.Random(3)
+    frequent = [f"f{k}" for k in range(maxent.TOP + 20)]
+    texts = [" ".join(rng.sample(frequent, 60)) for _ in range(60)]
+    for k in range(30):
+        texts += [f"a{k} b{k} {x} c{k} {y} d{k}" for x, y in (rng.sample(frequent, 2) for _ in range(3))]
+    asked = [f"a{k} b{j}" for k in range(5) for j in (k, k + 5)] + [f"c{k} never d{j}" for k in range(5) for j in (k, k + 5)]
+    rows = spark.createDataFrame([(k, t, k < len(texts)) for k, t in enumerate(texts + asked)], "doc_id bigint, text string, train boolean").repartition(3, "doc_id")
+    got = {r.doc_id: r.score for r in maxent.score_language_model(rows, F.col("train"), rounds=2).collect()}
+    scores = np.array([got[len(texts) + k] for k in range(len(asked))]).reshape(-1, 2)
+    assert (scores[:, 0] > scores[:, 1] + 0.5).all()
+
+
+def test_op5_word_pairs_by_brute_force(spark):
+    """Counts of pairs and contexts over several chunks, weights of every pair of classes, and sums of probabilities."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").limit(60).select(F.col("doc_id").alias("i"), F.col("text").alias("t"), (F.col("doc_id") % 4 > 0).alias("train"))
+    rows = docs.unionByName(spark.createDataFrame([(1000, "", True), (1001, "one", True), (1002, None, False)], docs.schema)).repartition(3, "i")
+    chunks = maxent._chunks(rows).persist()
+    m, parts = maxent.train(chunks, rounds=1), chunks.collect()
+    assert len(parts) == 3
+    pairs, classes = {maxent.NEXT: collections.Counter(), maxent.SKIP: collections.Counter()}, set()
+    for r in parts:
+        words, split, token = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["split"], np.int64), np.frombuffer(r["tokens"], np.uint32)
+        train = np.frombuffer(r["train"], bool)
+        history = m.shape.histories(*maxent._load(m.shape.folder, r["chunk"], len(words)), words, split, token)[2]
+        classes |= set((history & 0xFFFF)[np.repeat(train, np.diff(split))].tolist())
+        for k in np.flatnonzero(train):
+            text = [int(maxent.END_HASH)] * 2 + words[token[split[k] : split[k + 1]]].tolist()
+            pairs[maxent.NEXT].update(zip(text[1:], text[2:]))
+            pairs[maxent.SKIP].update(zip(text, text[2:]))
+    assert set(m.weights.pairs.tolist()) == classes
+    whole = {kind: collections.Counter() for kind in pairs}
+    followers = {kind: collections.Counter() for kind in pairs}
+    for kind, found in pairs.items():
+        for (a, _), n in found.items():
+            whole[kind][a] += n
+            followers[kind][a] += 1
+    for r in parts:
+        words, split, token = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["split"], np.int64), np.frombuffer(r["tokens"], np.uint32)
+        count, _, following, skip_following, last = (x.astype(np.int64) for x in exchange.answers(m.shape.folder, r["chunk"])[maxent.WORD])
+        skips = np.where(words == maxent.END_HASH, last, count - last)
+        for k, w in enumerate(words.tolist()):
+            assert (count[k], following[k]) == (whole[maxent.NEXT][w], followers[maxent.NEXT][w])
+            assert (skips[k], skip_following[k]) == (whole[maxent.SKIP][w], followers[maxent.SKIP][w])
+        got = exchange.answers(m.pairs.folder, r["chunk"])
+        for kind, context in zip((maxent.NEXT, maxent.SKIP), maxent._neighbours(words, split, token)):
+            _, _, at = exchange.distinct(maxent._keys(words, context, token, m.pairs.shift))
+            assert got[kind][0][at].tolist() == [pairs[kind][x] for x in zip(words[context].tolist(), words[token].tolist())]
+    # All words and an unknown one, after two words, over any model below.
+    words = sorted({w for _, w in pairs[maxent.NEXT]}) + [1]
+    below = np.random.default_rng(5).dirichlet(np.ones(len(words)))
+    for b, a in random.Random(6).sample(sorted(pairs[maxent.NEXT]), 20):
+        seen = [np.array([pairs[kind][x, w] for w in words]) for kind, x in ((maxent.SKIP, b), (maxent.NEXT, a))]
+        context = [tuple(np.full(len(words), c[kind][x]) for c in (whole, followers)) for kind, x in ((maxent.SKIP, b), (maxent.NEXT, a))]
+        p = maxent._with_words(below, seen, context, [m.pairs.discount[kind] for kind in (maxent.SKIP, maxent.NEXT)])
+        assert abs(p.sum() - 1) < 1e-9 and (p > 0).all()
+
+
 def test_op6_counts(spark, documents):
     got = {r.doc_id: r for r in queries.op6_perplexity_rules(spark, SF).collect()}
     for i, t, _ in documents:
