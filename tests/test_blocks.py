@@ -53,6 +53,13 @@ def test_meetings_are_not_shuffled(spark, name):
     assert "hashpartitioning(r" not in plan and "hashpartitioning(t" not in plan
 
 
+def test_negatives_of_many_objects(spark):
+    """More pairs of objects than 32 bits count."""
+    got = simjoin.not_joined_count(spark.range(3), 89_176, 89_332)
+    assert got.dtypes == [("n", "bigint")] and got.first()[0] == 89_176 * 89_332 - 3
+    assert simjoin.not_joined_count(spark.range(0), 0, 5).first()[0] == 0
+
+
 @pytest.fixture(scope="module")
 def both(spark):
     r, s = _texts(spark, 3, 40), _texts(spark, 4, 30, 100)
