@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from autotheta.functions import sims
-from autotheta.operators import simjoin
+from autotheta.operators import graph, simjoin
 from autotheta.operators import objectives as O
 from autotheta.operators.blocks import block_join, keys_of, level_parts, links, write_blocks
 from autotheta.operators.graph import DisjointSets, forest_of
@@ -93,6 +93,38 @@ def test_levels_of_blocks(spark, both):
     assert [(k, sum(n for _, n in groups(got)[: i + 1])) for i, (k, _) in enumerate(groups(got))] == [(k, sum(n for _, n in groups(want)[: i + 1])) for i, (k, _) in enumerate(groups(want))]
 
 
+def test_one_pass_serves_bands_of_whole_sets(spark, both, monkeypatch):
+    """Below WHOLE a lazy run compares sets once for several bands; pairs of low keys are counted if their threshold is chosen."""
+    _, _, p, b = both
+    sim, calls = sims.jaccard(), []
+    monkeypatch.setattr(framework, "level_parts", lambda *a, **k: calls.append(a[2]) or level_parts(*a, **k))
+    want = framework.brute_force(p, sim, O.group_count(), simjoin.brute_force_pairs(p, sim))
+    got = framework.auto_join(b, sim, O.group_count(), "fused", "lazy", 2, stop_early=False)
+    assert (got.theta, got.score, got.size) == (want.theta, want.score, want.pairs.count())
+    assert calls == [0.125, 0.5**6, 5e-324] and got.metrics["bands"] == 7
+    monkeypatch.setattr(framework, "COUNTED", 2.0)
+    got = framework.auto_join(b, sim, O.group_count(), "fused", "lazy", 2)
+    assert (got.theta, got.score, got.size) == (want.theta, want.score, want.pairs.count()) and calls[-1] == want.theta
+    assert got.evaluated.where("n_join IS NOT NULL").count() == 0
+
+
+def test_pairs_counted_from_a_key_on(spark, both):
+    _, _, _, b = both
+    rows = [{(x.key, x.n) for x in level_parts(b, sims.jaccard(), 0.2, None, joins, covers=False).groupBy("kind", "key").agg(F.sum("n").alias("n")).collect()} for joins in (True, 0.4)]
+    assert rows[1] == {x for x in rows[0] if x[0] >= 0.4} and len(rows[1]) < len(rows[0])
+
+
+def test_forests_merge_where_vertices_are_few(spark, monkeypatch):
+    """Many edges of few vertices need no rounds of joins."""
+    rng = np.random.default_rng(8)
+    rows = [(int(r), int(s), int(k) / 8) for r, s, k in zip(rng.integers(0, 10, 2000), rng.integers(0, 10, 2000), rng.integers(1, 9, 2000), strict=True)]
+    pairs = spark.createDataFrame(rows, "r bigint, s bigint, key double").repartition(12)
+    want = sorted(x.key for x in graph.spanning_forest(pairs).collect())
+    monkeypatch.setattr(graph, "FEW", 10)
+    monkeypatch.setattr(graph, "components", None)
+    assert sorted(x.key for x in graph.spanning_forest(pairs, 60).collect()) == want
+
+
 def test_no_blocks(spark):
     empty = write_blocks(spark.createDataFrame([(1, None)], "id bigint, text string"), spark.createDataFrame([], "id bigint, text string"))
     for v in ("lazy", "heap"):
