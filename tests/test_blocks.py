@@ -10,11 +10,13 @@ import __spark_entry__ as entry
 from autotheta.functions import sims
 from autotheta.operators import graph, simjoin
 from autotheta.operators import objectives as O
-from autotheta.operators.blocks import block_join, keys_of, level_parts, links, write_blocks
+from autotheta.functions.text import TOKENIZERS
+from autotheta.operators.blocks import _frequencies, _hashed, _write, block_join, keys_of, level_parts, links, write_blocks
 from autotheta.operators.graph import DisjointSets, forest_of
 from autotheta.operators.measures import accuracy_curve, accuracy_curve_of
 from autotheta.operators.sets import prepare
 from autotheta.plans import framework
+from autotheta.sources.shared import CLEANUP_CONF, keep
 from tests.conftest import SF
 
 
@@ -108,6 +110,16 @@ def test_one_pass_serves_bands_of_whole_sets(spark, both, monkeypatch):
     assert got.evaluated.where("n_join IS NOT NULL").count() == 0
 
 
+def test_blocks_leave_no_shuffle_files(spark):
+    env = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get()
+    files = lambda: {f.getPath() for f in spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(env.blockManager().diskBlockManager().getAllFiles()) if f.getName().startswith("shuffle_")}
+    texts, before = _texts(spark, 5, 200), spark.conf.get(CLEANUP_CONF, None)
+    sets = keep(_hashed(texts, TOKENIZERS["words"](F.col("text")), False), "hashed")
+    order, were = spark.sparkContext.broadcast(_frequencies(sets)), files()
+    assert _write(sets, order, 40).blocks
+    assert files() <= were and spark.conf.get(CLEANUP_CONF, None) == before
+
+
 def test_pairs_counted_from_a_key_on(spark, both):
     _, _, _, b = both
     rows = [{(x.key, x.n) for x in level_parts(b, sims.jaccard(), 0.2, None, joins, covers=False).groupBy("kind", "key").agg(F.sum("n").alias("n")).collect()} for joins in (True, 0.4)]
